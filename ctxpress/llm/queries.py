@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from ctxpress.llm import mixing, simhash
+from ctxpress.llm import html_main, mixing, simhash, suffix_dedup
 
 QUERIES = {
     "op2_simhash_near_dedup": simhash.op2_simhash_near_dedup,
+    "op4_main_text": html_main.op4_main_text,
+    "op6_suffix_dedup": suffix_dedup.op6_suffix_dedup,
     "op8_mix_sources": mixing.op8_mix_sources,
 }
 
