@@ -2,8 +2,8 @@
 
 A byte goes if some 50-byte string over it also starts in a document with a smaller doc_id. Equal strings have to meet, and a
 transform of the whole corpus does not fit anywhere, so the suffixes are dealt out first. Each 50-byte window is named by
-its minimiser, the 24-byte gram in it whose hash is least; equal windows have equal minimisers. Neighbouring windows with the
-same minimiser make one run of at most 76 bytes.
+its minimiser, the 20-byte gram in it whose hash is least; equal windows have equal minimisers. Neighbouring windows with the
+same minimiser make one run of at most 80 bytes.
 
 1. Chunks of documents report the hashes of their minimisers; a hash that one document alone has is done with.
 2. Chunks send each distinct run of a shared minimiser once, with the least and greatest doc_id that has it here.
@@ -30,7 +30,7 @@ from pyspark.sql.types import BinaryType, LongType, StringType, StructType
 
 from ctxpress.llm.common import partitions_for, text_bytes
 
-WINDOW, GRAM = 50, 24
+WINDOW, GRAM = 50, 20
 SPAN = WINDOW - GRAM + 1
 PIECE, LONGEST = 1 << 19, 1 << 22
 LOW = np.uint64((1 << 24) - 1)
@@ -80,7 +80,7 @@ def pieces(offsets: np.ndarray):
 
 
 def runs(data: np.ndarray, offsets: np.ndarray, keys: bool):
-    """For each piece: the runs' first and last window, minimiser hash and document, and two hashes of their bytes."""
+    """For each piece: the runs' first and last window, minimiser hash and document, and a hash of their bytes."""
     for lo, hi in pieces(offsets):
         n = hi - lo
         if n < WINDOW:
@@ -108,16 +108,14 @@ def runs(data: np.ndarray, offsets: np.ndarray, keys: bool):
             continue
         out = {"first": first + lo, "last": last + lo, "gram": scramble(gram[at[first]] ^ np.uint64(BASES[1])), "doc": np.searchsorted(offsets, first + lo, "right") - 1}
         if keys:
-            out["k1"] = (q[last + WINDOW] - q[first]) * down[first]
-            q2, down2 = prefix_hash(part, 1), powers(1, n + 1)[2]
-            out["k2"] = (q2[last + WINDOW] - q2[first]) * down2[first]
+            out["body"] = (q[last + WINDOW] - q[first]) * down[first]
         yield out
 
 
 def all_runs(data, offsets, keys: bool, names=("first", "last", "gram", "doc")) -> dict:
-    names = (*names, "k1", "k2") if keys else names
+    names = (*names, "body") if keys else names
     got = [{k: r[k] for k in names} for r in runs(data, offsets, keys)]
-    empty = {k: np.zeros(0, np.uint64 if k in ("gram", "k1", "k2") else np.int64) for k in names}
+    empty = {k: np.zeros(0, np.uint64 if k in ("gram", "body") else np.int64) for k in names}
     return {k: np.concatenate([r[k] for r in got]) if got else empty[k] for k in names}
 
 
@@ -155,6 +153,14 @@ def unplanes(b: bytes, width: int) -> np.ndarray:
     return out.view(">u8").ravel().astype(np.uint64)
 
 
+def squeeze(b: bytes) -> bytes:
+    return len(b).to_bytes(8, "little") + pa.compress(b, "zstd", asbytes=True)
+
+
+def unsqueeze(b: bytes, kind) -> np.ndarray:
+    return np.frombuffer(pa.decompress(b[8:], int.from_bytes(b[:8], "little"), "zstd", asbytes=True), kind)
+
+
 def report(width: int, buckets: int):
     """Chunk to a row for each bucket: the minimisers in it, and which of them several of its documents have."""
 
@@ -209,10 +215,10 @@ def send(width: int, buckets: int):
             short = r["gram"] >> np.uint64(64 - 8 * width) << np.uint64(64 - 8 * width)
             at = np.minimum(np.searchsorted(known, short), len(known) - 1)
             hit = np.flatnonzero(known[at] == short)
-            order = hit[np.lexsort((r["k2"][hit], r["k1"][hit], r["gram"][hit]))]
+            order = hit[np.lexsort((r["body"][hit], r["gram"][hit]))]
             r = {k: v[order] for k, v in r.items()}
             doc = ids[r["doc"]]
-            new = np.flatnonzero(np.r_[True, (r["k1"][1:] != r["k1"][:-1]) | (r["k2"][1:] != r["k2"][:-1]) | (r["gram"][1:] != r["gram"][:-1])]) if len(doc) else np.zeros(0, np.int64)
+            new = np.flatnonzero(np.r_[True, (r["body"][1:] != r["body"][:-1]) | (r["gram"][1:] != r["gram"][:-1])]) if len(doc) else np.zeros(0, np.int64)
             if len(new):
                 least, most = np.minimum.reduceat(doc, new), np.maximum.reduceat(doc, new)
                 r = {k: v[new] for k, v in r.items()}
@@ -222,8 +228,9 @@ def send(width: int, buckets: int):
                     if y > x:
                         n = size[x:y]
                         where = np.repeat(r["first"][x:y] - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum())
-                        rows.append((b, *(r[k][x:y].tobytes() for k in ("gram", "k1", "k2")), n.astype(np.uint8).tobytes(), least[x:y].tobytes(), most[x:y].tobytes(), data[where].tobytes()))
-        cols = dict(zip(("gram", "k1", "k2", "size", "least", "most", "body"), zip(*[x[1:] for x in rows]))) if rows else {k: [] for k in ("gram", "k1", "k2", "size", "least", "most", "body")}
+                        rows.append((b, *(r[k][x:y].tobytes() for k in ("gram", "body")), *map(squeeze, (n.astype(np.uint8).tobytes(), least[x:y].tobytes(), most[x:y].tobytes(), data[where].tobytes()))))
+        names = ("gram", "body", "size", "least", "most", "text")
+        cols = dict(zip(names, zip(*[x[1:] for x in rows]))) if rows else {k: [] for k in names}
         return pa.table({"bucket": pa.array([x[0] for x in rows], pa.int32()), "chunk": pa.array([key[0].as_py()] * len(rows), pa.int64())} | {k: pa.array(list(v), pa.binary()) for k, v in cols.items()})
 
     return f
@@ -235,7 +242,7 @@ def shard_rotations(text: np.ndarray, following: np.ndarray, shard: np.ndarray)
     for bits in (8, 16, 32):
         word = (word << np.uint64(bits)) | word[hop]
         hop = hop[hop]
-    order = np.lexsort((word, shard))
+    order = np.lexsort((word, shard)).astype(np.int32)
     new = np.r_[False, (word[order][1:] != word[order][:-1]) | (shard[order][1:] != shard[order][:-1])]
     for _ in range(6):
         rank = np.empty(len(text), np.uint64)
@@ -243,7 +250,7 @@ def shard_rotations(text: np.ndarray, following: np.ndarray, shard: np.ndarray)
         if new.sum() == len(text) - 1:
             break
         pair = (rank << np.uint64(32)) | rank[hop]
-        order = np.argsort(pair, kind="stable")
+        order = np.argsort(pair, kind="stable").astype(np.int32)
         p = pair[order]
         new = np.r_[False, p[1:] != p[:-1]]
         hop = hop[hop]
@@ -254,12 +261,12 @@ def merge_transforms(transform: np.ndarray, shard: np.ndarray, depth: int) -> tu
     """Interleaves the transforms of shards, laid one after another, until ``depth`` symbols are sorted.
 
     Returns which place of the shards' order stands where in the merged one, and for each merged place its block: the
-    rotations whose first ``depth`` symbols are equal. Round by round the sequence of shards is spread out by the symbol
-    before each rotation, stably, so a rotation's place follows from that of its successor.
+    rotations whose first ``depth`` symbols are equal. Round by round the sequence of shards is spread out by the two
+    symbols before each rotation, stably, so a rotation's place follows from that of its successor's successor.
     """
     z, block = shard.copy(), np.zeros(len(shard), np.int32)
     symbol = np.empty_like(transform)
-    for _ in range(depth):
+    for _ in range(depth // 2):
         symbol[np.argsort(z, kind="stable")] = transform
         order = np.argsort(symbol, kind="stable")
         c, b = symbol[order], block[order]
@@ -280,14 +287,16 @@ def window_least(body: np.ndarray, size: np.ndarray, least: np.ndarray, shard_by
     inside = np.ones(total, bool)
     inside[stop - 1] = False
     text[inside] = body
-    following = np.arange(1, total + 1)
+    following = np.arange(1, total + 1, dtype=np.int32)
     following[stop - 1] = start
-    before = np.arange(-1, total - 1)
+    before = np.arange(-1, total - 1, dtype=np.int32)
     before[start] = stop - 1
     shard_bytes = max(shard_bytes, total // 200)
     shard = np.repeat((start // shard_bytes).astype(np.uint8), n)
     rotations = shard_rotations(text, following, shard)
-    place, block = merge_transforms(text[before[rotations]], shard, WINDOW)
+    pair = (text[before[before]].astype(np.uint16) << np.uint16(8)) | text[before]
+    del following
+    place, block = merge_transforms(pair[rotations], shard, WINDOW)
     offset = np.arange(total) - np.repeat(start, n)
     is_window = offset <= np.repeat(size - WINDOW, n)
     value = np.where(is_window, np.repeat(least, n), LAST)
@@ -301,15 +310,15 @@ def window_least(body: np.ndarray, size: np.ndarray, least: np.ndarray, shard_by
 
 def decide(table: pa.Table) -> pa.Table:
     """Bucket to a row for each chunk: stretches of windows of its runs that a smaller doc_id has, with that doc_id."""
-    u64 = {k: np.concatenate([np.frombuffer(b.as_py(), np.uint64) for b in table.column(k)]) for k in ("gram", "k1", "k2")}
-    i64 = {k: np.concatenate([np.frombuffer(b.as_py(), np.int64) for b in table.column(k)]) for k in ("least", "most")}
-    each = [np.frombuffer(b.as_py(), np.uint8) for b in table.column("size")]
+    u64 = {k: np.concatenate([np.frombuffer(b.as_py(), np.uint64) for b in table.column(k)]) for k in ("gram", "body")}
+    i64 = {k: np.concatenate([unsqueeze(b.as_py(), np.int64) for b in table.column(k)]) for k in ("least", "most")}
+    each = [unsqueeze(b.as_py(), np.uint8) for b in table.column("size")]
     row, size = np.repeat(np.arange(len(each)), [len(x) for x in each]), np.concatenate(each).astype(np.int64)
-    body = np.concatenate([np.frombuffer(b.as_py(), np.uint8) for b in table.column("body")])
+    text = np.concatenate([unsqueeze(b.as_py(), np.uint8) for b in table.column("text")])
     begin = np.cumsum(size) - size
-    order = np.lexsort((u64["k2"], u64["k1"], u64["gram"]))
-    g, k1, k2 = (u64[k][order] for k in ("gram", "k1", "k2"))
-    new = np.r_[True, (g[1:] != g[:-1]) | (k1[1:] != k1[:-1]) | (k2[1:] != k2[:-1])]
+    order = np.lexsort((u64["body"], u64["gram"]))
+    g, k = (u64[c][order] for c in ("gram", "body"))
+    new = np.r_[True, (g[1:] != g[:-1]) | (k[1:] != k[:-1])]
     at = np.flatnonzero(new)
     kind = np.empty(len(order), np.int64)
     kind[order] = np.cumsum(new) - 1
@@ -323,7 +332,7 @@ def decide(table: pa.Table) -> pa.Table:
     if len(mixed):
         n = size[one[mixed]]
         where = np.repeat(begin[one[mixed]] - (np.cumsum(n) - n), n) + np.arange(n.sum())
-        low, first = window_least(body[where], n, least[mixed])
+        low, first = window_least(text[where], n, least[mixed])
         owner = np.repeat(np.arange(len(mixed)), windows[mixed])
         turn = np.flatnonzero(np.r_[True, (low[1:] != low[:-1]) | (owner[1:] != owner[:-1])])
         stretch_kind.append(mixed[owner[turn]])
@@ -343,29 +352,30 @@ def decide(table: pa.Table) -> pa.Table:
     rows = [i for i in range(len(each)) if edges[i + 1] > edges[i]]
     chunk = table.column("chunk").to_numpy()
 
-    def packed(x):
-        return pa.array([np.ascontiguousarray(x[edges[i] : edges[i + 1]]).tobytes() for i in rows], pa.binary())
+    def packed(x, how=bytes):
+        return pa.array([how(np.ascontiguousarray(x[edges[i] : edges[i + 1]]).tobytes()) for i in rows], pa.binary())
 
-    return pa.table({"chunk": pa.array(chunk[rows], pa.int64()), "k1": packed(u64["k1"][run]), "k2": packed(u64["k2"][run]), "from": packed(sf[s].astype(np.uint8)), "n": packed(sn[s].astype(np.uint8)), "low": packed(sl[s])})
+    return pa.table({"chunk": pa.array(chunk[rows], pa.int64()), "gram": packed(u64["gram"][run]), "body": packed(u64["body"][run]), "from": packed(sf[s].astype(np.uint8), squeeze), "n": packed(sn[s].astype(np.uint8), squeeze), "low": packed(sl[s], squeeze)})
 
 
 def removed_bytes(data: np.ndarray, offsets: np.ndarray, ids: np.ndarray, found: pa.Table) -> np.ndarray:
     """For each byte whether it goes."""
     edge = np.zeros(len(data) + 1, np.int32)
     if found.num_rows and len(data):
-        col = {k: np.concatenate([np.frombuffer(b.as_py(), t) for b in found.column(k)]) for k, t in (("k1", np.uint64), ("k2", np.uint64), ("from", np.uint8), ("n", np.uint8), ("low", np.int64))}
-        order = np.lexsort((col["k2"], col["k1"]))
+        col = {k: np.concatenate([np.frombuffer(b.as_py(), np.uint64) for b in found.column(k)]) for k in ("gram", "body")}
+        col |= {k: np.concatenate([unsqueeze(b.as_py(), t) for b in found.column(k)]) for k, t in (("from", np.uint8), ("n", np.uint8), ("low", np.int64))}
+        order = np.lexsort((col["gram"], col["body"]))
         col = {k: v[order] for k, v in col.items()}
-        new = np.flatnonzero(np.r_[True, (col["k1"][1:] != col["k1"][:-1]) | (col["k2"][1:] != col["k2"][:-1])])
-        u1, u2, many = col["k1"][new], col["k2"][new], np.diff(np.r_[new, len(order)])
+        new = np.flatnonzero(np.r_[True, (col["body"][1:] != col["body"][:-1]) | (col["gram"][1:] != col["gram"][:-1])])
+        u1, u2, many = col["body"][new], col["gram"][new], np.diff(np.r_[new, len(order)])
         for r in runs(data, offsets, True):
-            at = np.minimum(np.searchsorted(u1, r["k1"]), len(u1) - 1)
+            at = np.minimum(np.searchsorted(u1, r["body"]), len(u1) - 1)
             while True:  # equal first hashes with another second one: look further
-                on = (u1[at] == r["k1"]) & (u2[at] != r["k2"]) & (at + 1 < len(u1)) & (u1[np.minimum(at + 1, len(u1) - 1)] == r["k1"])
+                on = (u1[at] == r["body"]) & (u2[at] != r["gram"]) & (at + 1 < len(u1)) & (u1[np.minimum(at + 1, len(u1) - 1)] == r["body"])
                 if not on.any():
                     break
                 at = at + on
-            hit = np.flatnonzero((u1[at] == r["k1"]) & (u2[at] == r["k2"]))
+            hit = np.flatnonzero((u1[at] == r["body"]) & (u2[at] == r["gram"]))
             count = many[at[hit]]
             run = np.repeat(hit, count)
             s = np.repeat(new[at[hit]] - (np.cumsum(count) - count), count) + np.arange(count.sum())
@@ -407,7 +417,7 @@ def remove_repeats(docs: DataFrame, chunk_bytes: int = 12 << 20, carry: bool = T
     one size.
     """
     total = text_bytes(docs)
-    chunks, buckets = partitions_for(total, chunk_bytes), partitions_for(total, 2 * chunk_bytes)
+    chunks, buckets = partitions_for(total, chunk_bytes), partitions_for(total, chunk_bytes // 3)
     width = int(min(8, max(5, -(-(max(total, 1).bit_length() + 10) // 8))))
     rest = [c for c in docs.columns if c not in ("doc_id", "text")] if carry else []
     keyed = docs.select(
@@ -415,8 +425,8 @@ def remove_repeats(docs: DataFrame, chunk_bytes: int = 12 << 20, carry: bool = T
     ).repartition(chunks, "chunk")
     said = keyed.groupBy("chunk").applyInArrow(report(width, buckets), "bucket int, chunk long, gram binary, several binary")
     shared = said.groupBy("bucket").applyInArrow(agree(width), "chunk long, gram binary")
-    sent = keyed.groupBy("chunk").cogroup(shared.groupBy("chunk")).applyInArrow(send(width, buckets), "bucket int, chunk long, gram binary, k1 binary, k2 binary, size binary, least binary, most binary, body binary")
-    found = sent.groupBy("bucket").applyInArrow(decide, "chunk long, k1 binary, k2 binary, `from` binary, n binary, low binary")
+    sent = keyed.groupBy("chunk").cogroup(shared.groupBy("chunk")).applyInArrow(send(width, buckets), "bucket int, chunk long, gram binary, body binary, size binary, least binary, most binary, text binary")
+    found = sent.groupBy("bucket").applyInArrow(decide, "chunk long, gram binary, body binary, `from` binary, n binary, low binary")
     schema = StructType([f for f in keyed.schema if f.name not in ("chunk", "_txt")])
     for name, kind in (("kept", BinaryType()), ("n_bytes", LongType()), ("n_removed", LongType()), ("n_spans", LongType()), ("kept_sha256", StringType())):
         schema = schema.add(name, kind)
