@@ -101,7 +101,7 @@ def _bags(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndar
     return bucket[at], weight, np.cumsum(size) - size, doc
 
 
-def train(texts: list[str], labels: np.ndarray, prior: float | None = None, rounds: int = 5, steps: int = 600, batch: int = 1024, rate: float = 0.5, seed: int = 7) -> ToxicityModel:
+def train(texts: list[str], labels: np.ndarray, prior: float | None = None, rounds: int = 5, steps: int = 600, batch: int = 1024, block: int = 1 << 18, rate: float = 0.5, seed: int = 7) -> ToxicityModel:
     """Fits embeddings and softmax on windows by adaptive gradient steps; deterministic for the same sample.
 
     There are ``rounds`` passes over the windows or more, if a small sample needs them for ``steps`` steps. ``prior`` is the
@@ -112,8 +112,6 @@ def train(texts: list[str], labels: np.ndarray, prior: float | None = None, roun
         flat = 0.0 if not len(texts) else (8.0 if labels[0] else -8.0)
         return ToxicityModel(np.zeros(BUCKETS), 0.0, 0.0, flat)
     held = np.arange(len(texts)) % 4 == 3
-    bucket, weight, start, doc = _bags(texts)
-    stop = np.r_[start[1:], len(bucket)]
     e = rng.normal(0, 1.0 / DIM, (BUCKETS, DIM)).astype(np.float32)
     w, bias = np.zeros((DIM, 2), np.float32), np.zeros(2, np.float32)
     w[0] = (-1.0, 1.0)
@@ -122,45 +120,51 @@ def train(texts: list[str], labels: np.ndarray, prior: float | None = None, roun
     def folded() -> np.ndarray:
         return e @ (w[:, 1] - w[:, 0])
 
-    def logits() -> np.ndarray:
-        return np.add.reduceat(folded()[bucket] * weight, start) + (bias[1] - bias[0])
-
-    for k in range(int(np.clip(-(-steps * batch // max(1, len(start))), rounds, 40))):
-        use = ~held[doc]
-        if k:  # of a toxic text the worst window, of clean ones the worst and some others
-            value = logits()
-            top = np.full(len(texts), -np.inf)
-            np.maximum.at(top, doc, value)
-            worst = value >= top[doc]
-            use &= worst | ((labels[doc] == 0) & (rng.random(len(doc)) < 0.5))
-        pick = rng.permutation(np.flatnonzero(use))
-        share = labels[doc[pick]].mean()
-        balance = (0.5 / max(1 - share, 1e-3), 0.5 / max(share, 1e-3))
-        for i in range(0, len(pick), batch):
-            sel = pick[i : i + batch]
-            size = stop[sel] - start[sel]
-            at = np.repeat(start[sel] - (np.cumsum(size) - size), size) + np.arange(size.sum())
-            g, a, head = bucket[at], weight[at], np.cumsum(size) - size
-            x = np.add.reduceat(e[g] * a[:, None], head)
-            z = x @ w + bias
-            p = np.exp(z - z.max(1, keepdims=True))
-            p /= p.sum(1, keepdims=True)
-            y = labels[doc[sel]].astype(int)
-            p[np.arange(len(sel)), y] -= 1
-            p *= np.array(balance, np.float32)[y][:, None]
-            dx = p @ w.T
-            rows = np.repeat(np.arange(len(sel)), size)
-            de = np.stack([np.bincount(g, dx[rows, j] * a, BUCKETS) for j in range(DIM)], 1).astype(np.float32)
-            dw, db = x.T @ p / len(sel), p.mean(0)
-            ge += (de * de).mean(1)
-            gw += dw * dw
-            gb += db * db
-            e -= rate * de / np.sqrt(ge)[:, None]
-            w -= 0.1 * dw / np.sqrt(gw)
-            bias -= 0.1 * db / np.sqrt(gb)
+    words = sum(len(t.split()) for t in texts)
+    for k in range(int(np.clip(-(-steps * batch * WORDS // max(1, words)), rounds, 40))):
+        seen = np.ones(2)
+        order = rng.permutation(np.flatnonzero(~held))
+        for x0, x1 in blocks([texts[i] for i in order], block):
+            some = order[x0:x1]
+            bucket, weight, start, doc = _bags([texts[i] for i in some])
+            if not len(start):
+                continue
+            y_all, stop = labels[some][doc], np.r_[start[1:], len(bucket)]
+            use = np.ones(len(start), bool)
+            if k:  # of a toxic text the worst window, of clean ones the worst and some others
+                value = np.add.reduceat(folded()[bucket] * weight, start)
+                top = np.full(len(some), -np.inf)
+                np.maximum.at(top, doc, value)
+                use = (value >= top[doc]) | ((y_all == 0) & (rng.random(len(doc)) < 0.5))
+            pick = rng.permutation(np.flatnonzero(use))
+            seen += np.bincount(y_all[pick], minlength=2)
+            balance = (0.5 * seen.sum() / seen).astype(np.float32)
+            for i in range(0, len(pick), batch):
+                sel = pick[i : i + batch]
+                size = stop[sel] - start[sel]
+                at = np.repeat(start[sel] - (np.cumsum(size) - size), size) + np.arange(size.sum())
+                g, a, head = bucket[at], weight[at], np.cumsum(size) - size
+                x = np.add.reduceat(e[g] * a[:, None], head)
+                z = x @ w + bias
+                p = np.exp(z - z.max(1, keepdims=True))
+                p /= p.sum(1, keepdims=True)
+                y = y_all[sel]
+                p[np.arange(len(sel)), y] -= 1
+                p *= balance[y][:, None]
+                dx = p @ w.T
+                rows = np.repeat(np.arange(len(sel)), size)
+                de = np.stack([np.bincount(g, dx[rows, j] * a, BUCKETS) for j in range(DIM)], 1).astype(np.float32)
+                dw, db = x.T @ p / len(sel), p.mean(0)
+                ge += (de * de).mean(1)
+                gw += dw * dw
+                gb += db * db
+                e -= rate * de / np.sqrt(ge)[:, None]
+                w -= 0.1 * dw / np.sqrt(gw)
+                bias -= 0.1 * db / np.sqrt(gb)
     model = ToxicityModel(folded(), float(bias[1] - bias[0]), 1.0, 0.0, empty=float(prior or 0.0))
     back = [texts[i] for i in np.flatnonzero(held)]
-    m, y = worst_window(back, model.table) + model.bias, labels[held].astype(float)
+    m = np.concatenate([worst_window(back[i:j], model.table) for i, j in blocks(back, block)]) + model.bias
+    y = labels[held].astype(float)
     model.slope, model.offset = calibrate(m[np.isfinite(m)], y[np.isfinite(m)])
     if prior is not None and 0 < prior < 1 and 0 < y.mean() < 1:
         model.offset += float(np.log(prior / (1 - prior)) - np.log(y.mean() / (1 - y.mean())))
