@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
-__all__ = ["NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "null_free_text", "partitions_for", "text_bytes"]
+__all__ = ["NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "shared_folder", "partitions_for", "text_bytes"]
 
 #: One word: anything but the six ASCII white-space characters.
 NON_SPACE = r"[^\x20\x09-\x0D]+"
@@ -22,6 +22,12 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
     sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or os.path.join("/tmp", "ctxpress-checkpoints"))
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the driver and all executors share."""
+    ensure_checkpoint_dir(spark)
+    return spark.sparkContext._jsc.sc().getCheckpointDir().get()
+
+
 def cut_lineage(df: DataFrame) -> DataFrame:
     """Writes the rows to the shared checkpoint folder and goes on from there, whatever executor is lost later."""
     ensure_checkpoint_dir(df.sparkSession)
@@ -44,7 +50,3 @@ def free_name(df: DataFrame, stem: str) -> str:
     while name.lower() in taken:
         name = "_" + name
     return name
-
-
-def null_free_text(col: str):
-    return F.coalesce(F.col(col), F.lit(""))

@@ -144,16 +144,23 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shar
     nothing. The items go to all executors; a benchmark of more than ``most_bytes`` is split, and the documents are read
     once for each part.
     """
-    total = benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    parts, out = int(-(-total // most_bytes)) or 1, None
-    for k in range(parts):
-        items = sorted((r["item_id"], r["text"]) for r in benchmark.where(F.col("item_id").isNotNull() & F.col("text").isNotNull() & (F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == k)).select("item_id", "text").collect())
-        index = SeedIndex([i for i, _ in items], [t for _, t in items], window, share)
+    out = None
+    for index in indexes(benchmark, window, share, most_bytes):
         found = _scan(docs, index)
         out = found if out is None else out.unionAll(found)
     return out
 
 
+def indexes(benchmark: DataFrame, window: int = WINDOW, share: float = SHARE, most_bytes: int = 32 << 20) -> Iterator[SeedIndex]:
+    """The index of the whole benchmark, or one for each part of at most about ``most_bytes``."""
+    total = benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    parts = int(-(-total // most_bytes)) or 1
+    fit = benchmark.where("item_id is not null and text is not null").select("item_id", "text")
+    for k in range(parts):
+        items = sorted((r["item_id"], r["text"]) for r in fit.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == k).collect())
+        yield SeedIndex([i for i, _ in items], [t for _, t in items], window, share)
+
+
 def _scan(docs: DataFrame, index: SeedIndex) -> DataFrame:
     def f(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -168,10 +175,23 @@ def _scan(docs: DataFrame, index: SeedIndex) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(f, f"doc_id {kind}, item_id long, words int, at_word int, similarity double")
 
 
-def drop_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """``docs`` without the documents that hold a benchmark item; rows of a null doc_id are judged by their own text only."""
-    found = find_leaks(docs.where("doc_id is not null"), benchmark).select(F.col("doc_id").alias("__leak")).distinct()
-    return docs.join(found, docs["doc_id"] == found["__leak"], "left_anti")
+def drop_leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: float = SHARE) -> DataFrame:
+    """``docs`` without the rows whose text holds a benchmark item."""
+    at = docs.columns.index("text")
+
+    def without(index: SeedIndex):
+        def f(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                texts, keep = b.column(at).to_pylist(), np.ones(b.num_rows, bool)
+                for lo, hi in blocks(texts, BLOCK):
+                    keep[[lo + d for d, *_ in index.find(texts[lo:hi])]] = False
+                yield b.filter(pa.array(keep))
+
+        return f
+
+    for index in indexes(benchmark, window, share):
+        docs = docs.mapInArrow(without(index), docs.schema)
+    return docs
 
 
 def op9_decontaminate(spark, sf_dir: str) -> DataFrame:

@@ -226,6 +226,21 @@ def identify_language(docs: DataFrame, model: LanguageModel, spans: bool = False
     return docs.select("doc_id", "text").mapInArrow(f, f"doc_id {kind}, lang_pred string, score double" + f", spans {SPANS}" * spans)
 
 
+def keep_identified(docs: DataFrame, model: LanguageModel, least: float = 0.2) -> DataFrame:
+    """``docs`` without the rows whose text is ``und`` or has less than ``least`` of its letters in its language."""
+    at = docs.columns.index("text")
+
+    def f(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            texts = b.column(at).to_pylist()
+            for lo, hi in blocks(texts, BLOCK):
+                names, score, _ = model.predict(texts[lo:hi])
+                keep = [n != UNKNOWN and s >= least for n, s in zip(names, score)]
+                yield b.slice(lo, hi - lo).filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(f, docs.schema)
+
+
 def op3_language_id(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     held = F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(5)) == 0, F.lit(False))

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ctxpress.llm.common import cut_lineage, partitions_for
+from ctxpress.llm.common import cut_lineage, free_name, partitions_for
 from ctxpress.llm.graph import connected_components
 
 MAX_BITS, SHINGLE, FAN = 4, 4, 8
@@ -190,5 +190,8 @@ def op2_simhash_near_dedup(spark, sf_dir: str) -> DataFrame:
 
 def drop_near_duplicates(docs: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
     """``docs`` without the documents whose component has a smaller doc_id; of rows with an equal doc_id all stay."""
-    found = simhash_components(docs, max_bits).where("doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
-    return docs.join(found, docs["doc_id"].eqNullSafe(found["__kept"]), "left_semi")
+    gone = free_name(docs, "gone")
+    dropped = cut_lineage(simhash_components(docs, max_bits).where("doc_id <> component_id").select(F.col("doc_id").alias(gone)).distinct())
+    if dropped.count() <= 500_000:  # a few MB; beyond, both sides are shuffled
+        dropped = F.broadcast(dropped)
+    return docs.join(dropped, docs["doc_id"] == dropped[gone], "left_anti")

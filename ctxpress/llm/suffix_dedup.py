@@ -387,6 +387,13 @@ def removed_bytes(data: np.ndarray, offsets: np.ndarray, ids: np.ndarray, found:
     return np.cumsum(edge[:-1]) > 0
 
 
+def cut_text(key: tuple, table: pa.Table, found: pa.Table) -> pa.Table:
+    """As ``cut``, with what remains as text; a character that lost some of its bytes is left out."""
+    out = cut(key, table, found)
+    texts = pa.array([k.as_py().decode("utf-8", "ignore") for k in out.column("kept")], pa.string())
+    return out.set_column(out.column_names.index("kept"), "kept", texts)
+
+
 def cut(key: tuple, table: pa.Table, found: pa.Table) -> pa.Table:
     """Chunk and what was found in it to its documents with the remaining text and the measures of the cut."""
     data, offsets = bytes_of(table.column("_txt"))
@@ -408,8 +415,8 @@ def cut(key: tuple, table: pa.Table, found: pa.Table) -> pa.Table:
     })
 
 
-def remove_repeats(docs: DataFrame, chunk_bytes: int = 12 << 20, carry: bool = True) -> DataFrame:
-    """One row per document: the columns of ``docs`` but text, and kept (binary), n_bytes, n_removed, n_spans, kept_sha256.
+def remove_repeats(docs: DataFrame, chunk_bytes: int = 12 << 20, carry: bool = True, as_text: bool = False) -> DataFrame:
+    """One row per document: the columns of ``docs`` but text, and kept (bytes, or text if asked for), n_bytes, n_removed, n_spans, kept_sha256.
 
     Null text is empty and never matches. A null doc_id comes after all others. Rows of an equal doc_id are one document to
     each other: they never remove each other's bytes. Columns besides doc_id and text travel along untouched, whatever
@@ -428,12 +435,20 @@ def remove_repeats(docs: DataFrame, chunk_bytes: int = 12 << 20, carry: bool = T
     sent = keyed.groupBy("chunk").cogroup(shared.groupBy("chunk")).applyInArrow(send(width, buckets), "bucket int, chunk long, gram binary, body binary, size binary, least binary, most binary, text binary")
     found = sent.groupBy("bucket").applyInArrow(decide, "chunk long, gram binary, body binary, `from` binary, n binary, low binary")
     schema = StructType([f for f in keyed.schema if f.name not in ("chunk", "_txt")])
-    for name, kind in (("kept", BinaryType()), ("n_bytes", LongType()), ("n_removed", LongType()), ("n_spans", LongType()), ("kept_sha256", StringType())):
+    for name, kind in (("kept", StringType() if as_text else BinaryType()), ("n_bytes", LongType()), ("n_removed", LongType()), ("n_spans", LongType()), ("kept_sha256", StringType())):
         schema = schema.add(name, kind)
-    out = keyed.groupBy("chunk").cogroup(found.groupBy("chunk")).applyInArrow(cut, schema)
+    out = keyed.groupBy("chunk").cogroup(found.groupBy("chunk")).applyInArrow(cut_text if as_text else cut, schema)
     return out.select(F.col("_id").alias("doc_id"), *[F.col(f"_r{i}").alias(c) for i, c in enumerate(rest)], "kept", "n_bytes", "n_removed", "n_spans", "kept_sha256")
 
 
+def without_repeats(docs: DataFrame) -> DataFrame:
+    """``docs`` with the repeated bytes cut from text and n_chars to match; a text of which nothing but blanks is left goes."""
+    left = remove_repeats(docs, as_text=True)
+    left = left.where((F.col("n_removed") == 0) | (F.trim("kept") != ""))
+    made = {"text": F.col("kept"), "n_chars": F.when(F.col("n_removed") > 0, F.length("kept").cast("long")).otherwise(F.col("n_chars")) if "n_chars" in docs.columns else None}
+    return left.select(*[made[c].alias(c) if c in made else F.col(f"`{c}`") for c in docs.columns])
+
+
 def op6_suffix_dedup(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return remove_repeats(docs.select("doc_id", "text"), carry=False).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
