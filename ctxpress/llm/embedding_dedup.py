@@ -119,7 +119,8 @@ def links_within(x: np.ndarray, weight: np.ndarray, home: np.ndarray, cosine: fl
         if a == b:
             near &= np.arange(len(ka))[:, None] <= np.arange(len(kb))[None, :]
         inside = near & (d + both <= reach - SLACK)
-        points = near & (both == 0)  # two single vectors: the cosine itself decides
+        size = tree.stop - tree.first
+        points = near & (size[ka][:, None] + size[kb][None, :] == 2)  # two single vectors: the cosine itself decides
         if a == b:
             points &= ~np.eye(len(ka), dtype=bool)
         hit = np.argwhere(points & (dot >= cosine))

@@ -144,13 +144,13 @@ def lines_of(page: str) -> _Lines:
 
 
 def main_lines(text: list[str], marked: list[bool], linked: list[float], window: int = WINDOW, surge: int = SURGE) -> list[int]:
-    """Lines between the first surge and the last dive; a page whose markup names its boilerplate needs less of a surge."""
+    """Lines between the first surge and the last dive; where markup has named boilerplate, any text left is a surge."""
     if any(marked):  # the page says which lines are its article: all that is not dropped there stays
         own = np.array([len(t) if m else 0 for t, m in zip(text, marked)])
         surge = 1
     else:
         own = np.array([0 if k > 0.6 else len(t) for t, k in zip(text, linked)])
-        surge = surge // 3 if "" in text else surge
+        surge = 1 if "" in text else surge
     if not own.any():
         return []
     sums = np.convolve(own, np.ones(window, int))[window - 1 :]  # of the line and those after it

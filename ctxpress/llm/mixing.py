@@ -40,7 +40,7 @@ def time_of(share: Column, knots: Sequence[float]) -> Column:
     for i in range(n - 1, -1, -1):
         rest = (share - F.lit(cum[i])) * F.lit(total)
         slope = knots[i + 1] - knots[i]
-        within = F.lit(2.0) * rest / (F.lit(knots[i]) + F.sqrt(F.lit(knots[i] * knots[i]) + F.lit(2.0 * slope) * rest))
+        within = F.coalesce(F.try_divide(F.lit(2.0) * rest, F.lit(float(knots[i])) + F.sqrt(F.lit(float(knots[i] * knots[i])) + F.lit(2.0 * slope) * rest)), F.lit(0.0))
         t = (F.lit(float(i)) + within) / F.lit(float(n))
         out = t if out is None else F.when(share < F.lit(cum[i + 1]), t).otherwise(out)
     return out
@@ -101,7 +101,7 @@ def mix_to_targets(
         at = F.col("off") + F.col("source_size") * F.lit(e)
         taken = taken + F.greatest(F.lit(0), F.least("goal", at + F.col("size")) - F.least("goal", at))
     laid = laid.withColumn("taken", taken)
-    share, t = F.col("off") / F.col("goal"), None
+    share, t = F.try_divide(F.col("off").cast("double"), F.col("goal").cast("double")), None
     for c, knots in enumerate(schedules):
         here = time_of(share, knots)
         t = here if t is None else F.when(F.col("cls") == c, here).otherwise(t)

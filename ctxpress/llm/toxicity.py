@@ -120,7 +120,7 @@ def train(texts: list[str], labels: np.ndarray, prior: float | None = None, roun
     def folded() -> np.ndarray:
         return e @ (w[:, 1] - w[:, 0])
 
-    words = sum(len(t.split()) for t in texts)
+    words, done = sum(len(t.split()) for t in texts), 0
     for k in range(int(np.clip(-(-steps * batch * WORDS // max(1, words)), rounds, 40))):
         seen = np.ones(2)
         order = rng.permutation(np.flatnonzero(~held))
@@ -131,7 +131,7 @@ def train(texts: list[str], labels: np.ndarray, prior: float | None = None, roun
                 continue
             y_all, stop = labels[some][doc], np.r_[start[1:], len(bucket)]
             use = np.ones(len(start), bool)
-            if k:  # of a toxic text the worst window, of clean ones the worst and some others
+            if k and done >= steps // 3:  # of a toxic text the worst window, of clean ones the worst and some others
                 value = np.add.reduceat(folded()[bucket] * weight, start)
                 top = np.full(len(some), -np.inf)
                 np.maximum.at(top, doc, value)
@@ -140,6 +140,7 @@ def train(texts: list[str], labels: np.ndarray, prior: float | None = None, roun
             seen += np.bincount(y_all[pick], minlength=2)
             balance = (0.5 * seen.sum() / seen).astype(np.float32)
             for i in range(0, len(pick), batch):
+                done += 1
                 sel = pick[i : i + batch]
                 size = stop[sel] - start[sel]
                 at = np.repeat(start[sel] - (np.cumsum(size) - size), size) + np.arange(size.sum())
