@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType
 
 from ctxpress.functions.tokens import words
 
@@ -30,7 +31,7 @@ def extractive(prompts: DataFrame, scores: DataFrame, share: float) -> DataFrame
     return prune_phrases(scores, Budget.ratio(share))
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def lzw_codes(s: pd.Series) -> pd.Series:
     """Codes that a dictionary coder of the classic growing-table kind emits for the UTF-8 bytes."""
 
