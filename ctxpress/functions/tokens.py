@@ -52,6 +52,13 @@ def token_count(text: Column, model: str = "word") -> Column:
 
 
 def ngrams(tokens: Column, n: int) -> Column:
-    """All n-grams of a token array, blank-joined, in order; empty for shorter arrays."""
-    last = F.size(tokens) - F.lit(n - 1)
-    return F.when(last >= 1, F.transform(F.sequence(F.lit(1), F.greatest(last, F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, n), " "))).otherwise(F.array().cast("array<string>"))
+    """All n-grams of a token array, blank-joined, in order; empty for shorter arrays.
+
+    Shifted slices are zipped, so the array is read n times in all. Give a column, not a long expression: a lambda that
+    holds an expression over the row would compute it anew for every element.
+    """
+    many = F.greatest(F.size(tokens) - F.lit(n - 1), F.lit(0))
+    out = F.slice(tokens, F.lit(1), many)
+    for k in range(1, n):
+        out = F.zip_with(out, F.slice(tokens, F.lit(k + 1), many), lambda a, b: F.concat(a, F.lit(" "), b))
+    return out

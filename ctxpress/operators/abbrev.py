@@ -16,7 +16,8 @@ def extract_ngrams(docs: DataFrame, n: int, *keys: str, boundary: str = "none")
     """(keys, gram): every n-gram of words, case kept. ``sentence`` keeps n-grams from crossing . ! ? or a line end."""
     if boundary == "sentence":
         docs = docs.select(*keys, F.explode(F.split("text", r"[.!?\n]")).alias("text"))
-    return docs.select(*keys, F.explode(ngrams(words(F.col("text")), n)).alias("gram"))
+    w = docs.select(*keys, words(F.col("text")).alias("_w"))
+    return w.select(*keys, F.explode(ngrams(F.col("_w"), n)).alias("gram"))
 
 
 def ngram_frequencies(docs: DataFrame, n: int, *keys: str, boundary: str = "none") -> DataFrame:
@@ -26,9 +27,9 @@ def ngram_frequencies(docs: DataFrame, n: int, *keys: str, boundary: str = "none
 def codec_frequencies(docs: DataFrame, n: int, *keys: str) -> DataFrame:
     """(keys, gram, freq) of the n-grams that the codec can replace: words with single blanks between them."""
     # runs of words with single blanks are the only places where the codec looks; a run is a phrase of its own
-    runs = F.regexp_extract_all(F.col("text"), F.lit(rf"{WORD}(?: {WORD})*"), F.lit(0))
-    grams = F.flatten(F.transform(runs, lambda r: ngrams(F.split(r, " "), n)))
-    return docs.select(*keys, F.explode(grams).alias("gram")).groupBy(*keys, "gram").agg(F.count("*").alias("freq"))
+    runs = F.regexp_extract_all(F.col("text"), F.lit(rf"{WORD}(?: {WORD})+"), F.lit(0))
+    w = docs.select(*keys, F.explode(runs).alias("_r")).select(*keys, F.split("_r", " ").alias("_w"))
+    return w.select(*keys, F.explode(ngrams(F.col("_w"), n)).alias("gram")).groupBy(*keys, "gram").agg(F.count("*").alias("freq"))
 
 
 def frequency_histogram(freqs: DataFrame) -> DataFrame:
@@ -234,8 +235,9 @@ def abbreviate_each(docs: DataFrame, n: int, k: int) -> DataFrame:
 def greedy_count(tokens: Column, gram: list[str]) -> Column:
     """Occurrences of ``gram`` that a left-to-right scan can replace, none overlapping, as an in-row fold."""
     n = len(gram)
-    at = F.filter(F.sequence(F.lit(1), F.greatest(F.size(tokens) - (n - 1), F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, n), " ") == " ".join(gram))
-    return F.aggregate(at, F.struct(F.lit(0).alias("n"), F.lit(0).alias("free")), lambda a, i: F.when(i > a["free"], F.struct((a["n"] + 1).alias("n"), (i + (n - 1)).alias("free"))).otherwise(a))["n"].cast("long")
+    at = F.filter(F.transform(ngrams(tokens, n), lambda g, i: F.when(g == " ".join(gram), i)), lambda i: i.isNotNull())
+    start = F.struct(F.lit(0).alias("n"), F.lit(-1).alias("free"))
+    return F.aggregate(at, start, lambda a, i: F.when(i > a["free"], F.struct((a["n"] + 1).alias("n"), (i + (n - 1)).alias("free"))).otherwise(a))["n"].cast("long")
 
 
 def dictionary_header(dictionary: DataFrame) -> DataFrame:

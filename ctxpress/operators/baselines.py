@@ -19,7 +19,7 @@ def truncate(text: Column, share: float) -> Column:
 def random_drop(tokens: DataFrame, share: float, seed: int = 7) -> DataFrame:
     """Adds kept: as many tokens as the ratio budget keeps, in an order mixed by place and seed."""
     own = Window.partitionBy("prompt_id")
-    mixed = ((F.col("prompt_id") * 1000003 + F.col("pos")) * F.lit(2654435761) + F.lit(seed)) % F.lit(4294967296)
+    mixed = ((F.col("prompt_id") * 1000003 + F.col("pos")) % F.lit(2147483647) * F.lit(48271) + F.lit(seed)) % F.lit(2147483647)
     rank = F.row_number().over(own.orderBy(mixed, "pos"))
     return tokens.withColumn("kept", rank <= F.ceil(F.lit(share) * F.count("*").over(own)))
 

@@ -6,19 +6,34 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ctxpress.functions.scalar import cosine
-from ctxpress.functions.tokens import words
+from ctxpress.functions.tokens import WORD, words
 
 
 class HashedWords:
-    """Counts of words hashed into ``dim`` places, damped by 1 + log2, as an array expression; no model is needed."""
+    """Counts of words hashed into ``dim`` places, damped by 1 + log2; deterministic, no model is needed."""
 
     def __init__(self, dim: int = 256):
         self.dim = dim
 
     def encode(self, text: Column) -> Column:
-        spots = F.transform(words(text, True), lambda w: F.pmod(F.crc32(w), F.lit(self.dim)).cast("int"))
-        counts = F.transform(F.sequence(F.lit(0), F.lit(self.dim - 1)), lambda i: F.size(F.filter(spots, lambda s: s == i)))
-        return F.transform(counts, lambda n: F.when(n > 0, 1 + F.log2(n.cast("double"))).otherwise(F.lit(0.0)))
+        dim = self.dim
+
+        @F.pandas_udf("array<double>")
+        def run(s):
+            import zlib
+
+            import numpy as np
+            import regex
+
+            find = regex.compile(WORD).findall
+
+            def one(t):
+                n = np.bincount([zlib.crc32(w.encode()) % dim for w in find((t or "").lower())], minlength=dim).astype(float)
+                return np.where(n > 0, 1 + np.log2(np.maximum(n, 1)), 0.0)
+
+            return s.map(one)
+
+        return run(text)
 
 
 class CharGrams:
@@ -67,13 +82,25 @@ class ExternalEncoder:
 
 
 def word_cosine(a: Column, b: Column) -> Column:
-    """Cosine of the word counts of two texts by exact words: common words only are visited."""
-    wa, wb = words(a, True), words(b, True)
-    da = F.array_distinct(wa)
-    count = lambda ws, w: F.size(F.filter(ws, lambda x: x == w)).cast("double")
-    dot = F.aggregate(F.array_intersect(wa, wb), F.lit(0.0), lambda s, w: s + count(wa, w) * count(wb, w))
-    norm = lambda ws, ds: F.sqrt(F.aggregate(ds, F.lit(0.0), lambda s, w: s + count(ws, w) * count(ws, w)))
-    return F.try_divide(dot, norm(wa, da) * norm(wb, F.array_distinct(wb)))
+    """Cosine of the word counts of two texts by exact words; null if one has none. Linear in the texts, through Arrow."""
+
+    @F.pandas_udf("double")
+    def run(x, y):
+        from collections import Counter
+
+        import pandas as pd
+        import regex
+
+        find = regex.compile(WORD).findall
+
+        def one(s, t):
+            c, d = Counter(find((s or "").lower())), Counter(find((t or "").lower()))
+            norm = (sum(v * v for v in c.values()) * sum(v * v for v in d.values())) ** 0.5
+            return sum(v * d[w] for w, v in c.items() if w in d) / norm if norm else None
+
+        return pd.Series([one(s, t) for s, t in zip(x, y)], dtype="float64")
+
+    return run(a, b)
 
 
 def pair_similarity(pairs: DataFrame, a: str = "text", b: str = "short", encoder=None) -> DataFrame:

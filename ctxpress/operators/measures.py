@@ -43,8 +43,7 @@ def placeholder_density(df: DataFrame, mapping: dict[str, str], short: str = "sh
     """Adds placeholders per 100 tokens."""
     from ctxpress.functions.tokens import words
 
-    names = F.array(*[F.lit(v) for v in mapping.values()])
-    n = F.size(F.filter(words(F.col(short)), lambda w: F.array_contains(names, w)))
+    n = F.size(F.filter(words(F.col(short)), lambda w: w.isin(list(mapping.values()))))
     return df.withColumn("placeholders", n.cast("long")).withColumn("density", F.round(F.coalesce(F.try_divide(100 * n, token_count(F.col(short))), F.lit(0.0)), 4))
 
 

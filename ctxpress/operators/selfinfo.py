@@ -70,8 +70,7 @@ class NgramModel(UnigramModel):
         w = docs.select(words(F.col("text"), True).alias("w"))
         self.tables = []
         for k in range(order, 1, -1):
-            row = F.transform("w", lambda t, i, k=k: F.struct(context_of(F.col("w"), i, k - 1).alias("ctx"), t.alias("tok")))
-            pairs = w.select(F.explode(row).alias("e")).groupBy("e.ctx", "e.tok").agg(F.count("*").alias("n"))
+            pairs = w.select(F.explode(with_context(F.col("w"), k - 1)).alias("e")).groupBy("e.ctx", "e.tok").agg(F.count("*").alias("n"))
             self.tables.append((k, pairs, pairs.groupBy("ctx").agg(F.sum("n").alias("m"))))
 
     def score(self, tokens: DataFrame) -> DataFrame:
@@ -124,6 +123,11 @@ class ExternalModel:
         return tokens.mapInPandas(run, f"{kinds}, s_dyn double")
 
 
+def with_context(w, size: int):
+    """array<struct<ctx, tok>> of a word array."""
+    return F.transform(w, lambda t, i: F.struct(context_of(w, i, size).alias("ctx"), t.alias("tok")))
+
+
 def context_of(w, pos, size: int):
     """The ``size`` words before place ``pos`` of array ``w``, blank-joined, empty words at the start."""
     parts = [F.when(pos >= k, F.try_element_at(w, (pos - k + 1).cast("int"))).otherwise(F.lit("")) for k in range(size, 0, -1)]
@@ -141,7 +145,7 @@ def prompt_tokens(prompts: DataFrame) -> DataFrame:
 
 
 def score_tokens(prompts: DataFrame, docs: DataFrame, scorer=None, band: float = 0.10, mode: str = "combined") -> DataFrame:
-    """(prompt_id, pos, tok, s_stat, s_dyn, delta, rule, score) for every word of every prompt; scores to six digits."""
+    """(prompt_id, pos, tok, s_stat, s_dyn, delta, rule, score) for every word of every prompt; information to six digits."""
     scorer = scorer or NgramModel(docs, 2)
     t = scorer.score(prompt_tokens(prompts))
     t = t.withColumn("s_stat", -F.log2("p1")) if "p1" in t.columns else UnigramModel(unigram_counts(docs)).attach(t).withColumn("s_stat", -F.log2("p1"))
@@ -149,7 +153,7 @@ def score_tokens(prompts: DataFrame, docs: DataFrame, scorer=None, band: float =
     t = t.select("prompt_id", "pos", "tok", s.alias("s_stat"), d.alias("s_dyn"))
     s, d = F.col("s_stat"), F.col("s_dyn")
     score = {"combined": combine_scores(s, d, band), "static": s, "dynamic": d}[mode]
-    return t.select("*", F.round(relative_gap(s, d), 6).alias("delta"), merge_rule(s, d, band).alias("rule"), F.round(score, 6).alias("score"))
+    return t.select("*", F.round(relative_gap(s, d), 6).alias("delta"), merge_rule(s, d, band).alias("rule"), F.round(score, 7).alias("score"))
 
 
 def band_sensitivity(tokens: DataFrame, bands: tuple[float, ...] = (0.05, 0.10, 0.15)) -> DataFrame:
