@@ -140,7 +140,7 @@ def prune_adaptive(spark, sf):
     return pruned(spark, sf, Budget.adaptive(60))
 
 
-PHRASES = """ph AS (SELECT prompt_id, phrase, round(avg(score), 6) AS ps, count(*) AS n, min(pos) AS first FROM g GROUP BY ALL),
+PHRASES = """ph AS (SELECT prompt_id, phrase, round(avg(score), 10) AS ps, count(*) AS n, min(pos) AS first FROM g GROUP BY ALL),
   pk AS (SELECT *, row_number() OVER o = 1 OR sum(n) OVER (PARTITION BY prompt_id ORDER BY ps DESC, first ROWS UNBOUNDED PRECEDING) <= ceil(0.5 * sum(n) OVER (PARTITION BY prompt_id)) AS kept
          FROM ph WINDOW o AS (PARTITION BY prompt_id ORDER BY ps DESC, first)),
   k AS (SELECT g.*, kept FROM g JOIN pk USING (prompt_id, phrase))"""
@@ -178,8 +178,8 @@ def prune_phrases_clause(spark, sf):
     return prune.reassemble(prune.prune_phrases(prune.group_clauses(t), Budget.ratio(0.5)))
 
 
-@query(f"""WITH {SCORED}, g AS (SELECT *, pos // 5 AS phrase FROM cs), ph AS (SELECT prompt_id, phrase, round(avg(score), 6) AS p0, count(*) AS n, min(pos) AS first FROM g GROUP BY ALL),
-  pb AS (SELECT *, round(p0 * (1 + 0.2 * abs(percent_rank() OVER (PARTITION BY prompt_id ORDER BY first) * 2 - 1)), 6) AS ps FROM ph),
+@query(f"""WITH {SCORED}, g AS (SELECT *, pos // 5 AS phrase FROM cs), ph AS (SELECT prompt_id, phrase, round(avg(score), 10) AS p0, count(*) AS n, min(pos) AS first FROM g GROUP BY ALL),
+  pb AS (SELECT *, round(p0 * (1 + 0.2 * abs(percent_rank() OVER (PARTITION BY prompt_id ORDER BY first) * 2 - 1)), 10) AS ps FROM ph),
   pk AS (SELECT *, row_number() OVER o = 1 OR sum(n) OVER (PARTITION BY prompt_id ORDER BY ps DESC, first ROWS UNBOUNDED PRECEDING) <= ceil(0.5 * sum(n) OVER (PARTITION BY prompt_id)) AS kept FROM pb WINDOW o AS (PARTITION BY prompt_id ORDER BY ps DESC, first)),
   k AS (SELECT g.*, kept FROM g JOIN pk USING (prompt_id, phrase)) {KEPT}""")
 def prune_position_bias(spark, sf):

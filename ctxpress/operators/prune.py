@@ -157,11 +157,11 @@ def prune_phrases(tokens: DataFrame, budget: Budget, agg: str = "mean", protect:
     """
     score = {"mean": F.avg("score"), "sum": F.sum("score"), "max": F.max("score")}[agg]
     safe = F.max(F.col("tok").rlike(protect)) if protect else F.lit(False)
-    ph = tokens.groupBy("prompt_id", "phrase").agg(F.round(score, 6).alias("phrase_score"), F.count("*").alias("_n"), F.min("pos").alias("_first"), safe.alias("_safe"))
+    ph = tokens.groupBy("prompt_id", "phrase").agg(F.round(score, 10).alias("phrase_score"), F.count("*").alias("_n"), F.min("pos").alias("_first"), safe.alias("_safe"))
     own = Window.partitionBy("prompt_id")
     if position_bias:
         place = F.abs(F.percent_rank().over(own.orderBy("_first")) * 2 - 1)
-        ph = ph.withColumn("phrase_score", F.round(F.col("phrase_score") * (1 + F.lit(position_bias) * place), 6))
+        ph = ph.withColumn("phrase_score", F.round(F.col("phrase_score") * (1 + F.lit(position_bias) * place), 10))
     order = own.orderBy(F.col("_safe").desc(), F.col("phrase_score").desc_nulls_first(), F.col("_first"))
     ph = ph.withColumn("_used", F.sum("_n").over(order.rowsBetween(Window.unboundedPreceding, 0))).withColumn("_size", F.sum("_n").over(own)).withColumn("_rank", F.row_number().over(order))
     kept = F.col("_safe") | (F.col("_rank") == 1) | (F.col("_used") <= budget.allowance(F.col("_size")))
