@@ -24,8 +24,8 @@ def gaps(text: Column) -> Column:
 
 def tokenize(text: Column) -> Column:
     """array<struct<pos, tok, gap>>; gap stands before the token, and a last element without token holds the tail."""
-    toks, between = lexical(text), gaps(text)
-    return F.transform(between, lambda g, i: F.struct(i.alias("pos"), F.try_element_at(toks, i + 1).alias("tok"), g.alias("gap")))
+    placed = F.transform(gaps(text), lambda g, i: F.struct(i.alias("pos"), g.alias("gap")))
+    return F.zip_with(placed, lexical(text), lambda p, t: F.struct(p["pos"].alias("pos"), t.alias("tok"), p["gap"].alias("gap")))
 
 
 def untokenize(tokens: Column) -> Column:
