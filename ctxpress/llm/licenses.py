@@ -67,11 +67,12 @@ OTHER_TEXTS = [
 ]
 #: A paragraph without any of these is not looked at.
 CUES = ("licen", "copyright", "permission", "redistribut", "public domain", "rights reserved", "creative commons", "warrant", "spdx", "agpl", "lgpl", "gnu gpl", "cc0", "unencumbered", "subject to the terms")
-WORD = r"[\p{L}\p{N}]+(?:[.-][\p{L}\p{N}]+)*"
+#: A word may hold dots and hyphens, but does not end in one. No repeated group: those recurse on long matches.
+WORD = r"[\p{L}\p{N}][\p{L}\p{N}.-]*"
 
 
 def words_py(text: str) -> list[str]:
-    return re.findall(r"[^\W_]+(?:[.-][^\W_]+)*", text.lower())
+    return [w.rstrip(".-") for w in re.findall(r"[^\W_](?:[^\W_]|[.-])*", text.lower())]
 
 
 def ngrams_py(words: list[str]) -> set[str]:
@@ -174,7 +175,7 @@ def scan_licences(docs: DataFrame, model: LicenceModel | None = None, sure: floa
     spark = docs.sparkSession
     lines = docs.where(has_cue(F.col("text"))).select("doc_id", F.posexplode(F.split("text", "\n", -1)).alias("paragraph", "line"))
     lines = lines.where(has_cue(F.col("line"))).withColumn("row", F.monotonically_increasing_id())
-    words = F.regexp_extract_all(F.lower("line"), F.lit(WORD), F.lit(0))
+    words = F.transform(F.regexp_extract_all(F.lower("line"), F.lit(WORD), F.lit(0)), lambda w: F.rtrim(w, F.lit(".-")))
     lines = lines.withColumn("words", words).withColumn("alike", similarity(F.col("words"), model))
     padded = F.concat(F.array(F.lit("^")), F.col("words"), F.array(F.lit("$")))
     pairs = F.transform(F.sequence(F.lit(1), F.size("words") + 1), lambda i: F.concat_ws(" ", F.element_at(padded, i), F.element_at(padded, i + 1)))
