@@ -12,6 +12,10 @@ from pyspark.sql import functions as F
 from ctxpress.functions.tokens import WORD, ngrams, words
 
 
+#: Stands before a word of the text that is also a placeholder; n-grams right after one are left alone.
+ESCAPE = "\x1b"
+
+
 def extract_ngrams(docs: DataFrame, n: int, *keys: str, boundary: str = "none") -> DataFrame:
     """(keys, gram): every n-gram of words, case kept. ``sentence`` keeps n-grams from crossing . ! ? or a line end."""
     if boundary == "sentence":
@@ -26,9 +30,9 @@ def ngram_frequencies(docs: DataFrame, n: int, *keys: str, boundary: str = "none
 
 def codec_frequencies(docs: DataFrame, n: int, *keys: str) -> DataFrame:
     """(keys, gram, freq) of the n-grams that the codec can replace: words with single blanks between them."""
-    # runs of words with single blanks are the only places where the codec looks; a run is a phrase of its own
-    runs = F.regexp_extract_all(F.col("text"), F.lit(rf"{WORD}(?: {WORD})+"), F.lit(0))
-    w = docs.select(*keys, F.explode(runs).alias("_r")).select(*keys, F.split("_r", " ").alias("_w"))
+    # cut at whatever is neither part of a word nor a single blank; a repeated group would recurse on very long runs
+    runs = F.split("text", r"[^\p{L}\p{M}\p{N}_ ]| {2,}", -1)
+    w = docs.select(*keys, F.explode(runs).alias("_r")).select(*keys, F.split(F.trim("_r"), " ").alias("_w"))
     return w.select(*keys, F.explode(ngrams(F.col("_w"), n)).alias("gram")).groupBy(*keys, "gram").agg(F.count("*").alias("freq"))
 
 
@@ -132,6 +136,8 @@ class Codec:
     def __init__(self, mapping: dict[str, str], overlap: str = "leftmost_longest", freq: dict[str, int] | None = None):
         self.mapping, self.overlap, self.freq = mapping, overlap, freq or {}
 
+    _words = regex.compile(WORD)
+
     def _pattern(self, parts: list[str]):
         return regex.compile(r"(?<![\p{L}\p{M}\p{N}_])(?:" + "|".join(map(regex.escape, parts)) + r")(?![\p{L}\p{M}\p{N}_])")
 
@@ -139,19 +145,44 @@ class Codec:
         m = self.mapping
         if not m:
             return lambda t: t
+        names = set(m.values())
+        clash = lambda t: t is not None and (ESCAPE in t or any(w in names for w in self._words.findall(t)))
         if self.overlap == "leftmost_longest":
-            p = self._pattern(sorted(m, key=lambda g: (-g.count(" "), g)))
-            return lambda t: None if t is None else p.sub(lambda x: m[x[0]], t)
+            return self._scan
         if self.overlap == "frequency_first":  # one n-gram after the other over the whole text, the most frequent first
             ps = [(self._pattern([g]), m[g]) for g in sorted(m, key=lambda g: (-self.freq.get(g, 0), g))]
 
             def f(t):
+                if clash(t):
+                    return self._scan(t)
                 for p, r in ps if t is not None else ():
                     t = p.sub(r, t)
                 return t
 
             return f
-        return self._best_cover
+        return lambda t: self._scan(t) if clash(t) else self._best_cover(t)
+
+    def _scan(self, t: str | None) -> str | None:
+        """One pass over the words: at each, the longest n-gram whose surface is in the dictionary."""
+        if t is None:
+            return None
+        m, sizes, names = self.mapping, sorted({g.count(" ") for g in self.mapping}, reverse=True), set(self.mapping.values())
+        spans = [x.span() for x in self._words.finditer(t)]
+        out, last, i, n = [], 0, 0, len(spans)
+        while i < n:
+            start = spans[i][0]
+            if t[start : spans[i][1]] in names:  # a word of the text that looks like a placeholder
+                out += (t[last:start], ESCAPE)
+                last = start
+            for k in sizes if t[start - 1 : start] != ESCAPE else ():
+                if i + k < n and (short := m.get(t[start : spans[i + k][1]])) is not None:
+                    out += (t[last:start], short)
+                    last = spans[i + k][1]
+                    i += k
+                    break
+            i += 1
+        out.append(t[last:])
+        return "".join(out)
 
     def _best_cover(self, t: str | None) -> str | None:
         """The cover that saves most words: a dynamic programme over the places where n-grams match."""
@@ -179,8 +210,14 @@ class Codec:
 
     def decoder(self):
         back = {v: k for k, v in self.mapping.items()}
-        p = regex.compile(WORD)
-        return lambda t: None if t is None else p.sub(lambda x: back.get(x[0], x[0]), t)
+        p = regex.compile(f"({ESCAPE}?)({WORD})")
+
+        def one(x):
+            if x[2] not in back:
+                return x[0]
+            return x[2] if x[1] else back[x[2]]
+
+        return lambda t: None if t is None else p.sub(one, t)
 
 
 def _apply(docs: DataFrame, make, text_col: str, out_col: str) -> DataFrame:

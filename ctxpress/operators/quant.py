@@ -75,14 +75,17 @@ def quantize_grouped(df: DataFrame, col: str, by: str, bits: int) -> DataFrame:
 
 def quant_error(df: DataFrame, grids: Sequence[Grid]) -> DataFrame:
     """(column, bits, max_abs, mean_abs, mse, tight_bound, paper_bound, within) of all grids in one pass."""
-    rows = []
-    for g in grids:
+    aggs, rows = [], []
+    for i, g in enumerate(grids):
         x = finite(F.col(g.column))
         e = F.abs(x - dequantize(quantize(x, g.lo, g.hi, g.bits), g.lo, g.hi, g.bits))
-        rows.append(F.struct(F.lit(g.column).alias("column"), F.lit(g.bits).alias("bits"), e.alias("e"), F.lit(g.bound()).alias("tight"), F.lit(g.bound("paper")).alias("paper")))
-    t = df.select(F.explode(F.array(*rows)).alias("r")).groupBy("r.column", "r.bits")
-    t = t.agg(F.max("r.e").alias("m"), F.avg("r.e").alias("a"), F.avg(F.col("r.e") * F.col("r.e")).alias("s"), F.first("r.tight").alias("tight"), F.first("r.paper").alias("paper"))
-    return t.select("column", "bits", F.round("m", 6).alias("max_abs"), F.round("a", 6).alias("mean_abs"), F.round("s", 4).alias("mse"), F.round("tight", 6).alias("tight_bound"), F.round("paper", 6).alias("paper_bound"), (F.col("m") <= F.col("tight") * (1 + 1e-9) + 1e-9).alias("within"))
+        aggs += [F.max(e).alias(f"m{i}"), F.avg(e).alias(f"a{i}"), F.avg(e * e).alias(f"s{i}")]
+        within = F.col(f"m{i}") <= F.lit(g.bound() * (1 + 1e-9) + 1e-9)
+        rows.append(F.struct(
+            F.lit(g.column).alias("column"), F.lit(g.bits).alias("bits"), F.round(f"m{i}", 6).alias("max_abs"), F.round(f"a{i}", 6).alias("mean_abs"), F.round(f"s{i}", 4).alias("mse"),
+            F.round(F.lit(g.bound()), 6).alias("tight_bound"), F.round(F.lit(g.bound("paper")), 6).alias("paper_bound"), within.alias("within"),
+        ))
+    return df.agg(*aggs).select(F.explode(F.array(*rows)).alias("r")).select("r.*")
 
 
 def code_predicate(g: Grid, op: str, value: float, suffix: str = "_q") -> Column:
