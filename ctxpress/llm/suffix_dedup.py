@@ -415,7 +415,7 @@ def cut(key: tuple, table: pa.Table, found: pa.Table) -> pa.Table:
     })
 
 
-def remove_repeats(docs: DataFrame, chunk_bytes: int = 12 << 20, carry: bool = True, as_text: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, chunk_bytes: int = 8 << 20, carry: bool = True, as_text: bool = False) -> DataFrame:
     """One row per document: the columns of ``docs`` but text, and kept (bytes, or text if asked for), n_bytes, n_removed, n_spans, kept_sha256.
 
     Null text is empty and never matches. A null doc_id comes after all others. Rows of an equal doc_id are one document to
