@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from ctxpress.llm.toxicity import blocks
 
-GRAMS, BUCKETS, SWITCH, BLOCK = (2, 3, 4), 1 << 15, 8.0, 3 << 20
+GRAMS, BUCKETS, SWITCH, BLOCK = (2, 3, 4), 1 << 15, 8.0, 3 << 19
 UNKNOWN = "und"
 # First and last code point of the main blocks of each script.
 SCRIPTS = {
