@@ -13,7 +13,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ctxpress.llm.common import NON_SPACE
+from ctxpress.llm.common import NON_SPACE, cut_lineage
 
 #: Weight at equally spaced times for each class of source, by place in the cycle: falling, level, rising.
 SCHEDULES = ((1.5, 1.0, 0.5), (1.0, 1.0, 1.0), (0.5, 1.0, 1.5))
@@ -89,6 +89,7 @@ def mix_to_targets(
     key = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary"))
     base = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), key.alias("key"))
     base = base.withColumn("src", F.coalesce(F.concat(F.lit("s"), "source"), F.lit("n"))).withColumn("part", F.substring("key", 1, prefix))
+    base = cut_lineage(base)  # texts are read once, and leave only their sizes
     parts = base.groupBy("src", "part").agg(F.first("source").alias("source"), F.sum("size").alias("words"))
     targets = source_targets(parts.groupBy("src").agg(F.first("source").alias("source"), F.sum("words").alias("source_size")), weights, total_share, max_epochs)
     before = Window.partitionBy("src").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
