@@ -94,6 +94,7 @@ def judge_urls(
     purity = (F.sum("blocked") + F.lit(weight * prior)) / (F.sum("labelled") + F.lit(weight))
     graded = tree.groupBy("host", "template").agg(purity.alias("purity"))
     named = tree.select("host", "path", "template").join(graded, ["host", "template"]).select(F.col("host").alias("h_"), F.col("path").alias("p_"), "template", "purity")
+    named = cut_lineage(named)  # the join stands alone, so that a host with very many URLs can be split
     out = judged.join(named, (judged["host"] == named["h_"]) & (judged["path"] == named["p_"]))
     verdict = F.when(F.col("rule").isin(blocking), "block").when(F.col("rule").isNotNull(), "allow").when(F.col("purity") >= reject, "block").otherwise("allow")
     return out.select("page_id", "host", "path", "rule", verdict.alias("verdict"), "template", F.round("purity", 9).alias("purity"))
