@@ -2,18 +2,42 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
-__all__ = ["NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "shared_folder", "partitions_for", "text_bytes"]
+__all__ = ["NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "give_back", "shared_folder", "partitions_for", "text_bytes", "text_parts"]
 
 #: One word: anything but the six ASCII white-space characters.
 NON_SPACE = r"[^\x20\x09-\x0D]+"
 
 
+def give_back() -> None:
+    """Returns what a worker has freed to the system, where the allocator would keep it for itself."""
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another allocator
+        pass
+
+
+def text_parts(column, most: int):
+    """(first row, texts) of slices of an Arrow text column with about ``most`` bytes each."""
+    import numpy as np
+    import pyarrow.compute as pc
+
+    size = np.cumsum(pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)) if len(column) else []
+    lo = 0
+    while lo < len(column):
+        start = int(size[lo - 1]) if lo else 0
+        hi = max(lo + 1, int(np.searchsorted(size, start + most, "right")))
+        yield lo, column.slice(lo, hi - lo).to_pylist()
+        lo = hi
+    give_back()
+
+
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
     """Uses the folder that the cluster names; sets one of our own only where none is set."""
     sc = spark.sparkContext

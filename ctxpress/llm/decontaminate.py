@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ctxpress.llm.suffix_dedup import BASES, powers, scramble
-from ctxpress.llm.toxicity import blocks
+from ctxpress.llm.common import text_parts
 
 WINDOW, SHARE, WEIGHT = 12, 0.8, 5
 BLOCK = 1 << 20
@@ -164,9 +164,9 @@ def indexes(benchmark: DataFrame, window: int = WINDOW, share: float = SHARE, mo
 def _scan(docs: DataFrame, index: SeedIndex) -> DataFrame:
     def f(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts, rows = b.column(1).to_pylist(), []
-            for lo, hi in blocks(texts, BLOCK):
-                rows += [(lo + d, int(index.ids[i]), n, at, s) for d, i, n, at, s in index.find(texts[lo:hi])]
+            rows: list = []
+            for lo, texts in text_parts(b.column(1), BLOCK):
+                rows += [(lo + d, int(index.ids[i]), n, at, s) for d, i, n, at, s in index.find(texts)]
             cols = list(zip(*rows)) or [[]] * 5
             kinds = (pa.int64(), pa.int32(), pa.int32(), pa.float64())
             yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(cols[0], pa.int64())), *[pa.array(c, k) for c, k in zip(cols[1:], kinds)]], names=["doc_id", "item_id", "words", "at_word", "similarity"])
@@ -182,9 +182,9 @@ def drop_leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shar
     def without(index: SeedIndex):
         def f(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                texts, keep = b.column(at).to_pylist(), np.ones(b.num_rows, bool)
-                for lo, hi in blocks(texts, BLOCK):
-                    keep[[lo + d for d, *_ in index.find(texts[lo:hi])]] = False
+                keep = np.ones(b.num_rows, bool)
+                for lo, texts in text_parts(b.column(at), BLOCK):
+                    keep[[lo + d for d, *_ in index.find(texts)]] = False
                 yield b.filter(pa.array(keep))
 
         return f

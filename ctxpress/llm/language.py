@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ctxpress.llm.common import text_parts
 from ctxpress.llm.toxicity import blocks
 
 GRAMS, BUCKETS, SWITCH, BLOCK = (2, 3, 4), 1 << 15, 8.0, 3 << 19
@@ -216,10 +217,9 @@ def identify_language(docs: DataFrame, model: LanguageModel, spans: bool = False
     def f(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kind = pa.list_(pa.struct([("lang", pa.string()), ("first_word", pa.int32()), ("words", pa.int32())]))
         for b in batches:
-            texts = b.column(1).to_pylist()
-            for lo, hi in blocks(texts, BLOCK):
-                names, score, found = model.predict(texts[lo:hi])
-                cols = [b.column(0).slice(lo, hi - lo), pa.array(names, pa.string()), pa.array(score)]
+            for lo, texts in text_parts(b.column(1), BLOCK):
+                names, score, found = model.predict(texts)
+                cols = [b.column(0).slice(lo, len(texts)), pa.array(names, pa.string()), pa.array(score)]
                 yield pa.RecordBatch.from_arrays([*cols, pa.array(found, kind)] if spans else cols, names=["doc_id", "lang_pred", "score", "spans"][: 3 + spans])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
@@ -232,11 +232,10 @@ def keep_identified(docs: DataFrame, model: LanguageModel, least: float = 0.2) -
 
     def f(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = b.column(at).to_pylist()
-            for lo, hi in blocks(texts, BLOCK):
-                names, score, _ = model.predict(texts[lo:hi])
+            for lo, texts in text_parts(b.column(at), BLOCK):
+                names, score, _ = model.predict(texts)
                 keep = [n != UNKNOWN and s >= least for n, s in zip(names, score)]
-                yield b.slice(lo, hi - lo).filter(pa.array(keep, pa.bool_()))
+                yield b.slice(lo, len(texts)).filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(f, docs.schema)
 

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ctxpress.llm.common import cut_lineage, free_name, partitions_for
+from ctxpress.llm.common import cut_lineage, free_name, give_back, partitions_for
 from ctxpress.llm.graph import connected_components
 
 MAX_BITS, SHINGLE, FAN = 4, 4, 8
@@ -46,9 +46,10 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
 
 
 def fingerprint_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Batches (doc_id, text) to (doc_id, fp); equal texts that follow each other are read once."""
+    """Batches (doc_id, text) to (doc_id, fp)."""
     for b in batches:
         fps = np.fromiter((fingerprint(t.as_py()) for t in b.column(1)), np.uint64, b.num_rows)
+        give_back()
         yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
 
 

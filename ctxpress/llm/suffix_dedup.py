@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BinaryType, LongType, StringType, StructType
 
-from ctxpress.llm.common import partitions_for, text_bytes
+from ctxpress.llm.common import give_back, partitions_for, text_bytes
 
 WINDOW, GRAM = 50, 20
 SPAN = WINDOW - GRAM + 1
@@ -219,6 +219,7 @@ def send(width: int, buckets: int):
             r = {k: v[order] for k, v in r.items()}
             doc = ids[r["doc"]]
             new = np.flatnonzero(np.r_[True, (r["body"][1:] != r["body"][:-1]) | (r["gram"][1:] != r["gram"][:-1])]) if len(doc) else np.zeros(0, np.int64)
+            give_back()
             if len(new):
                 least, most = np.minimum.reduceat(doc, new), np.maximum.reduceat(doc, new)
                 r = {k: v[new] for k, v in r.items()}
@@ -384,7 +385,13 @@ def removed_bytes(data: np.ndarray, offsets: np.ndarray, ids: np.ndarray, found:
             lo = r["first"][run] + col["from"][s]
             np.add.at(edge, lo, 1)
             np.add.at(edge, lo + (col["n"][s].astype(np.int64) - 1 + WINDOW), -1)
-    return np.cumsum(edge[:-1]) > 0
+    return np.cumsum(edge[:-1], dtype=np.int32) > 0
+
+
+def between(marks: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """How many marks lie between each two offsets."""
+    at = np.searchsorted(np.flatnonzero(marks), offsets)
+    return np.diff(at)
 
 
 def cut_text(key: tuple, table: pa.Table, found: pa.Table) -> pa.Table:
@@ -399,16 +406,16 @@ def cut(key: tuple, table: pa.Table, found: pa.Table) -> pa.Table:
     data, offsets = bytes_of(table.column("_txt"))
     gone = removed_bytes(data, offsets, ids_of(table.column("_id")), found)
     n, size = table.num_rows, np.diff(offsets)
-    total = np.r_[0, np.cumsum(gone)]
-    removed = total[offsets[1:]] - total[offsets[:-1]]
+    removed = between(gone, offsets)
     opening = gone & ~np.r_[False, gone[:-1]] if len(gone) else gone
     heads = offsets[:-1][size > 0]
     opening[heads] = gone[heads]
-    spans = np.r_[0, np.cumsum(opening)]
-    spans = spans[offsets[1:]] - spans[offsets[:-1]]
+    spans = between(opening, offsets)
     left = data[~gone]
     bounds = np.r_[0, np.cumsum(size - removed)]
     kept = [left[bounds[i] : bounds[i + 1]].tobytes() for i in range(n)]
+    del data, gone, opening, left
+    give_back()
     return pa.table({
         **{c: table.column(c) for c in table.column_names if c not in ("chunk", "_txt")}, "kept": pa.array(kept, pa.binary()), "n_bytes": pa.array(size), "n_removed": pa.array(removed.astype(np.int64)),
         "n_spans": pa.array(spans.astype(np.int64)), "kept_sha256": pa.array([hashlib.sha256(k).hexdigest() for k in kept]),

@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ctxpress.llm.common import text_parts
+
 BUCKETS, DIM, GRAMS, WORDS, STRIDE = 1 << 16, 8, (3, 4, 5, 6), 8, 4
 BLOCK = 1 << 20
 
@@ -225,8 +227,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, threshold: float = 0.3
 
     def f(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = b.column(1).to_pylist()
-            s = np.concatenate([model.score(texts[i:j]) for i, j in blocks(texts)] or [np.zeros(0)])
+            s = np.concatenate([model.score(texts) for _, texts in text_parts(b.column(1), BLOCK)] or [np.zeros(0)])
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(s), pa.array((s >= threshold).astype(np.int32))], names=["doc_id", "score", "predicted"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
