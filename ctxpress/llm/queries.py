@@ -17,4 +17,4 @@ QUERIES = {
     "op10_embedding_near_dedup": embedding_dedup.op10_embedding_near_dedup,
 }
 
-ORACLE_SQL = {"op8_mix_sources": mixing.mixing_sql()}
+ORACLE_SQL = {"op7_url_filter": url_templates.url_sql(), "op8_mix_sources": mixing.mixing_sql()}

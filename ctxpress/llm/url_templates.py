@@ -102,3 +102,34 @@ def judge_urls(
 
 def op7_url_filter(spark, sf_dir: str) -> DataFrame:
     return judge_urls(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url"))
+
+
+def url_sql(pages: str = "pages", rules: Sequence[tuple[str, str]] = RULES, depth: int = 4, common: int = 5) -> str:
+    """The same judgement for DuckDB, with the other parameters at their defaults."""
+    cases = ""
+    for _, rule in sorted(rules, key=lambda r: (-len(r[1]), r[1])):
+        name, slash, rest = rule.partition("/")
+        cases += f" WHEN (host = '{name}' OR host LIKE '%.{name}') AND starts_with(path, '{slash}{rest}') THEN '{rule}'"
+    blocking = ", ".join(f"'{r}'" for v, r in rules if v == "block")
+    steps = ""
+    for d in range(1, depth + 1):
+        place = "PARTITION BY host, template ORDER BY rate NULLS FIRST, seg"
+        steps += f""",
+k{d} AS (SELECT host, template, segs[{d}] AS seg, sum(n) AS n, sum(labelled)::BIGINT AS l, sum(blocked)::BIGINT AS b FROM t{d - 1} WHERE len(segs) >= {d} AND segs[{d}] <> '' GROUP BY ALL HAVING sum(n) >= {common}),
+r{d} AS (SELECT *, CASE WHEN l > 0 THEN b::DOUBLE / l END AS rate FROM k{d}),
+p{d} AS (SELECT *, lag(l) OVER w AS l0, lag(b) OVER w AS b0, lag(rate) OVER w AS rate0, (b + lag(b) OVER w + 1)::DOUBLE / (l + lag(l) OVER w + 2) AS pooled FROM r{d} WINDOW w AS ({place})),
+a{d} AS (SELECT *, (l = 0 OR coalesce(rate - rate0 > 3.0 * sqrt(pooled * (1 - pooled) * (1.0::DOUBLE / nullif(l, 0) + 1.0::DOUBLE / nullif(l0, 0))), true))::INTEGER AS apart FROM p{d}),
+b{d} AS (SELECT *, sum(apart) OVER ({place} ROWS UNBOUNDED PRECEDING) AS branch FROM a{d}),
+m{d} AS (SELECT host, template, seg, min(seg) OVER (PARTITION BY host, template, branch) AS name FROM b{d}),
+t{d} AS (SELECT t.host, path, n, labelled, blocked, segs,
+  t.template || CASE WHEN len(segs) < {d} THEN '' WHEN segs[{d}] = '' THEN '/' ELSE '/' || coalesce(name, '*') END AS template
+  FROM t{d - 1} t LEFT JOIN m{d} m ON m.host = t.host AND m.template = t.template AND m.seg = t.segs[{d}])"""
+    return f"""
+WITH u AS (SELECT page_id, CASE WHEN contains(url, '://') THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM {pages}),
+h AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), '{string.ascii_uppercase}', '{string.ascii_lowercase}') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+j AS (SELECT *, CASE{cases} END AS rule FROM h),
+d AS (SELECT host, path, rule, count(*) AS n FROM j GROUP BY ALL),
+t0 AS (SELECT host, path, n, CASE WHEN rule IS NOT NULL THEN n ELSE 0 END AS labelled, CASE WHEN rule IN ({blocking}) THEN n ELSE 0 END AS blocked, string_split(regexp_replace(path, '^/', ''), '/')[1:{depth}] AS segs, '' AS template FROM d){steps},
+g AS (SELECT host, template, (sum(blocked)::BIGINT + 0.4::DOUBLE) / (sum(labelled)::BIGINT + 4.0::DOUBLE) AS purity FROM t{depth} GROUP BY ALL)
+SELECT page_id, j.host, j.path, rule, CASE WHEN rule IN ({blocking}) THEN 'block' WHEN rule IS NOT NULL THEN 'allow' WHEN purity >= 0.8 THEN 'block' ELSE 'allow' END AS verdict, t.template, round(purity, 9) AS purity
+FROM j JOIN t{depth} t ON t.host = j.host AND t.path = j.path JOIN g ON g.host = t.host AND g.template = t.template"""

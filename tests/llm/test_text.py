@@ -142,6 +142,15 @@ def test_rules_and_templates(spark):
     assert url_templates.judge_urls(spark.createDataFrame([], "page_id long, url string")).count() == 0
 
 
+def test_urls_match_sql(spark):
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet").select("page_id", "url")
+    odd = [None, "", "foo", "a://b://c/d", "http://É.net/a b", "http://h//a///b/c/d/e/f", "http://x.example.com/de/a", "http://x.example.com/de/a"]
+    pages = pages.union(spark.createDataFrame([(100_000 + i, u) for i, u in enumerate(odd)], "page_id long, url string"))
+    con = duckdb.connect()
+    con.register("pages", pages.toPandas())
+    assert sorted(map(tuple, url_templates.judge_urls(pages).collect())) == sorted(con.execute(url_templates.url_sql()).fetchall())
+
+
 def test_templates_reject_branches_of_high_purity(spark):
     urls = [(i, f"http://h.io/spam/{i}/a") for i in range(30)] + [(100 + i, f"http://h.io/good/{i}") for i in range(30)]
     rules = [("block", f"h.io/spam/{i}/") for i in range(28)] + [("allow", f"h.io/good/{i}") for i in range(20)]
