@@ -309,3 +309,55 @@ def codec_grams_by_source(spark, sf):
     """Replaceable bigrams of each source: the codec's frequencies, not the study's."""
     t = abbrev.codec_frequencies(load(spark, sf, "documents", "source", "text"), 2, "source")
     return t.groupBy("source").agg(F.count("*").alias("grams"), F.max("freq").alias("top"))
+
+
+@query()
+def ablation_regions(spark, sf):
+    """Accuracy of passage finding on abbreviated documents by (G, T), in points against the originals, and its region."""
+    docs, items = load(spark, sf, "documents", "doc_id", "text"), load(spark, sf, "benchmark")
+    few = docs.join(workloads.answers(docs, items).select("doc_id").distinct(), "doc_id", "left_semi")
+    base = workloads.passage_finding(few, items, {"A": (few, "text", items, "text")}).where("answerable").agg(F.avg(F.col("correct").cast("double")).alias("base"))
+    out = None
+    for g in (2, 4):
+        ranked = [r["gram"] for r in sorted(abbrev.select_top(abbrev.codec_frequencies(docs, g), 5).collect(), key=lambda r: (-r["freq"], r["gram"]))]
+        for t in (1, 3, 5):
+            m = {x: f"QQ{i + 1}" for i, x in enumerate(ranked[:t])}
+            arm = {"C": (abbrev.abbreviate(few, m), "short", abbrev.abbreviate(items, m), "short")}
+            acc = workloads.passage_finding(few, items, arm).where("answerable").agg(F.avg(F.col("correct").cast("double")).alias("acc"))
+            row = acc.select(F.lit(g).alias("g"), F.lit(t).alias("t"), "acc")
+            out = row if out is None else out.unionAll(row)
+    delta = F.round(100 * (F.col("acc") - F.col("base")), 4)
+    return out.crossJoin(F.broadcast(base)).select("g", "t", delta.alias("delta"), workloads.region(delta).alias("region"))
+
+
+JUDGED = f"""j AS (SELECT conv_id, turn, list_distinct(regexp_extract_all(lower(text), '{W}')) AS a, regexp_extract_all(text, '{W}') AS w FROM conversations),
+  g AS (SELECT *, round(1 + 4 * CASE WHEN len(a) = 0 THEN 1.0 ELSE len(list_distinct(list_transform(w[1:ceil(len(w) * 0.7)::INT], lambda x: lower(x)))) / len(a)::DOUBLE END, 4) AS grade FROM j)"""
+
+
+@query(f"WITH {JUDGED} SELECT count(*) AS pairs, round(avg(grade), 4) AS mean_grade, count(*) FILTER (WHERE grade < 3) AS low FROM g")
+def judge_report(spark, sf):
+    """Grades of truncated prompts by the offline judge: recall of the original's words."""
+    from ctxpress.operators.baselines import truncate
+
+    c = load(spark, sf, "conversations", "text").withColumn("short", truncate(F.col("text"), 0.7))
+    g = c.select(measures.Judge().grade(F.col("text"), F.col("short")).alias("grade"))
+    return g.agg(F.count("*").alias("pairs"), F.round(F.avg("grade"), 4).alias("mean_grade"), F.count_if(F.col("grade") < 3).alias("low"))
+
+
+@query()
+def scorer_agreement(spark, sf):
+    """Correlation of static and dynamic information for the four scorers on all prompt words."""
+    p, docs, out = prompts(spark, sf), load(spark, sf, "documents", "text"), None
+    for name in ("scorer_a", "scorer_b", "scorer_c", "scorer_d"):
+        s = selfinfo.score_tokens(p, docs, selfinfo.get_scorer(name, docs))
+        t = s.agg(F.count("*").alias("tokens"), F.round(F.corr("s_stat", "s_dyn"), 4).alias("correlation")).select(F.lit(name).alias("scorer"), "tokens", "correlation")
+        out = t if out is None else out.unionAll(t)
+    return out
+
+
+@query("SELECT conv_id, count(*) AS turns, string_agg(role || ': ' || text, chr(10) ORDER BY turn) AS text FROM conversations GROUP BY conv_id")
+def conversation_prompts(spark, sf):
+    """Whole conversations as prompts, turns in order."""
+    c = load(spark, sf, "conversations")
+    turns = F.array_sort(F.collect_list(F.struct("turn", F.concat("role", F.lit(": "), "text").alias("line"))))
+    return c.groupBy("conv_id").agg(F.count("*").alias("turns"), turns.alias("t")).select("conv_id", "turns", F.array_join(F.transform("t", lambda x: x["line"]), "\n").alias("text"))

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import time
+from collections.abc import Callable
+from contextlib import contextmanager
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -71,3 +75,46 @@ def metric_disagreement(settings: DataFrame, key: str, cosine: str, accuracy: st
 
 def running_total(df: DataFrame, by: str, order: str, value: str) -> DataFrame:
     return df.withColumn("running", F.sum(value).over(Window.partitionBy(by).orderBy(order)))
+
+
+class StageTimer:
+    """Wall time of stages around explicit actions; for experiments, as plans are lazy."""
+
+    def __init__(self):
+        self.seconds: dict[str, float] = {}
+
+    @contextmanager
+    def stage(self, name: str):
+        start = time.perf_counter()
+        try:
+            yield self
+        finally:
+            self.seconds[name] = self.seconds.get(name, 0.0) + time.perf_counter() - start
+
+    def run(self, name: str, df: DataFrame) -> DataFrame:
+        with self.stage(name):
+            df.write.format("noop").mode("overwrite").save()
+        return df
+
+
+class Judge:
+    """Grades pairs of texts from 1 to 5: by any function over two lists of texts, or by recall of the original's words."""
+
+    def __init__(self, fn: Callable[[list[str], list[str]], list[float]] | None = None):
+        self.fn = fn
+
+    def grade(self, original: Column, compressed: Column) -> Column:
+        from ctxpress.operators.fidelity import lexical_recall
+
+        if self.fn is None:
+            return F.round(1 + 4 * lexical_recall(original, compressed), 4)
+        fn = self.fn
+
+        @F.pandas_udf("double")
+        def run(a, b):
+            import pandas as pd
+
+            return pd.Series(fn(a.fillna("").tolist(), b.fillna("").tolist()), dtype="float64")
+
+        return run(original, compressed)
+

@@ -58,6 +58,14 @@ def deduplicated(events: DataFrame, late: str) -> DataFrame:
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def watched(records: DataFrame, name: str) -> DataFrame:
+    """The same stream; each micro-batch reports its rows and its oldest and newest event time under ``name``.
+
+    With the watermark of the query's progress (numRowsDroppedByWatermark) this shows what comes too late.
+    """
+    return records.observe(name, F.count("*").alias("records"), F.min("ts").alias("oldest"), F.max("ts").alias("newest"))
+
+
 def drift(events: DataFrame, grid: Grid, size: str = "1 day") -> DataFrame:
     """(start, records, outside, share): where the share gets too high, a new grid is due."""
     t = coded(events, grid).groupBy(F.window("ts", size)).agg(F.count("*").alias("records"), F.count_if("clipped").alias("outside"))
