@@ -9,12 +9,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
-__all__ = ["NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "give_back", "shared_folder", "partitions_for", "text_bytes", "text_parts"]
+__all__ = ["Local", "NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "give_back", "shared_folder", "partitions_for", "text_bytes", "text_parts"]
 
 #: One word: anything but the six ASCII white-space characters.
 NON_SPACE = r"[^\x20\x09-\x0D]+"
 
 
+class Local(dict):
+    """A cache of this process; it travels to executors empty."""
+
+    def __reduce__(self):
+        return Local, ()
+
+
 def give_back() -> None:
     """Returns what a worker has freed to the system, where the allocator would keep it for itself."""
     try:

@@ -17,19 +17,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ctxpress.llm.suffix_dedup import BASES, powers, scramble
-from ctxpress.llm.common import text_parts
+from ctxpress.llm.common import Local, text_parts
 
 WINDOW, SHARE, WEIGHT = 12, 0.8, 5
 BLOCK = 1 << 20
 FILTER = 1 << 22
 
-_alnum: list = []
+_alnum = Local()
 
 
 def alnum_table() -> np.ndarray:
-    if not _alnum:
-        _alnum.append(np.fromiter((chr(c).isalnum() for c in range(0x110000)), bool, 0x110000))
-    return _alnum[0]
+    if "table" not in _alnum:
+        _alnum["table"] = np.fromiter((chr(c).isalnum() for c in range(0x110000)), bool, 0x110000)
+    return _alnum["table"]
 
 
 def seed_masks(window: int, misses: int, weight: int) -> list[tuple[int, ...]]:

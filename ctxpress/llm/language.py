@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ctxpress.llm.common import text_parts
+from ctxpress.llm.common import Local, text_parts
 from ctxpress.llm.toxicity import blocks
 
 GRAMS, BUCKETS, SWITCH, BLOCK = (2, 3, 4), 1 << 15, 8.0, 3 << 19
@@ -40,19 +40,19 @@ SCRIPTS = {
 }
 OTHER = len(SCRIPTS) + 1
 
-_table: list = []
+_table = Local()
 
 
 def script_table() -> np.ndarray:
     """For each code point 0 if it is no letter, else the number of its script."""
-    if not _table:
+    if "table" not in _table:
         letter = np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
         t = np.where(letter, OTHER, 0).astype(np.uint8)
         for i, ranges in enumerate(SCRIPTS.values(), 1):
             for lo, hi in ranges:
                 t[lo : hi + 1][letter[lo : hi + 1]] = i
-        _table.append(t)
-    return _table[0]
+        _table["table"] = t
+    return _table["table"]
 
 
 def code_points(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:

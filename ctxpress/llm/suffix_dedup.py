@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BinaryType, LongType, StringType, StructType
 
-from ctxpress.llm.common import give_back, partitions_for, text_bytes
+from ctxpress.llm.common import Local, give_back, partitions_for, text_bytes
 
 WINDOW, GRAM = 50, 20
 SPAN = WINDOW - GRAM + 1
@@ -38,7 +38,7 @@ LAST = np.iinfo(np.int64).max
 #: Odd multipliers of the rolling hashes.
 BASES = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
 
-_powers: dict = {}
+_powers = Local()
 
 
 def scramble(x: np.ndarray) -> np.ndarray:
