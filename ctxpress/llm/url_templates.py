@@ -92,7 +92,9 @@ def judge_urls(
     blocked = F.when(F.col("rule").isin(blocking), F.col("n")).otherwise(0)
     tree = path_templates(cut_lineage(distinct.withColumn("labelled", labelled).withColumn("blocked", blocked)), depth, common, z)
     purity = (F.sum("blocked") + F.lit(weight * prior)) / (F.sum("labelled") + F.lit(weight))
-    graded = tree.groupBy("host", "template").agg(purity.alias("purity"))
+    graded = cut_lineage(tree.groupBy("host", "template").agg(purity.alias("purity")))
+    if graded.count() <= 500_000:  # some ten MB; beyond, the join is shuffled and its skew split
+        graded = F.broadcast(graded)
     named = tree.select("host", "path", "template").join(graded, ["host", "template"]).select(F.col("host").alias("h_"), F.col("path").alias("p_"), "template", "purity")
     named = cut_lineage(named)  # the join stands alone, so that a host with very many URLs can be split
     out = judged.join(named, (judged["host"] == named["h_"]) & (judged["path"] == named["p_"]))
