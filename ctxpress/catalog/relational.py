@@ -32,11 +32,11 @@ def join_full_outer(spark, sf):
     return a.join(b, "tok", "full")
 
 
-@query("""SELECT n_name, o_orderpriority, count(*) AS lines, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY ALL""")
+@query("""SELECT n_name, o_orderpriority, count(*) AS lines, sum((l_extendedprice * (1 - l_discount))::DECIMAL(18,4))::DOUBLE AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY ALL""")
 def join_star(spark, sf):
     t = load(spark, sf, "lineitem", "l_orderkey", "l_extendedprice", "l_discount").join(load(spark, sf, "orders", "o_orderkey", "o_custkey", "o_orderpriority"), F.col("l_orderkey") == F.col("o_orderkey"))
     t = t.join(load(spark, sf, "customer", "c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey")).join(F.broadcast(load(spark, sf, "nation", "n_nationkey", "n_name")), F.col("c_nationkey") == F.col("n_nationkey"))
-    return t.groupBy("n_name", "o_orderpriority").agg(F.count("*").alias("lines"), F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("revenue"))
+    return t.groupBy("n_name", "o_orderpriority").agg(F.count("*").alias("lines"), F.sum((F.col("l_extendedprice") * (1 - F.col("l_discount"))).cast("decimal(18,4)")).cast("double").alias("revenue"))
 
 
 @query("""WITH v AS (SELECT user_id, ts, event_id AS version FROM events WHERE event_type = 'signup')
