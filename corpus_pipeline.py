@@ -6,7 +6,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ctxpress.llm import decontaminate, language, mixing, simhash, suffix_dedup
+from ctxpress.llm import decontaminate, language, mixing, near_copies, suffix_dedup
 from ctxpress.llm.common import shared_folder
 
 
@@ -16,8 +16,8 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays, that with the smallest doc_id."""
-    return simhash.drop_near_duplicates(docs)
+    """One document of each group of near copies (0.8 of five-word shingles) stays, that with the smallest doc_id."""
+    return near_copies.drop_near_copies(docs)
 
 
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

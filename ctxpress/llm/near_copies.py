@@ -1,0 +1,177 @@
+"""Near copies by the Jaccard similarity of word shingles.
+
+Texts of equal shingle sets are one node. Nodes that agree in any of ``BANDS`` groups of ``ROWS`` minima under fixed
+permutations meet in a bucket; at a similarity of 0.8 a pair meets nowhere once in about 10^10. What meets is compared
+by the whole sets: first with one member of the bucket, which settles large groups of copies without all of their pairs, then
+every two that are not yet of one component.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from ctxpress.llm.common import cut_lineage, free_name, give_back, partitions_for
+from ctxpress.llm.graph import connected_components
+
+SHINGLE, BANDS, ROWS = 5, 32, 3
+#: Similar is 4 / 5 or more.
+LEAST, OF = 4, 5
+_RNG = np.random.default_rng(11)
+TIMES = _RNG.integers(0, 2**63, BANDS * ROWS, np.uint64) * np.uint64(2) + np.uint64(1)
+PLUS = _RNG.integers(0, 2**63, BANDS * ROWS, np.uint64)
+
+
+def mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def shingle_set(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
+    """Sorted distinct hashes of the runs of ``shingle`` words; a shorter text is one shingle, a blank one has none."""
+    import xxhash
+
+    words = text.encode("utf-8", "surrogatepass").lower().split() if text else []
+    if not words:
+        return np.zeros(0, np.uint64)
+    h = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
+    k = min(shingle, len(words))
+    s = np.zeros(len(words) - k + 1, np.uint64)
+    for i in range(k):
+        s = mixed(s * np.uint64(3) + h[i : i + len(s)])
+    return np.unique(s)
+
+
+def bands_of(s: np.ndarray) -> np.ndarray:
+    least = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
+    for lo in range(0, len(s), 4096):
+        np.minimum(least, (TIMES[:, None] * s[lo : lo + 4096] + PLUS[:, None]).min(1), out=least)
+    out = np.arange(BANDS, dtype=np.uint64)
+    for column in least.reshape(BANDS, ROWS).T:
+        out = mixed(out * np.uint64(3) + column)
+    return out
+
+
+def _marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches (doc_id, text) to (doc_id, node, n, bands, shingles); a blank text has no bands."""
+    import xxhash
+
+    for b in batches:
+        sets = [shingle_set(t.as_py()) for t in b.column(1)]
+        nodes = np.fromiter((xxhash.xxh64_intdigest(s.tobytes()) for s in sets), np.uint64, len(sets)).view(np.int64)
+        bands = [bands_of(s).tobytes() if len(s) else b"" for s in sets]
+        columns = [b.column(0), pa.array(nodes), pa.array([len(s) for s in sets], pa.int64()), pa.array(bands, pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())]
+        yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "node", "n", "bands", "shingles"])
+        give_back()
+
+
+def _banded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches (node, n, bands) to (band, node, n)."""
+    for b in batches:
+        n = b.column(1).to_numpy()
+        rows = n > 0
+        band = np.frombuffer(b"".join(v.as_py() for v in b.column(2)), np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(band), pa.array(np.repeat(b.column(0).to_numpy()[rows], BANDS)), pa.array(np.repeat(n[rows], BANDS))], names=["band", "node", "n"])
+
+
+def _sorted_runs(batches: Iterator[pa.RecordBatch]) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+    """Columns in order of the first two, and where runs of the first begin and end."""
+    got = [b for b in batches if b.num_rows]
+    if not got:
+        return [], np.zeros(0, int), np.zeros(0, int)
+    t = pa.Table.from_batches(got)
+    columns = [t.column(i).to_numpy() for i in range(t.num_columns)]
+    order = np.lexsort((columns[1], columns[0]))
+    columns = [c[order] for c in columns]
+    at = np.flatnonzero(np.r_[True, columns[0][1:] != columns[0][:-1]])
+    return columns, at, np.r_[at[1:], len(order)]
+
+
+def _met(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(band, node, n) of buckets with two nodes or more, and the first node of the bucket."""
+    columns, at, stop = _sorted_runs(batches)
+    if columns:
+        band, node, n = columns
+        size = np.repeat(stop - at, stop - at)
+        keep = size > 1
+        head = np.repeat(at, stop - at)
+        yield pa.RecordBatch.from_arrays([pa.array(c[keep]) for c in (band, node, n, node[head], n[head])], names=["band", "node", "n", "head", "head_n"])
+
+
+def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pairs (u, v) in a bucket (band, node, n, label) that differ in label and could be similar; the first is done."""
+    columns, at, stop = _sorted_runs(batches)
+    us, vs, held = [], [], 0
+    for lo, hi in zip(at.tolist(), stop.tolist()):
+        node, n, label = (c[lo + 1 : hi] for c in columns[1:])
+        if len(node) < 2 or (label == label[0]).all():
+            continue
+        for i in range(len(node) - 1):
+            small, large = np.minimum(n[i], n[i + 1 :]), np.maximum(n[i], n[i + 1 :])
+            j = i + 1 + np.flatnonzero((label[i + 1 :] != label[i]) & (small * OF >= large * LEAST))
+            us.append(np.full(len(j), node[i]))
+            vs.append(node[j])
+            held += len(j)
+            if held > 100_000:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(us)), pa.array(np.concatenate(vs))], names=["u", "v"])
+                us, vs, held = [], [], 0
+    if held:
+        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(us)), pa.array(np.concatenate(vs))], names=["u", "v"])
+
+
+def similar(a: np.ndarray, b: np.ndarray) -> bool:
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both * OF >= (len(a) + len(b) - both) * LEAST
+
+
+def _compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches (u, v, set of u, set of v) to the pairs (u, v) that are similar."""
+    for b in batches:
+        a, c = b.column(2), b.column(3)
+        keep = [similar(np.frombuffer(a[i].as_py(), np.uint64), np.frombuffer(c[i].as_py(), np.uint64)) for i in range(b.num_rows)]
+        give_back()
+        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["u", "v"]).filter(pa.array(keep, pa.bool_()))
+
+
+def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    left = sets.select(F.col("node").alias("u"), F.col("shingles").alias("a"))
+    right = sets.select(F.col("node").alias("v"), F.col("shingles").alias("b"))
+    return cut_lineage(pairs.distinct().join(left, "u").join(right, "v").select("u", "v", "a", "b").mapInArrow(_compared, "u long, v long"))
+
+
+def near_copy_components(docs: DataFrame) -> DataFrame:
+    """(doc_id, component_id) for every row of ``docs`` (doc_id, text); component_id is the smallest doc_id that chains of similar texts reach."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    marked = cut_lineage(docs.select("doc_id", "text").mapInArrow(_marked, f"doc_id {kind}, node long, n long, bands binary, shingles binary"))
+    first = cut_lineage(marked.where("doc_id is not null").groupBy("node", "n", "bands").agg(F.min("doc_id").alias("rep")))
+    dealt = first.select("node", "n", "bands").mapInArrow(_banded, "band long, node long, n long")
+    dealt = dealt.repartition(partitions_for(first.count() * BANDS, 1_000_000), "band")
+    met = cut_lineage(dealt.mapInArrow(_met, "band long, node long, n long, head long, head_n long"))
+    some = cut_lineage(met.select(F.col("node").alias("at")).distinct().join(first.select("node", "rep"), F.col("at") == F.col("node")).select("at", "rep"))
+    if some.count() <= 2_000_000:  # tens of MB; beyond, the sets are shuffled once
+        some = F.broadcast(some)
+    own = cut_lineage(marked.join(some, (marked["node"] == some["at"]) & (marked["doc_id"] == some["rep"])).select("node", "shingles"))
+    near = (F.least("n", "head_n") * OF >= F.greatest("n", "head_n") * LEAST) & (F.col("node") != F.col("head"))
+    links = _verified(met.where(near).select(F.col("head").alias("u"), F.col("node").alias("v")), own)
+    roots = connected_components(links).withColumnRenamed("node", "at")
+    labelled = met.join(roots, met["node"] == roots["at"], "left").select("band", "node", "n", F.coalesce("root", "node").alias("label"))
+    labelled = labelled.repartition(partitions_for(met.count(), 1_000_000), "band")
+    more = _verified(labelled.mapInArrow(_across, "u long, v long").select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")), own)
+    roots = connected_components(links.union(more)).withColumnRenamed("node", "at")
+    named = cut_lineage(first.join(roots, first["node"] == roots["at"], "left").select("node", "rep", F.coalesce("root", "node").alias("root")))
+    least = named.groupBy("root").agg(F.min("rep").alias("component_id"))
+    return marked.select("doc_id", "node").join(named.join(least, "root").select("node", "component_id"), "node", "left").select("doc_id", "component_id")
+
+
+def drop_near_copies(docs: DataFrame) -> DataFrame:
+    """``docs`` without the documents whose component has a smaller doc_id; of rows with an equal doc_id all stay."""
+    gone = free_name(docs, "gone")
+    dropped = cut_lineage(near_copy_components(docs).where("doc_id <> component_id").select(F.col("doc_id").alias(gone)).distinct())
+    if dropped.count() <= 500_000:  # a few MB; beyond, both sides are shuffled
+        dropped = F.broadcast(dropped)
+    return docs.join(dropped, docs["doc_id"] == dropped[gone], "left_anti")
