@@ -100,20 +100,28 @@ def top_ngrams_handler(n: int, k: int, publish: Callable[[int, list], None]):
     return handle
 
 
-def user_budget(records: DataFrame, limit: int) -> DataFrame:
-    """(user_id, day, tokens, over) as updates: token budgets of users that start anew every day."""
+def user_budget(records: DataFrame, limit: int, late: str = "7 days") -> DataFrame:
+    """(user_id, day, tokens, over) as updates: token budgets of users that start anew every day.
+
+    Every day that a micro-batch touches is emitted. A day is closed a day after its end (so for any time zone) by a watermark
+    of ``late``: rows that come after that are left out, and it leaves the user's state when that user next has rows.
+    """
 
     def run(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         used = dict(zip(*state.get)) if state.exists else {}
+        closed = pd.Timestamp(state.getCurrentWatermarkMs(), unit="ms") - pd.Timedelta(days=2)
+        touched = set()
         for f in frames:
             for day, n in f.groupby(f["ts"].dt.strftime("%Y-%m-%d"))["tokens"].sum().items():
-                used[day] = used.get(day, 0) + int(n)
-        days = sorted(used)[-7:]
-        used = {d: used[d] for d in days}
+                if pd.Timestamp(day) > closed:
+                    used[day] = used.get(day, 0) + int(n)
+                    touched.add(day)
+        days, tokens = sorted(touched), [used[d] for d in sorted(touched)]
+        used = {d: n for d, n in used.items() if pd.Timestamp(d) > closed}
         state.update((list(used), list(used.values())))
-        yield pd.DataFrame({"user_id": [key[0]] * len(used), "day": list(used), "tokens": list(used.values()), "over": [v > limit for v in used.values()]})
+        yield pd.DataFrame({"user_id": [key[0]] * len(days), "day": days, "tokens": tokens, "over": [v > limit for v in tokens]})
 
-    return records.groupBy("user_id").applyInPandasWithState(run, "user_id long, day string, tokens long, over boolean", "days array<string>, used array<long>", "update", "NoTimeout")
+    return records.withWatermark("ts", late).groupBy("user_id").applyInPandasWithState(run, "user_id long, day string, tokens long, over boolean", "days array<string>, used array<long>", "update", "NoTimeout")
 
 
 def with_dictionary(records: DataFrame, versions: DataFrame) -> DataFrame:

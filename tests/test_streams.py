@@ -51,6 +51,21 @@ def test_user_budget_state_equals_batch(spark, folder, tmp_path):
     assert found and all(want[k] == v for k, v in found.items())
 
 
+def test_user_budget_emits_every_day(spark, folder, tmp_path):
+    whole = spark.read.parquet(folder)
+    many = str(tmp_path / "many")
+    for part in (0, 1):  # two files, each with rows of most days: the second comes after the first in every user's state
+        whole.where(F.col("event_id") % 2 == part).coalesce(1).write.mode("append").parquet(many)
+    for i, path in enumerate((folder, many)):
+        s, b = streams.as_records(streams.stream_events(spark, path)), streams.as_records(streams.timed(spark.read.parquet(path)))
+        got = streams.drain(streams.user_budget(s, 60, "60 days"), f"every{i}", "update", str(tmp_path / f"every{i}"))
+        want = {(r[0], r[1]): r[2] for r in b.groupBy("user_id", F.date_format("ts", "yyyy-MM-dd")).agg(F.sum("tokens")).collect()}
+        last: dict = {}
+        for r in got.collect():  # of the updates of a day the last is the largest
+            last[r["user_id"], r["day"]] = max(r["tokens"], last.get((r["user_id"], r["day"]), 0))
+        assert last == want
+
+
 def test_interval_join_equals_batch(spark, folder, tmp_path):
     pick = lambda d, t: d.where(F.col("event_type") == t)
     s1, s2, b = streams.stream_events(spark, folder), streams.stream_events(spark, folder), streams.timed(spark.read.parquet(folder))
