@@ -3,7 +3,9 @@
 Markup is stripped to lines, one for each block element; what its markup names as menu, header, footer, sidebar, notice,
 advert, form, script, style or comment leaves empty lines behind. Text lengths are summed over a sliding window of lines. Text
 surges where a window first holds something and dives where windows are empty again; what stands between is kept if the
-window sums get high enough, or if the page itself marks it as its article.
+window sums get high enough. Lines inside and outside articles are surveyed apart; the side with more text is the main one,
+where that of articles counts double. A name alone never drops the element that holds all articles of a page or, on pages
+without one, most of the text.
 """
 
 from __future__ import annotations
@@ -53,6 +55,10 @@ def is_boilerplate(tag: str, raw: str, in_article: bool) -> bool:
         return True
     if a.get("role", "").lower() in ROLES:
         return True
+    return is_named(tag, a, in_article)
+
+
+def is_named(tag: str, a: dict[str, str], in_article: bool) -> bool:
     if tag in KEPT and not (tag == "article" and in_article):
         return False
     return any(p.lower() in NAMES for k in ("class", "id") for p in PART.findall(a.get(k, "")))
@@ -110,8 +116,33 @@ def _end_of(tokens: list[tuple], i: int) -> int:
     return i + 1
 
 
+class _Shares:
+    """How much text and how many articles lie before each token."""
+
+    def __init__(self, page: str, tokens: list[tuple]):
+        ends = [0, *(t[1] for t in tokens)]
+        texts = [len(page[e:t[0]].strip()) for e, t in zip(ends, tokens)]
+        self.text = np.r_[0, np.cumsum(texts, dtype=np.int64)]
+        self.articles = np.r_[0, np.cumsum([t[2] == "article" and not t[3] for t in tokens], dtype=np.int64)]
+        self.whole = self.text[-1] + len(page[ends[-1] :].strip())
+
+    def is_main(self, i: int, j: int) -> bool:
+        """Whether tokens i to j hold all articles or, where there are none, over half of the text."""
+        if self.articles[-1]:
+            return self.articles[j] - self.articles[i] == self.articles[-1]
+        return (self.text[j] - self.text[i + 1]) * 2 > self.whole
+
+
+def by_name_only(tag: str, raw: str, in_article: bool) -> bool:
+    """Boilerplate, but for its class and id it would not be."""
+    a = attributes(raw)
+    bare = " ".join(f'{k}="{v}"' for k, v in a.items() if k not in ("class", "id") and '"' not in v)
+    return is_named(tag, a, in_article) and not is_boilerplate(tag, bare, in_article)
+
+
 def lines_of(page: str) -> _Lines:
     lines, tokens, at, i, article, link = _Lines(), _tokens(page), 0, 0, 0, 0
+    shares = None
     while i < len(tokens):
         start, end, tag, closing, raw = tokens[i]
         piece = page[at:start]
@@ -123,7 +154,11 @@ def lines_of(page: str) -> _Lines:
             continue
         if not closing and tag not in VOID and not raw.endswith("/") and is_boilerplate(tag, raw, article > 0):
             j = _end_of(tokens, i - 1)
-            if j > i or tag in DROPPED:
+            spared = False
+            if j > i and tag != "article" and by_name_only(tag, raw, article > 0):
+                shares = shares or _Shares(page, tokens)
+                spared = article == 0 and shares.is_main(i - 1, j)
+            if not spared and (j > i or tag in DROPPED):
                 if tag in BLOCKS or tag in DROPPED:
                     lines.close(article > 0)
                     lines.gap()
@@ -144,13 +179,17 @@ def lines_of(page: str) -> _Lines:
 
 
 def main_lines(text: list[str], marked: list[bool], linked: list[float], window: int = WINDOW, surge: int = SURGE) -> list[int]:
-    """Lines between the first surge and the last dive; where markup has named boilerplate, any text left is a surge."""
-    if any(marked):  # the page says which lines are its article: all that is not dropped there stays
-        own = np.array([len(t) if m else 0 for t, m in zip(text, marked)])
-        surge = 1
-    else:
-        own = np.array([0 if k > 0.6 else len(t) for t, k in zip(text, linked)])
-        surge = 1 if "" in text else surge
+    """Lines between the first surge and the last dive, of those inside or those outside articles, where there is more text.
+
+    Where markup has named boilerplate, and inside articles, any text left is a surge.
+    """
+    plain = surging_lines([0 if k > 0.6 or m else len(t) for t, m, k in zip(text, marked, linked)], window, 1 if "" in text else surge)
+    own = surging_lines([len(t) if m else 0 for t, m in zip(text, marked)], window, 1)
+    return own if own and 2 * sum(len(text[i]) for i in own) >= sum(len(text[i]) for i in plain) else plain
+
+
+def surging_lines(sizes: list[int], window: int, surge: int) -> list[int]:
+    own = np.array(sizes)
     if not own.any():
         return []
     sums = np.convolve(own, np.ones(window, int))[window - 1 :]  # of the line and those after it

@@ -132,6 +132,18 @@ def test_line_blocks_without_any_markup_names():
     assert "Link" not in html_main.main_text(f"<body>{menu}{text}{menu}</body>")
 
 
+def test_main_text_beside_teaser_cards_and_in_named_wrappers():
+    text = "".join(f"<p>Sentence {i} of the main text, which is rather long and says a few things.</p>" for i in range(12))
+    cards = "".join(f"<article><h2>Card {i}</h2></article>" for i in range(4))
+    got = html_main.main_text(f"<body><nav>Menu</nav><div>{text}</div><div>{cards}</div></body>")
+    assert got.count("Sentence") == 12 and "Card" not in got
+    for inner in (f"<article>{text}</article>", text):
+        got = html_main.main_text(f"<body><div class='page has-sidebar'>{inner}<div class='sidebar'>Side</div></div><footer>Foot</footer></body>")
+        assert got.count("Sentence") == 12 and "Side" not in got and "Foot" not in got
+    got = html_main.main_text(f"<body><article>{text}</article><div class='related'>{cards}</div></body>")
+    assert got.count("Sentence") == 12 and "Card" not in got
+
+
 def test_rules_and_templates(spark):
     urls = [None, "", "foo", "HTTP://A.Net", "http://net/x?y", "http://a.org/fr/#z", "http://x.Example.com/de/1", "a://example.net/en/", "a://notnet/x", "http://example.net/de/#top"]
     got = [tuple(r) for r in url_templates.judge_urls(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")).select("host", "path", "rule", "verdict").orderBy("page_id").collect()]
