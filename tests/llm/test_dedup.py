@@ -192,3 +192,35 @@ def test_cover_tree_covers_with_halving_radii():
 
 def test_empty_embeddings(spark):
     assert embedding_dedup.cosine_components(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")).count() == 0
+
+
+@pytest.mark.parametrize("n,dim,noise,centres", [(400, 16, 0.1, 50), (900, 8, 0.05, 5), (700, 64, 0.02, 1), (900, 4, 0.3, 10), (800, 64, 1.0, 1)])
+def test_trees_and_planes_lose_no_link(n, dim, noise, centres):
+    rng = np.random.default_rng(n)
+    x = rng.normal(size=(centres, dim))[rng.integers(0, centres, n)] + noise * rng.normal(size=(n, dim))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    weight, home = rng.integers(1, 4, n), rng.random(n) < 0.7
+    hit = (x @ x.T >= 0.98) & ~np.eye(n, dtype=bool)
+    met = hit & (home[:, None] | home[None, :])
+    for leaf in (1, 16, 128):
+        links, parent = embedding_dedup.links_within(x, weight, home, 0.98, leaf)
+        assert (links == np.where(home, (met * weight).sum(1), (met * np.where(home, weight, 0)).sum(1))).all()
+        want = np.arange(n)
+        simhash.unite(want, *np.nonzero(np.triu(met)))
+        assert (parent == want).all()
+    row, cell, at_home = embedding_dedup.Planes(x[::8], 16, 0.2).deal(x)
+    assert sorted(row[at_home]) == list(range(n))
+    total = np.zeros(n, int)
+    for c in set(cell.tolist()):
+        m = np.flatnonzero(cell == c)
+        np.add.at(total, row[m], embedding_dedup.links_within(x[row[m]], weight[row[m]], at_home[m], 0.98)[0])
+    assert (total == (hit * weight).sum(1)).all()
+
+
+def test_rows_dealt_for_each_vector_stay_few(spark):
+    rng = np.random.default_rng(9)
+    for n in (500, 2000):
+        x = np.repeat(rng.normal(size=(n // 5, 12)), 5, axis=0) + 0.02 * rng.normal(size=(n, 12))
+        unique = spark.createDataFrame([("0:12", v.tolist(), i, 1) for i, v in enumerate(x)], "kind string, vec array<double>, rep long, n long")
+        dealt = embedding_dedup.dealt_vectors(unique, 0.98, 256, 10_000)
+        assert dealt.where("home").count() == n and dealt.count() < 2.5 * n
