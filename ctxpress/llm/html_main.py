@@ -100,9 +100,22 @@ def _tokens(page: str) -> list[tuple]:
     return out
 
 
-def _end_of(tokens: list[tuple], i: int) -> int:
+def _closings(tokens: list[tuple]) -> dict[int, int]:
+    """For each token that opens an element, the index after the one that closes it; one pass, however much is left open."""
+    opened, out = {}, {}
+    for j, (_, _, tag, closing, _) in enumerate(tokens):
+        if tag and not closing:
+            opened.setdefault(tag, []).append(j)
+        elif tag and opened.get(tag):
+            out[opened[tag].pop()] = j + 1
+    return out
+
+
+def _end_of(tokens: list[tuple], i: int, closings: dict[int, int]) -> int:
     """Index after the element that opens at token i; i + 1 if it is never closed."""
     tag, depth, until = tokens[i][2], 0, OPTIONAL_END.get(tokens[i][2])
+    if not until and tag != "head":
+        return closings.get(i, i + 1)
     for j in range(i, len(tokens)):
         other, closing = tokens[j][2], tokens[j][3]
         if other == tag:
@@ -142,7 +155,7 @@ def by_name_only(tag: str, raw: str, in_article: bool) -> bool:
 
 def lines_of(page: str) -> _Lines:
     lines, tokens, at, i, article, link = _Lines(), _tokens(page), 0, 0, 0, 0
-    shares = None
+    shares = closings = None
     while i < len(tokens):
         start, end, tag, closing, raw = tokens[i]
         piece = page[at:start]
@@ -153,7 +166,8 @@ def lines_of(page: str) -> _Lines:
         if not tag:
             continue
         if not closing and tag not in VOID and not raw.endswith("/") and is_boilerplate(tag, raw, article > 0):
-            j = _end_of(tokens, i - 1)
+            closings = _closings(tokens) if closings is None else closings
+            j = _end_of(tokens, i - 1, closings)
             spared = False
             if j > i and tag != "article" and by_name_only(tag, raw, article > 0):
                 shares = shares or _Shares(page, tokens)
@@ -227,4 +241,5 @@ def extract_main_text(pages: DataFrame) -> DataFrame:
 
 
 def op4_main_text(spark, sf_dir: str) -> DataFrame:
+    """All rows of ``pages``; null, empty, broken and very long pages give what ``main_text`` says, rows are neither lost nor merged."""
     return extract_main_text(spark.read.parquet(f"{sf_dir}/pages.parquet"))
