@@ -195,4 +195,5 @@ def drop_leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shar
 
 
 def op9_decontaminate(spark, sf_dir: str) -> DataFrame:
+    """A row for each document and benchmark passage that meet; null and empty texts meet nothing, repeated rows are each reported, no rows give none."""
     return find_leaks(spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))

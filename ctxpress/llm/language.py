@@ -241,6 +241,7 @@ def keep_identified(docs: DataFrame, model: LanguageModel, least: float = 0.2) -
 
 
 def op3_language_id(spark, sf_dir: str) -> DataFrame:
+    """A language for every row of ``documents``; ``und`` where a text is null or has no letter, ties go to the language first in code point order, no rows give none."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     held = F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(5)) == 0, F.lit(False))
     return identify_language(docs, train(*labelled_sample(docs))).select("doc_id", held.alias("held_out"), "lang_pred", "score")

@@ -112,6 +112,7 @@ def mix_to_targets(
 
 
 def op8_mix_sources(spark, sf_dir: str) -> DataFrame:
+    """All rows of ``documents`` with the words that the mix takes; null texts have size 0, a null source is the last one, ties of position go by doc_id, no rows give none."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return mix_to_targets(docs).drop("source")
 

@@ -435,7 +435,7 @@ def remove_repeats(docs: DataFrame, chunk_bytes: int = 8 << 20, carry: bool = Tr
     width = int(min(8, max(5, -(-(max(total, 1).bit_length() + 10) // 8))))
     rest = [c for c in docs.columns if c not in ("doc_id", "text")] if carry else []
     keyed = docs.select(
-        F.pmod(F.xxhash64("doc_id"), F.lit(chunks)).alias("chunk"), F.col("doc_id").alias("_id"), F.col("text").alias("_txt"), *[F.col(f"`{c}`").alias(f"_r{i}") for i, c in enumerate(rest)]
+        F.pmod(F.when(F.col("doc_id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("doc_id")), F.lit(chunks)).alias("chunk"), F.col("doc_id").alias("_id"), F.col("text").alias("_txt"), *[F.col(f"`{c}`").alias(f"_r{i}") for i, c in enumerate(rest)]
     ).repartition(chunks, "chunk")
     said = keyed.groupBy("chunk").applyInArrow(report(width, buckets), "bucket int, chunk long, gram binary, several binary")
     shared = said.groupBy("bucket").applyInArrow(agree(width), "chunk long, gram binary")
@@ -457,5 +457,6 @@ def without_repeats(docs: DataFrame) -> DataFrame:
 
 
 def op6_suffix_dedup(spark, sf_dir: str) -> DataFrame:
+    """All rows of ``documents`` with what is left of their bytes; null texts are empty, rows with an equal doc_id do not cut each other, no rows give none."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return remove_repeats(docs.select("doc_id", "text"), carry=False).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")

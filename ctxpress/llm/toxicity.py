@@ -235,6 +235,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, threshold: float = 0.3
 
 
 def op1_toxicity(spark, sf_dir: str) -> DataFrame:
+    """A score for every row of ``documents``, learnt from the others' labels; a null or empty text has the score of no evidence, repeated rows score alike."""
     docs, labels = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("documents", "labels"))
     model = train(*labelled_sample(docs, labels))
     held = F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2, F.lit(False))
