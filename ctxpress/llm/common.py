@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
+import atexit
 import ctypes
-import os
+import shutil
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
-__all__ = ["Local", "NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "give_back", "shared_folder", "partitions_for", "text_bytes", "text_parts"]
+__all__ = ["Local", "NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "give_back", "shared_folder", "partitions_for", "remove_folder", "text_bytes", "text_parts"]
 
 #: One word: anything but the six ASCII white-space characters.
 NON_SPACE = r"[^\x20\x09-\x0D]+"
@@ -46,11 +47,23 @@ def text_parts(column, most: int):
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Uses the folder that the cluster names; sets one of our own only where none is set."""
+    """Uses the folder that the cluster names; where none is set, one of our own in the warehouse, which executors share too.
+
+    On a single machine our own folder is removed at exit.
+    """
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isDefined():
         return
-    sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or os.path.join("/tmp", "ctxpress-checkpoints"))
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    sc.setCheckpointDir(named or f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/ctxpress-checkpoints")
+    if not named and sc.master.startswith("local["):
+        atexit.register(shutil.rmtree, sc._jsc.sc().getCheckpointDir().get().removeprefix("file:"), ignore_errors=True)
+
+
+def remove_folder(spark: SparkSession, folder: str) -> None:
+    """Deletes a folder of ours that is read no more, in whatever file system it is."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark.sparkContext._jsc.sc().hadoopConfiguration()).delete(path, True)
 
 
 def shared_folder(spark: SparkSession) -> str:
