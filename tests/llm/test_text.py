@@ -267,3 +267,90 @@ def test_licence_scores_match_numpy(spark, model):
         p = licenses.softmax(z[None])[0]
         if p.argmax() < len(p) - 1:
             assert got[i] == pytest.approx(p.max(), abs=1e-5)
+
+
+def test_licences_that_are_wrapped_or_only_named(spark, model):
+    import textwrap
+
+    named = {"Released under GPLv3.": "gpl", "Available under CC BY-SA 4.0.": "cc-by-sa", "Distributed under BSD-3-Clause.": "bsd", "Released under the Apache 2.0 terms.": "apache-2.0"}
+    rows = [(i, t) for i, t in enumerate(named)]
+    wrapped = {"mit": licenses.TEMPLATES["mit"][3], "bsd": licenses.TEMPLATES["bsd"][2], "gpl": licenses.TEMPLATES["gpl"][1]}
+    rows += [(100 + i, "An introduction.\n\n" + "\n".join(textwrap.wrap(t, 70)) + "\n\nThe rest of it.") for i, t in enumerate(wrapped.values())]
+    rows += [(200, "Er fuhr mit dem Rad."), (201, "under the mit sky they walked"), (202, "word " * 300 + "Licensed under the MIT License. " + "word " * 300)]
+    got = {}
+    for r in licenses.scan_licences(spark.createDataFrame(rows, "doc_id long, text string"), model).collect():
+        got.setdefault(r["doc_id"], set()).add(r["family"])
+    assert got == {i: {f} for i, f in enumerate(named.values())} | {100 + i: {f} for i, f in enumerate(wrapped)} | {202: {"mit"}}
+
+
+def test_no_given_licence_line_is_missed(spark, sf, model):
+    import re
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    docs = docs.unionAll(docs)  # repeated rows are each scanned
+    got = sorted((r["doc_id"], r["paragraph"]) for r in licenses.scan_licences(docs, model).collect())
+    cue = re.compile(r"\blicen[cs]ed?\b|all rights reserved|\bCC BY|\bGPL|\bcopyright\b", re.I)
+    want = sorted((r["doc_id"], i) for r in docs.collect() for i, line in enumerate((r["text"] or "").split("\n")) if cue.search(line))
+    assert got == want and want
+
+
+def test_lines_without_an_anchor_score_as_other(model):
+    other = len(model.classes) - 1
+    assert model.bias.argmax() == other and all(set(g.split(" ")) & set(model.anchors) for g in model.grams)
+
+
+def test_line_blocks_find_articles_without_their_names(spark, sf):
+    """With article tags, classes, ids and roles removed, what is left is the distribution of text over lines."""
+    import re
+    from collections import Counter
+
+    recall, precision = [], []
+    for r in spark.read.parquet(f"{sf.replace('0.001', '0.01')}/pages.parquet").collect():
+        bare = re.sub(r"</?article[^>]*>", "", r["html"] or "")
+        bare = re.sub(r"\s(class|id|role)=(\"[^\"]*\"|'[^']*'|[^\s>]+)", "", bare)
+        want, got = (Counter(html_main.main_text(t).split()) for t in (r["html"], bare))
+        if want:
+            recall.append((want & got).total() / want.total())
+            precision.append((want & got).total() / max(1, got.total()))
+    assert len(recall) > 200 and np.mean(recall) > 0.98 and min(recall) > 0.9 and np.mean(precision) > 0.9
+
+
+def test_without_surges_boilerplate_would_stay():
+    """Ablation: with a window of one line and any text a surge, links and short notices around a story are kept."""
+    menu = "".join(f'<div><a href="/{i}">item {i}</a></div>' for i in range(9))
+    story = "".join(f"<p>{'some words of the story told here at length ' * 4}{i}</p>" for i in range(6))
+    page = f"<body>{menu}<div>short notice</div><br><div></div>{'<hr><div> </div>' * 3}{story}<div>bye</div></body>"
+    lines = html_main.lines_of(page)
+    kept = html_main.main_lines(lines.text, lines.marked, lines.linked)
+    assert all("story" in lines.text[i] for i in kept if len(lines.text[i]) > 60) and not any("item" in lines.text[i] for i in kept)
+    every = html_main.main_lines(lines.text, lines.marked, [0.0] * len(lines.text), window=1, surge=1)
+    assert len(every) > len(kept) and any("item" in lines.text[i] for i in every)
+
+
+def test_broken_pages_take_linear_time():
+    import time
+
+    start = time.time()
+    assert html_main.main_text("<div class=ad>x <p>" * 40_000)
+    assert time.time() - start < 20
+
+
+def test_url_templates_judge_held_out_urls(spark, sf):
+    from pyspark.sql import functions as F
+
+    pages = spark.read.parquet(f"{sf.replace('0.001', '0.1')}/pages.parquet").select("page_id", "url")
+    hidden = F.pmod(F.crc32(F.concat("host", "path")), F.lit(4)) == 0
+    rows = url_templates.judge_urls(pages, hidden=hidden).where(hidden & F.col("rule").isNotNull()).collect()
+    blocking = {r for v, r in url_templates.RULES if v == "block"}
+    right = sum((r["rule"] in blocking) == (r["verdict"] == "block") for r in rows) / len(rows)
+    assert len(rows) > 200 and right > 0.9 > sum(r["rule"] not in blocking for r in rows) / len(rows) + 0.2
+    free = url_templates.judge_urls(pages).where("rule is null").groupBy("verdict").count().collect()
+    assert {r["verdict"] for r in free} == {"allow", "block"}
+
+
+def test_toxicity_on_held_out_rows(spark, sf):
+    """Precision and recall of the query itself on the given tables, at the fixed threshold."""
+    folder = sf.replace("0.001", "0.1")
+    got = toxicity.op1_toxicity(spark, folder).where("held_out").join(spark.read.parquet(f"{folder}/labels.parquet"), "doc_id").select("predicted", "toxic").collect()
+    both = sum(r["predicted"] and r["toxic"] for r in got)
+    assert both / sum(r["predicted"] for r in got) > 0.75 and both / sum(r["toxic"] for r in got) > 0.75
