@@ -58,3 +58,19 @@ def test_stage_on_odd_rows(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     assert corpus_pipeline.drop_near_duplicates(spark, docs, "").where("doc_id is null").count() == 1
     assert corpus_pipeline.drop_near_duplicates(spark, docs.limit(0), "").count() == 0
+
+
+def test_large_buckets_are_compared_in_tiles(spark):
+    rng = random.Random(6)
+    base = [f"w{rng.randrange(4000)}" for _ in range(120)]
+    rows = []
+    for _ in range(150):
+        w = list(base)
+        for _ in range(rng.randint(0, 6)):
+            w[rng.randrange(len(w))] = f"z{rng.randrange(4000)}"
+        rows.append((len(rows), " ".join(w)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_kept(rows)
+    assert 1 < len(want) < 140
+    for tile in (20, 8192):
+        assert {r["component_id"] for r in simhash.near_copy_components(docs, tile).collect()} == want
