@@ -21,6 +21,6 @@ def query(sql: str | None = None, name: str | None = None):
 
 
 def load_all() -> tuple[dict, dict]:
-    from ctxpress.catalog import abbreviation, experiments, information, numbers, relational, streams  # noqa: F401
+    from ctxpress.catalog import abbreviation, experiments, information, methods, numbers, relational, streams, twins  # noqa: F401
 
     return QUERIES, ORACLE

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ctxpress.catalog import query
@@ -55,28 +56,63 @@ def stage_ablation(spark, sf):
     return out
 
 
-def arms(spark, sf):
-    """Compressed prompts, example lines by kind, and the attachment before and after compression."""
+HEAD_GRIDS = ("l_quantity", "l_extendedprice", "l_discount")
+
+
+def attachments(spark, sf):
+    """(prompt_id, data, data_short) for every prompt: a document and the lines of an order, as they are, and abbreviated and coded.
+
+    A prompt has the document and the order whose number is that of its conversation, modulo their number.
+    """
     c = compressor(spark, sf)
-    r = c.run(prompts(spark, sf))
+    docs, lines = load(spark, sf, "documents", "doc_id", "text"), load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", *HEAD_GRIDS)
+    short, dictionary = c.compress_documents(docs)
+    coded, grids = c.compress_table(lines, list(HEAD_GRIDS))
+    row = lambda cols: F.struct("l_linenumber", F.concat_ws(",", *[F.col(x).cast("string") for x in cols]).alias("line"))
+    every = lambda name: F.array_join(F.transform(F.array_sort(F.col(name)), lambda x: x["line"]), "\n")
+    table = coded.groupBy("l_orderkey").agg(F.collect_list(row(HEAD_GRIDS)).alias("a"), F.collect_list(row([f"{x}_q" for x in HEAD_GRIDS])).alias("b")).select("l_orderkey", every("a").alias("rows"), every("b").alias("codes"))
+    p = prompts(spark, sf)
+    n_docs, n_orders = docs.count(), load(spark, sf, "orders").count()
+    p = p.select("prompt_id", F.pmod("conv_id", F.lit(n_docs)).alias("doc_id"), (F.pmod("conv_id", F.lit(n_orders)) + 1).alias("l_orderkey"))
+    p = p.join(short.select("doc_id", "text", "short"), "doc_id", "left").join(table, "l_orderkey", "left")
+    data = p.select("prompt_id", F.concat_ws("\n", "text", "rows").alias("data"), F.concat_ws("\n", "short", "codes").alias("data_short"))
+    header = abbrev.dictionary_header(dictionary).first()["header"] + "; " + "; ".join(f"{g.column} {g.lo} {g.hi} {g.bits}" for g in grids)
+    return data, header
+
+
+def arms(spark, sf):
+    """Compressed prompts with their attachments, example lines by kind, and the header."""
+    r = compressor(spark, sf).run(prompts(spark, sf))
     v = load(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec"), "label")
     best = exemplars.few_shot(exemplars.prototypes(v.withColumnRenamed("label", "cluster"))).select("id")
     shots = {}
     for kind, ids in (("representative", best), ("random", exemplars.random_shots(v, "id").select("id"))):
         shots[kind] = " ".join(f"example {x['id']} label {x['label']}" for x in v.join(F.broadcast(ids), "id").orderBy("id").collect())
-    p = load(spark, sf, "part").orderBy("p_partkey").limit(20)  # the attachment of the experiment is a page of a catalogue
-    text = "\n".join(x["text"] for x in render_table(p, ["p_name", "p_type", "p_brand"]).collect())
-    one = spark.createDataFrame([(0, text)], "doc_id long, text string")
-    dic = abbrev.build_dictionary(abbrev.select_top(abbrev.codec_frequencies(one, 2), 3), one)
-    short = abbrev.abbreviate(one, abbrev.as_mapping(dic)).first()["short"]
-    header = abbrev.dictionary_header(dic).first()["header"]
-    return r.prompts, shots, (text, short), header
+    data, header = attachments(spark, sf)
+    return r.prompts.join(data, "prompt_id", "left"), shots, ("data", "data_short"), header
 
 
 @query()
 def assemble_methods_a_to_f(spark, sf):
+    """Tokens of every prompt with its attachments under methods A to F."""
     t = assemble(*arms(spark, sf))
-    return t.groupBy("method", "exemplar_kind").agg(F.count("*").alias("prompts"), F.sum("tokens_word").alias("tokens_word"), F.sum("tokens_est").alias("tokens_est"), F.max("header_tokens").alias("header_tokens"))
+    return t.groupBy("method", "exemplar_kind").agg(F.count("*").alias("prompts"), F.sum("tokens_word").alias("tokens_word"), F.max("header_tokens").alias("header_tokens"))
+
+
+@query(f"""WITH {DOC_WORDS}, uni AS (SELECT tok, count(*) AS n FROM dw GROUP BY tok), tot AS (SELECT sum(n)::BIGINT AS total FROM uni),
+  a AS (SELECT doc_id, unnest(range(len(w))) AS pos, unnest(w) AS tok FROM (SELECT doc_id, regexp_extract_all(lower(text), '{W}') AS w FROM documents)),
+  c AS (SELECT *, coalesce(lag(tok) OVER (PARTITION BY doc_id ORDER BY pos), '') AS ctx FROM a), bi AS (SELECT ctx, tok, count(*) AS n FROM c GROUP BY ALL), bc AS (SELECT ctx, sum(n)::BIGINT AS m FROM bi GROUP BY ctx),
+  s AS (SELECT doc_id, pos, c.tok, round(-log2(uni.n::DOUBLE / total), 6) AS s, round(-log2(0.3::DOUBLE * (uni.n::DOUBLE / total) + 0.7::DOUBLE * (bi.n::DOUBLE / bc.m)), 6) AS y
+    FROM c JOIN uni ON uni.tok = c.tok JOIN bi ON bi.ctx = c.ctx AND bi.tok = c.tok JOIN bc ON bc.ctx = c.ctx, tot),
+  g AS (SELECT *, round(CASE WHEN s <> 0 AND abs(y - s) / s <= 0.1 THEN 0.5 * s + 0.5 * y ELSE y END, 7) AS score FROM s),
+  k AS (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY score DESC, pos) <= ceil(0.5 * count(*) OVER (PARTITION BY doc_id)) AS kept FROM g)
+SELECT doc_id, count(*) AS total, count(*) FILTER (WHERE kept) AS kept, md5(string_agg(tok, ' ' ORDER BY pos) FILTER (WHERE kept)) AS short_md5 FROM k GROUP BY doc_id""")
+def documents_as_prompts(spark, sf):
+    """Whole documents as prompts, whatever their length, pruned to half of their words."""
+    d = load(spark, sf, "documents", "doc_id", "text")
+    scored = selfinfo.score_tokens(d.select(F.col("doc_id").alias("prompt_id"), "text"), d.select("text"))
+    t = prune.reassemble(prune.prune_tokens(scored, prune.Budget.ratio(0.5)))
+    return t.select(F.col("prompt_id").alias("doc_id"), "total", "kept", F.md5("text").alias("short_md5"))
 
 
 @query("SELECT l_orderkey, l_linenumber, concat_ws(',', l_orderkey::VARCHAR, l_linenumber::VARCHAR, l_returnflag, l_linestatus) AS text FROM lineitem")
@@ -84,26 +120,6 @@ def render_table_csv(spark, sf):
     return render_table(load(spark, sf, "lineitem"), ["l_orderkey", "l_linenumber", "l_returnflag", "l_linestatus"]).select("l_orderkey", "l_linenumber", "text")
 
 
-@query()
-def ablation_grid(spark, sf):
-    """Words saved by dictionaries of 1 to 5 n-grams of 2 to 5 words."""
-    return workloads.ablation_grid(load(spark, sf, "documents", "text"))
-
-
-@query()
-def pareto_settings(spark, sf):
-    """Settings of the ablation that no other beats in both ratio and mean cosine."""
-    d, out = load(spark, sf, "documents", "text"), None
-    for g in (2, 4):
-        ranked = [r["gram"] for r in sorted(abbrev.select_top(abbrev.codec_frequencies(d, g), 5).collect(), key=lambda r: (-r["freq"], r["gram"]))]
-        for t in (1, 3, 5):
-            s = abbrev.abbreviate(d, {x: f"QQ{i + 1}" for i, x in enumerate(ranked[:t])})
-            s = s.select(token_count(F.col("text")).alias("a"), token_count(F.col("short")).alias("b"), fidelity.word_cosine(F.col("text"), F.col("short")).alias("c"))
-            s = s.agg(F.round(F.sum("a") / F.sum("b"), 6).alias("ratio"), F.round(F.avg("c"), 6).alias("cosine")).select(F.lit(f"G{g}T{t}").alias("setting"), "ratio", "cosine")
-            out = s if out is None else out.unionAll(s)
-    return measures.pareto(out, "setting", "ratio", "cosine")
-
-
 def passage_arms(spark, sf):
     docs, items = load(spark, sf, "documents", "doc_id", "text"), load(spark, sf, "benchmark")
     m = abbrev.as_mapping(abbrev.build_dictionary(abbrev.select_top(abbrev.codec_frequencies(docs, 2), 3), docs))
@@ -158,25 +174,6 @@ def numeric_accuracy_by_bits(spark, sf):
     return measures.accuracy_report(out.unionAll(exact))
 
 
-@query()
-def method_heatmap(spark, sf):
-    """Accuracy deltas of passage finding: scorers across, pruned shares down; documents are pruned, questions are not."""
-    docs, items = load(spark, sf, "documents", "doc_id", "text"), load(spark, sf, "benchmark")
-    few = docs.join(workloads.answers(docs, items).select("doc_id").distinct(), "doc_id", "left_semi")  # documents that can be answers
-    p = few.select(F.col("doc_id").alias("prompt_id"), "text")
-    base = workloads.passage_finding(few, items, {"A": (few, "text", items, "text")}).where("answerable").select(F.lit("A").alias("method"), "correct").agg(F.avg(F.col("correct").cast("double")).alias("base"))
-    out = None
-    for name in ("scorer_a", "scorer_b"):
-        s = selfinfo.score_tokens(p, docs.select("text"), selfinfo.get_scorer(name, docs.select("text")))
-        for share in (0.7, 0.4):
-            short = prune.reassemble(prune.prune_tokens(s, prune.Budget.ratio(share))).select(F.col("prompt_id").alias("doc_id"), "text")
-            gold = workloads.passage_finding(few, items, {"C": (short, "text", items, "text")}).where("answerable")
-            t = gold.agg(F.avg(F.col("correct").cast("double")).alias("acc")).select(F.lit(name).alias("scorer"), F.lit(str(share)).alias("share"), "acc")
-            out = t if out is None else out.unionAll(t)
-    t = out.crossJoin(F.broadcast(base)).select("scorer", "share", F.round(100 * (F.col("acc") - F.col("base")), 4).alias("delta"))
-    return t.groupBy("share").pivot("scorer", ["scorer_a", "scorer_b"]).agg(F.first("delta"))
-
-
 @query()
 def scorer_sensitivity(spark, sf):
     """Mean score, share of tokens within the band, and similarity after pruning, for the four scorers."""
@@ -191,22 +188,6 @@ def scorer_sensitivity(spark, sf):
     return out
 
 
-@query()
-def metric_disagreement(spark, sf):
-    """Pairs of budgets that cosine and passage accuracy order differently."""
-    docs, items = load(spark, sf, "documents", "doc_id", "text"), load(spark, sf, "benchmark")
-    out = None
-    for share in (1.0, 0.8, 0.6, 0.4):
-        from ctxpress.operators.baselines import truncate
-
-        short = docs.withColumn("short", truncate(F.col("text"), share))
-        cos = short.agg(F.round(F.avg(fidelity.word_cosine(F.col("text"), F.col("short"))), 6).alias("cosine"))
-        acc = workloads.passage_finding(docs, items, {"C": (short, "short", items, "text")}).where("answerable").agg(F.round(F.avg(F.col("correct").cast("double")), 6).alias("accuracy"))
-        t = cos.crossJoin(acc).select(F.lit(f"keep{share}").alias("setting"), "cosine", "accuracy")
-        out = t if out is None else out.unionAll(t)
-    return measures.metric_disagreement(out.persist(), "setting", "cosine", "accuracy")
-
-
 @query()
 def classification_reader(spark, sf):
     """Quality labels predicted on original and on half-truncated text by a model fitted on originals."""
@@ -233,6 +214,41 @@ RATINGS = f"""d AS (SELECT doc_id AS pair_id, list_distinct(regexp_extract_all(l
   ra AS (SELECT pair_id, r AS rater, greatest(1, least(5, round(1 + 4 * recall + b)))::INTEGER AS score FROM rc, (SELECT unnest([1, 2, 3]) AS r, unnest([-0.4, 0.0, 0.4])::DOUBLE AS b))"""
 
 
+TRAINED = f"""d AS (SELECT doc_id AS pair_id, row_number() OVER (ORDER BY (doc_id * 48271 + 11) % 2147483647, doc_id) AS place, list_distinct(regexp_extract_all(lower(text), '{W}')) AS a, regexp_extract_all(text, '{W}') AS w FROM documents QUALIFY place > 90 AND place <= 150),
+  rc AS (SELECT pair_id, place, CASE WHEN len(a) = 0 THEN 1.0 ELSE len(list_distinct(list_transform(w[1:ceil(len(w) * 0.5)::INT], lambda x: lower(x)))) / len(a)::DOUBLE END AS recall FROM d),
+  ra AS (SELECT place, r AS rater, greatest(1, least(5, round(1 + 4 * recall + b)))::INTEGER AS score, round(1 + 4 * recall, 4) AS key FROM rc, (SELECT unnest([1, 2, 3]) AS r, unnest([-0.4, 0.0, 0.4])::DOUBLE AS b))"""
+
+
+@query(f"""WITH {TRAINED}, s AS (SELECT rater, avg(score - key) AS bias FROM ra WHERE place <= 120 GROUP BY rater)
+SELECT rater, count(*) AS rated, round(any_value(bias), 4) AS bias, round(avg(abs(score - key)), 4) AS gap_before, round(avg(abs(score - bias - key)), 4) AS gap_after FROM ra JOIN s USING (rater) WHERE place > 120 GROUP BY rater""")
+def rater_training(spark, sf):
+    """Made-up raters are shown 30 graded pairs, which tell their bias, and rate 30 others before the 90: gaps to the key before and after."""
+    from ctxpress.operators.baselines import truncate
+
+    d = load(spark, sf, "documents", "doc_id", "text").orderBy((F.col("doc_id") * 48271 + 11) % 2147483647, "doc_id").limit(150)
+    d = d.withColumn("place", F.row_number().over(Window.orderBy((F.col("doc_id") * 48271 + 11) % 2147483647, "doc_id"))).where("place > 90")
+    d = d.select(F.col("doc_id").alias("pair_id"), "place", "text", truncate(F.col("text"), 0.5).alias("short"))
+    recall = fidelity.lexical_recall(F.col("text"), F.col("short"))
+    t = fidelity.simulated_ratings(d, recall).join(d.select("pair_id", "place", F.round(1 + 4 * recall, 4).alias("key")), "pair_id")
+    bias = t.where("place <= 120").groupBy("rater").agg(F.avg(F.col("score") - F.col("key")).alias("bias"))
+    t = t.where("place > 120").join(F.broadcast(bias), "rater")
+    gap = lambda c: F.round(F.avg(F.abs(c - F.col("key"))), 4)
+    return t.groupBy("rater").agg(F.count("*").alias("rated"), F.round(F.first("bias"), 4).alias("bias"), gap(F.col("score")).alias("gap_before"), gap(F.col("score") - F.col("bias")).alias("gap_after"))
+
+
+@query("SELECT unnest(['score', 'prune', 'reassemble']) AS stage, true AS timed, count(*) AS prompts FROM conversations")
+def stage_timer(spark, sf):
+    """The stages of prompt compression, each run on its own and timed; seconds differ, so only whether there are any is told."""
+    timer, p = measures.StageTimer(), prompts(spark, sf)
+    scored = selfinfo.score_tokens(p, load(spark, sf, "documents", "text")).persist()
+    timer.run("score", scored)
+    kept = prune.prune_tokens(scored, prune.Budget.ratio(0.5))
+    timer.run("prune", kept)
+    timer.run("reassemble", prune.reassemble(kept))
+    scored.unpersist()
+    return spark.createDataFrame([(k, v > 0, p.count()) for k, v in timer.seconds.items()], "stage string, timed boolean, prompts long")
+
+
 @query(f"WITH {RATINGS} SELECT x.rater AS rater_a, y.rater AS rater_b, count(*) AS shared, round(count(*) FILTER (WHERE x.score = y.score) / count(*)::DOUBLE, 4) AS exact, round(avg(abs(x.score - y.score)), 4) AS mean_gap FROM ra x JOIN ra y ON x.pair_id = y.pair_id AND x.rater < y.rater GROUP BY ALL")
 def rater_alignment(spark, sf):
     return fidelity.rater_alignment(rated(spark, sf)[1])
@@ -311,25 +327,6 @@ def codec_grams_by_source(spark, sf):
     return t.groupBy("source").agg(F.count("*").alias("grams"), F.max("freq").alias("top"))
 
 
-@query()
-def ablation_regions(spark, sf):
-    """Accuracy of passage finding on abbreviated documents by (G, T), in points against the originals, and its region."""
-    docs, items = load(spark, sf, "documents", "doc_id", "text"), load(spark, sf, "benchmark")
-    few = docs.join(workloads.answers(docs, items).select("doc_id").distinct(), "doc_id", "left_semi")
-    base = workloads.passage_finding(few, items, {"A": (few, "text", items, "text")}).where("answerable").agg(F.avg(F.col("correct").cast("double")).alias("base"))
-    out = None
-    for g in (2, 4):
-        ranked = [r["gram"] for r in sorted(abbrev.select_top(abbrev.codec_frequencies(docs, g), 5).collect(), key=lambda r: (-r["freq"], r["gram"]))]
-        for t in (1, 3, 5):
-            m = {x: f"QQ{i + 1}" for i, x in enumerate(ranked[:t])}
-            arm = {"C": (abbrev.abbreviate(few, m), "short", abbrev.abbreviate(items, m), "short")}
-            acc = workloads.passage_finding(few, items, arm).where("answerable").agg(F.avg(F.col("correct").cast("double")).alias("acc"))
-            row = acc.select(F.lit(g).alias("g"), F.lit(t).alias("t"), "acc")
-            out = row if out is None else out.unionAll(row)
-    delta = F.round(100 * (F.col("acc") - F.col("base")), 4)
-    return out.crossJoin(F.broadcast(base)).select("g", "t", delta.alias("delta"), workloads.region(delta).alias("region"))
-
-
 JUDGED = f"""j AS (SELECT conv_id, turn, list_distinct(regexp_extract_all(lower(text), '{W}')) AS a, regexp_extract_all(text, '{W}') AS w FROM conversations),
   g AS (SELECT *, round(1 + 4 * CASE WHEN len(a) = 0 THEN 1.0 ELSE len(list_distinct(list_transform(w[1:ceil(len(w) * 0.7)::INT], lambda x: lower(x)))) / len(a)::DOUBLE END, 4) AS grade FROM j)"""
 

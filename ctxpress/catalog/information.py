@@ -71,14 +71,14 @@ SELECT prompt_id, pos::INTEGER AS pos, q.tok,
 FROM q LEFT JOIN tr ON tr.ctx = c2 AND tr.tok = q.tok LEFT JOIN tc ON tc.ctx = c2 LEFT JOIN bi ON bi.ctx = c1 AND bi.tok = q.tok LEFT JOIN bc ON bc.ctx = c1""")
 def trigram_backoff_information(spark, sf):
     docs = load(spark, sf, "documents", "text")
-    t = selfinfo.NgramModel(docs, 3).score(selfinfo.prompt_tokens(prompts(spark, sf)))
+    t = selfinfo.NgramModel(docs, 3).score(selfinfo.prompt_tokens(prompts(spark, sf), whole=False))
     return t.select("prompt_id", "pos", "tok", F.round("s_dyn", 6).alias("s_dyn"))
 
 
 @query(f"""WITH {P1} SELECT prompt_id, pos::INTEGER AS pos, tok,
   round(-log2(CASE WHEN pos = 0 THEN p1 ELSE 0.5::DOUBLE * (count(*) OVER (PARTITION BY prompt_id, tok ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING))::DOUBLE / pos + 0.5::DOUBLE * p1 END), 6) AS s_dyn FROM p1""")
 def cache_information(spark, sf):
-    t = selfinfo.CacheModel(selfinfo.unigram_counts(load(spark, sf, "documents", "text"))).score(selfinfo.prompt_tokens(prompts(spark, sf)))
+    t = selfinfo.CacheModel(selfinfo.unigram_counts(load(spark, sf, "documents", "text"))).score(selfinfo.prompt_tokens(prompts(spark, sf), whole=False))
     return t.select("prompt_id", "pos", "tok", F.round("s_dyn", 6).alias("s_dyn"))
 
 
@@ -239,4 +239,4 @@ def long_prompts(spark, sf):
 @query(f"""WITH {PROMPTS} SELECT count(*) AS tokens_scored, ceil(count(*) / 256.0)::BIGINT AS batches FROM pt""")
 def scorer_cost(spark, sf):
     """Tokens that an outside scorer would be asked for, and the batches they make."""
-    return selfinfo.prompt_tokens(prompts(spark, sf)).agg(F.count("*").alias("tokens_scored"), F.ceil(F.count("*") / F.lit(256.0)).alias("batches"))
+    return selfinfo.prompt_tokens(prompts(spark, sf), whole=False).agg(F.count("*").alias("tokens_scored"), F.ceil(F.count("*") / F.lit(256.0)).alias("batches"))

@@ -182,11 +182,41 @@ def silhouette_exact_given_labels(spark, sf):
 
 @query()
 def silhouette_sweep(spark, sf):
-    """The sweep over numbers of clusters, coarse here; the operator's default is every k from 5 to 50."""
-    table, best = exemplars.silhouette_sweep(vectors(spark, sf).select("id", "vec"), ks=(5, 8, 12, 20, 35, 50), max_iter=10)
+    """Every number of clusters from 5 to 50; beyond 50 000 vectors the fits run on a hash sample of about that many."""
+    v = vectors(spark, sf).select("id", "vec")
+    table, best = exemplars.silhouette_sweep(v, sample_fraction=exemplars.sample_share(v))
     return table.withColumn("best", F.col("k") == best)
 
 
+def mixed_features(spark, sf):
+    """Features of three kinds: given vectors, hashed words of the benchmark's texts, and standardized numbers of customers' nations."""
+    e = vectors(spark, sf).select("id", "vec")
+    t = exemplars.text_features(load(spark, sf, "benchmark"), "item_id").withColumn("vec", F.transform("vec", lambda x: x / F.sqrt(F.greatest(F.aggregate("vec", F.lit(0.0), lambda a, y: a + y * y), F.lit(1e-12)))))
+    nation = load(spark, sf, "customer").groupBy("c_nationkey").agg(F.count("*").cast("double").alias("n"), F.avg("c_acctbal").alias("mean"), F.max("c_acctbal").alias("most"))
+    return {"embeddings": e, "texts": t, "numbers": exemplars.numeric_features(nation, "c_nationkey", ["n", "mean", "most"])}
+
+
+@query()
+def few_shot_from_sweep(spark, sf):
+    """The whole chain on each kind of features: sweep, best number of clusters, clusters, prototypes, three shots."""
+    out = None
+    for kind, f in mixed_features(spark, sf).items():
+        f = f.persist()
+        n = f.count()
+        ks = range(5, min(50, n - 1) + 1)
+        _, best = exemplars.silhouette_sweep(f, ks, sample_fraction=exemplars.sample_share(f))
+        t = exemplars.few_shot(exemplars.prototypes(exemplars.cluster(f, best)))
+        t = t.select(F.lit(kind).alias("features"), F.lit(best).alias("clusters"), F.col("id").cast("long").alias("id"), "size", "distance")
+        out = t if out is None else out.unionAll(t)
+    return out
+
+
+@query("""WITH n AS (SELECT c_nationkey, count(*)::DOUBLE AS n, avg(c_acctbal) AS m, max(c_acctbal) AS x FROM customer GROUP BY c_nationkey), s AS (SELECT avg(n) AS n0, stddev_samp(n) AS n1, avg(m) AS m0, stddev_samp(m) AS m1, avg(x) AS x0, stddev_samp(x) AS x1 FROM n)
+SELECT c_nationkey::BIGINT AS id, round((n - n0) / n1, 6) AS z0, round((m - m0) / m1, 6) AS z1, round((x - x0) / x1, 6) AS z2 FROM n, s""")
+def numeric_features(spark, sf):
+    return mixed_features(spark, sf)["numbers"].select(F.col("id").cast("long").alias("id"), *[F.round(F.element_at("vec", i + 1), 6).alias(f"z{i}") for i in range(3)])
+
+
 CENTERS = f"""{EMB}, dim AS (SELECT label, i, avg(v[i + 1]) AS m FROM (SELECT label, v, unnest(range(64)) AS i FROM e) GROUP BY ALL), cen AS (SELECT label, list(m ORDER BY i) AS c FROM dim GROUP BY label),
   near AS (SELECT id, e.label, round(list_sum(list_transform(range(1, 65), lambda i: (v[i] - c[i]) * (v[i] - c[i]))), 6) AS d FROM e JOIN cen USING (label)),
   proto AS (SELECT label AS cluster, arg_min(id, (d, id)) AS id, count(*) AS size, min(d) AS distance FROM near GROUP BY label)"""
@@ -242,3 +272,48 @@ def query_fidelity(spark, sf):
     hat = {c: dequantize(quantize(F.col(c), x.lo, x.hi, 8), x.lo, x.hi, 8) for c, x in g.items()}
     t = t.groupBy("l_returnflag").agg(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("e"), F.sum(hat["l_extendedprice"] * (1 - hat["l_discount"])).alias("a"))
     return t.select("l_returnflag", F.round("e", 2).alias("exact"), F.round("a", 2).alias("approximate"), F.round(F.abs(F.col("a") / F.col("e") - 1), 6).alias("rel_error"))
+
+
+@query("""SELECT l_returnflag, round(sum(x * 1.0) / count(*), 6) AS mean, 4::BIGINT AS bins, true AS never_worse FROM (SELECT l_returnflag, l_quantity AS x FROM lineitem) GROUP BY l_returnflag""")
+def optimal_bins_by_flag(spark, sf):
+    """The exact best four bins of quantities in each group, found by a grouped function; never worse than equal widths."""
+    t = quant.optimal_bins(lines(spark, sf, "l_returnflag", "l_quantity"), "l_returnflag", "l_quantity", 4)
+    mean = lines(spark, sf, "l_returnflag", "l_quantity").groupBy("l_returnflag").agg(F.round(F.sum("l_quantity") / F.count("*"), 6).alias("mean"))
+    return t.join(mean, "l_returnflag").select("l_returnflag", "mean", F.size("centroids").cast("long").alias("bins"), (F.col("mse") <= F.col("equal_width_mse") + 1e-9).alias("never_worse"))
+
+
+TABLE_QUESTIONS = (
+    ("order_price_by_status", "orders", "o_orderstatus", "avg", "o_totalprice"),
+    ("order_price_by_priority", "orders", "o_orderpriority", "sum", "o_totalprice"),
+    ("balance_by_segment", "customer", "c_mktsegment", "avg", "c_acctbal"),
+    ("balance_by_nation", "customer JOIN nation ON c_nationkey = n_nationkey", "n_name", "sum", "c_acctbal"),
+    ("supplier_balance_by_nation", "supplier JOIN nation ON s_nationkey = n_nationkey", "n_name", "avg", "s_acctbal"),
+)
+
+
+def _table_questions_sql(bits: int = 8) -> str:
+    out = []
+    for qid, source, by, how, col in TABLE_QUESTIONS:
+        levels = 2**bits - 1
+        hat = f"(lo + round(({col} - lo) / (hi - lo) * {levels}) * (hi - lo) / {levels})"
+        mm = f"(SELECT min({col}) AS lo, max({col}) AS hi FROM {source.split(' ')[0]})"
+        out.append(f"SELECT '{qid}' AS qid, {by} AS grp, round({how}({col}), 2) AS exact, round({how}({hat}), 2) AS decoded, coalesce(abs(({how}({hat}) - {how}({col})) / nullif({how}({col}), 0)), 0.0) <= 0.01 AS correct FROM {source}, {mm} GROUP BY {by}")
+    return " UNION ALL ".join(out)
+
+
+@query(_table_questions_sql())
+def numeric_questions_across_tables(spark, sf):
+    """Questions on orders, customers and suppliers, some through their nations, on stored and on decoded values."""
+    nation, out = load(spark, sf, "nation", "n_nationkey", "n_name"), None
+    for qid, source, by, how, col in TABLE_QUESTIONS:
+        table = source.split(" ")[0]
+        t = load(spark, sf, table)
+        g = quant.uniform_fit(t, [col], 8)[0]
+        if "JOIN" in source:
+            t = t.join(F.broadcast(nation), F.col(f"{table[0]}_nationkey") == F.col("n_nationkey"))
+        f = {"sum": F.sum, "avg": F.avg}[how]
+        t = t.groupBy(F.col(by).alias("grp")).agg(f(col).alias("e"), f(dequantize(quantize(F.col(col), g.lo, g.hi, 8), g.lo, g.hi, 8)).alias("d"))
+        right = F.coalesce(F.abs(F.try_divide(F.col("d") - F.col("e"), F.col("e"))), F.lit(0.0)) <= 0.01
+        t = t.select(F.lit(qid).alias("qid"), "grp", F.round("e", 2).alias("exact"), F.round("d", 2).alias("decoded"), right.alias("correct"))
+        out = t if out is None else out.unionAll(t)
+    return out

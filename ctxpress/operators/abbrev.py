@@ -87,20 +87,20 @@ def top_by_levels(docs: DataFrame, n: int, k: int) -> DataFrame:
 
 
 def top_by_sketch(docs: DataFrame, n: int, k: int, tracked: int = 20_000) -> DataFrame:
-    """Top-k n-grams by a heavy-hitter sketch and an exact recount of its candidates; no shuffle of all n-grams.
+    """Top-k n-grams by a heavy-hitter sketch and an exact recount of all that it lists; no shuffle of all n-grams.
 
-    The sketch tracks ``tracked`` items; what it does not list has at most occurrences/tracked occurrences. If the k-th
-    recounted frequency is not above that bound, the plain count decides instead.
+    What the sketch of ``tracked`` items does not list occurs at most 8 * occurrences / tracked times: twice its error, as it
+    lists only what is frequent for certain. If the k-th recounted frequency is above that, no other n-gram can even tie with
+    it; otherwise the plain count decides.
     """
     grams = extract_ngrams(docs, n)
-    found = grams.agg(F.expr(f"approx_top_k(gram, {min(10 * k, 10_000)}, {tracked})").alias("t"), F.count("*").alias("n")).first()
+    found = grams.agg(F.expr(f"approx_top_k(gram, {tracked}, {tracked})").alias("t"), F.count("*").alias("n")).first()
     names = [(r["item"],) for r in found["t"]]
-    if names:
+    if len(names) >= k:
         spark = docs.sparkSession
         exact = grams.join(F.broadcast(spark.createDataFrame(names, "gram string")), "gram", "left_semi").groupBy("gram").agg(F.count("*").alias("freq"))
         top = select_top(exact, k)
-        least = top.agg(F.min("freq"), F.count("*")).first()
-        if least[1] >= k and least[0] > 4 * found["n"] / tracked:
+        if top.agg(F.min("freq")).first()[0] > 8 * found["n"] / tracked:
             return top
     return select_top(ngram_frequencies(docs, n), k)
 
@@ -111,11 +111,14 @@ def placeholder(c: Column) -> Column:
     return F.concat(letter(F.floor((c % 676) / 26)), letter(c % 26), (F.floor(c / 676) + 1).cast("string"))
 
 
-def build_dictionary(top: DataFrame, docs: DataFrame, spare: int = 2000) -> DataFrame:
-    """(placeholder, gram, freq, rank): the r-th n-gram gets the r-th placeholder that no text has as a word."""
+def build_dictionary(top: DataFrame, docs: DataFrame) -> DataFrame:
+    """(placeholder, gram, freq, rank): the r-th n-gram gets the r-th placeholder that no text has as a word.
+
+    There are as many candidates as n-grams and used placeholders together, so no n-gram is left without one.
+    """
     spark = top.sparkSession
-    candidates = spark.range(spare).select("id", placeholder(F.col("id")).alias("placeholder"))
     used = docs.select(F.explode(F.array_distinct(words(F.col("text")))).alias("placeholder")).where(F.col("placeholder").rlike("^[A-Z]{2}[0-9]+$")).distinct()
+    candidates = spark.range(top.count() + used.count()).select("id", placeholder(F.col("id")).alias("placeholder"))
     free = candidates.join(used, "placeholder", "left_anti")
     free = free.withColumn("rank", F.row_number().over(Window.orderBy("id")).cast("long")).drop("id")
     ranked = top.withColumn("rank", F.row_number().over(Window.orderBy(F.desc("freq"), "gram")).cast("long"))
@@ -243,18 +246,11 @@ def abbreviate_each(docs: DataFrame, n: int, k: int) -> DataFrame:
     """Adds short and used: every text by its own ``k`` most frequent repeated n-grams, all within the row."""
 
     def f(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        from collections import Counter
-
-        run = regex.compile(rf"{WORD}(?: {WORD})*")
         word = regex.compile(r"[A-Z]{2}[0-9]+")
         for p in parts:
             shorts, used = [], []
             for t in p["text"]:
-                c: Counter = Counter()
-                for r in run.findall(t or ""):
-                    w = r.split(" ")
-                    c.update(" ".join(w[i : i + n]) for i in range(len(w) - n + 1))
-                top = [g for g, x in sorted(c.items(), key=lambda e: (-e[1], e[0]))[:k] if x > 1]
+                top = own_dictionary(t or "", n, k)
                 taken, names, i = set(word.findall(t or "")), [], 0
                 while len(names) < len(top):
                     name = f"{chr(65 + i % 676 // 26)}{chr(65 + i % 26)}{i // 676 + 1}"
@@ -296,3 +292,47 @@ def search_abbreviated(docs: DataFrame, mapping: dict[str, str], phrase: str, sh
     found = restore(docs.where(could), mapping, short_col, "_restored")
     edge = r"[\p{L}\p{M}\p{N}_]"
     return found.where(F.col("_restored").rlike(rf"(?<!{edge})\Q{phrase}\E(?!{edge})")).drop("_restored")
+
+
+def own_dictionary(text: str, n: int, k: int) -> list[str]:
+    """The ``k`` most frequent n-grams that a text repeats, by what the codec could replace."""
+    from collections import Counter
+
+    c: Counter = Counter()
+    for r in regex.findall(rf"{WORD}(?: {WORD})*", text):
+        w = r.split(" ")
+        c.update(" ".join(w[i : i + n]) for i in range(len(w) - n + 1))
+    return [g for g, x in sorted(c.items(), key=lambda e: (-e[1], e[0]))[:k] if x > 1]
+
+
+def abbreviation_effects(docs: DataFrame, ranked: dict[int, list[str]], tops: tuple[int, ...], scopes: tuple[str, ...] = ("corpus", "document")) -> DataFrame:
+    """(doc_id, scope, g, t, words_before, words_after, cosine, lost): what each setting does to each text, in one pass over the texts.
+
+    ``ranked`` has the corpus's n-grams of each length, best first; in scope ``document`` a text has a dictionary of its own.
+    ``cosine`` is that of lower-case word counts, null without words; ``lost`` are the distinct lower-case words that occur in the text but no longer in its abbreviation.
+    """
+
+    def f(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        from collections import Counter
+
+        word = regex.compile(WORD)
+        shared = {(g, t): Codec({x: f"\x02zq{i}qz" for i, x in enumerate(grams[:t])}) for g, grams in ranked.items() for t in tops}
+        for p in parts:
+            for doc, text in zip(p["doc_id"], p["text"]):
+                text = text or ""
+                before, rows = word.findall(text), []
+                low = Counter(w.lower() for w in before)
+                size = sum(v * v for v in low.values())
+                for g in ranked:
+                    own = own_dictionary(text, g, max(tops)) if "document" in scopes else []
+                    for t in tops:
+                        for scope in scopes:
+                            codec = shared[g, t] if scope == "corpus" else Codec({x: f"\x02zq{i}qz" for i, x in enumerate(own[:t])})
+                            after = word.findall(codec.encoder()(text)) if codec.mapping else before
+                            now = Counter(w.lower() for w in after)
+                            norm = (size * sum(v * v for v in now.values())) ** 0.5
+                            cosine = sum(v * now[w] for w, v in low.items() if w in now) / norm if norm else None
+                            rows.append((doc, scope, g, t, len(before), len(after), cosine, sorted(low.keys() - now.keys())))
+                yield pd.DataFrame(rows, columns=["doc_id", "scope", "g", "t", "words_before", "words_after", "cosine", "lost"])
+
+    return docs.select("doc_id", "text").mapInPandas(f, "doc_id long, scope string, g int, t int, words_before long, words_after long, cosine double, lost array<string>")

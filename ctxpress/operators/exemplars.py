@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -46,19 +47,27 @@ def silhouette_sweep(features: DataFrame, ks: Sequence[int] = range(5, 51), seed
 
     data = hash_sample(features, "id", sample_fraction) if sample_fraction else features
     data = as_vectors(data.repartitionByRange(8, "id").sortWithinPartitions("id")).persist()
+    def fit(k: int) -> tuple[int, float]:
+        model = KMeans(k=k, seed=seed, maxIter=max_iter).fit(data)
+        found = model.transform(data)
+        one = found.select("prediction").distinct().limit(2).count() < 2
+        return int(k), -1.0 if one else float(ClusteringEvaluator().evaluate(found))
+
     try:
-        rows = []
-        for k in ks:
-            model = KMeans(k=k, seed=seed, maxIter=max_iter).fit(data)
-            found = model.transform(data)
-            one = found.select("prediction").distinct().limit(2).count() < 2
-            rows.append((int(k), -1.0 if one else float(ClusteringEvaluator().evaluate(found))))
+        with ThreadPoolExecutor(8) as pool:  # fits are many short jobs; several at a time share the cluster
+            rows = list(pool.map(fit, ks))
     finally:
         data.unpersist()
     best = max(rows, key=lambda r: (r[1], -r[0]))[0]
     return features.sparkSession.createDataFrame(rows, "k int, silhouette double"), best
 
 
+def sample_share(features: DataFrame, most: int = 50_000) -> float | None:
+    """Share of the rows that a sweep may fit on: all of up to ``most``, about that many of more."""
+    n = features.count()
+    return None if n <= most else most / n
+
+
 def cluster(features: DataFrame, k: int, seed: int = 1, max_iter: int = 20) -> DataFrame:
     """(id, vec, cluster) of all rows by k-means."""
     from pyspark.ml.clustering import KMeans

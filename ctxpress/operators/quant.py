@@ -169,6 +169,20 @@ def kmeans_mse(values: DataFrame, centroids: Sequence[float]) -> Column:
     return F.sum(F.col("n") * F.pow(F.col("x") - hat, 2)) / F.sum("n")
 
 
+def optimal_bins(df: DataFrame, by: str, col: str, k: int) -> DataFrame:
+    """(by, centroids, mse, equal_width_mse): the exact best ``k`` bins of each group; a group comes together as its distinct values with counts."""
+    import pandas as pd
+
+    def best(f: pd.DataFrame) -> pd.DataFrame:
+        x, n = f["x"].to_numpy(float), f["n"].to_numpy(float)
+        mse, cents = kmeans_1d_exact(x, n, k)
+        wide = x.min() + (np.minimum(k - 1, np.floor((x - x.min()) / max(np.ptp(x), 1e-300) * k)) + 0.5) * np.ptp(x) / k
+        return pd.DataFrame([(f[by].iloc[0], cents, mse, float((n * (x - wide) ** 2).sum() / n.sum()))], columns=[by, "centroids", "mse", "equal_width_mse"])
+
+    values = df.select(by, finite(F.col(col)).alias("x")).where("x is not null").groupBy(by, "x").agg(F.count("*").alias("n"))
+    return values.groupBy(by).applyInPandas(best, f"{by} {df.schema[by].dataType.simpleString()}, centroids array<double>, mse double, equal_width_mse double")
+
+
 def kmeans_1d_exact(x: np.ndarray, n: np.ndarray, k: int) -> tuple[float, list[float]]:
     """Least mean square error by dynamic programming over sorted distinct values; for some thousand values."""
     order = np.argsort(x)

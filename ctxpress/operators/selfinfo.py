@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ctxpress.functions.scalar import combine_scores, merge_rule, relative_gap
@@ -47,6 +47,7 @@ class UnigramModel:
     """P(t) with a floor for unseen words."""
 
     name = "unigram"
+    whole_prompt = False  # whether a model asks for the word array of the prompt in each row
 
     def __init__(self, counts: DataFrame):
         self.counts = counts
@@ -74,13 +75,13 @@ class NgramModel(UnigramModel):
             self.tables.append((k, pairs, pairs.groupBy("ctx").agg(F.sum("n").alias("m"))))
 
     def score(self, tokens: DataFrame) -> DataFrame:
-        """Adds s_dyn to (keys, pos, tok, w) rows, w being the prompt's word array."""
+        """Adds s_dyn to (keys, pos, tok, ctx1, ctx2) rows, the contexts being the one and two words before."""
         t, p = self.attach(tokens), F.lit(self.weights[-1]) * F.col("p1")
         for (k, pairs, ctxs), weight in zip(self.tables, self.weights):
-            t = t.withColumn("ctx", context_of(F.col("w"), F.col("pos"), k - 1))
-            t = t.join(pairs.withColumnRenamed("n", f"n{k}"), ["ctx", "tok"], "left").join(ctxs.withColumnRenamed("m", f"m{k}"), "ctx", "left")
+            ctx = f"ctx{k - 1}"
+            t = t.join(pairs.select(F.col("ctx").alias(ctx), "tok", F.col("n").alias(f"n{k}")), [ctx, "tok"], "left").join(ctxs.select(F.col("ctx").alias(ctx), F.col("m").alias(f"m{k}")), ctx, "left")
             p = p + F.lit(weight) * F.coalesce(F.col(f"n{k}") / F.col(f"m{k}"), F.lit(0.0))
-        return t.withColumn("s_dyn", -F.log2(p)).drop("ctx", *[f"{c}{k}" for k, _, _ in self.tables for c in "nm"])
+        return t.withColumn("s_dyn", -F.log2(p)).drop(*[f"{c}{k}" for k, _, _ in self.tables for c in "nm"])
 
 
 class CacheModel(UnigramModel):
@@ -93,7 +94,7 @@ class CacheModel(UnigramModel):
         self.mix = mix
 
     def score(self, tokens: DataFrame) -> DataFrame:
-        before = F.size(F.filter(F.slice("w", F.lit(1), F.col("pos")), lambda x: x == F.col("tok")))
+        before = F.row_number().over(Window.partitionBy("prompt_id", "tok").orderBy("pos")) - 1
         p = F.when(F.col("pos") == 0, F.col("p1")).otherwise(F.lit(self.mix) * F.try_divide(before, F.col("pos")) + F.lit(1 - self.mix) * F.col("p1"))
         return self.attach(tokens).withColumn("s_dyn", -F.log2(p))
 
@@ -102,6 +103,7 @@ class ExternalModel:
     """A model outside Spark: ``fn`` takes a list of (words before, word) and returns probabilities; called by batch."""
 
     name = "external"
+    whole_prompt = True
 
     def __init__(self, fn: Callable[[list[tuple[list[str], str]]], list[float]], batch: int = 256):
         self.fn, self.batch = fn, batch
@@ -139,15 +141,20 @@ def get_scorer(name: str, docs: DataFrame):
     return {"scorer_a": lambda: UnigramModel(unigram_counts(docs)), "scorer_b": lambda: NgramModel(docs, 2), "scorer_c": lambda: NgramModel(docs, 3), "scorer_d": lambda: CacheModel(unigram_counts(docs))}[name]()
 
 
-def prompt_tokens(prompts: DataFrame) -> DataFrame:
-    """(prompt_id, pos, tok, w): the words of each prompt with the prompt's whole array."""
-    return prompts.select("prompt_id", words(F.col("text"), True).alias("w")).select("prompt_id", "w", F.posexplode("w").alias("pos", "tok"))
+def prompt_tokens(prompts: DataFrame, whole: bool = True) -> DataFrame:
+    """(prompt_id, pos, tok, ctx1, ctx2): the words of each prompt with the one and two words before; rows stay of one size.
+
+    Rows carry the prompt's word array w too, for models that run before any shuffle, unless ``whole`` is false.
+    """
+    w = prompts.select("prompt_id", words(F.col("text"), True).alias("w"))
+    each = F.transform("w", lambda t, i: F.struct(t.alias("tok"), context_of(F.col("w"), i, 1).alias("ctx1"), context_of(F.col("w"), i, 2).alias("ctx2")))
+    return w.select("prompt_id", *(["w"] if whole else []), F.posexplode(each).alias("pos", "e")).select("prompt_id", *(["w"] if whole else []), "pos", "e.*")
 
 
 def score_tokens(prompts: DataFrame, docs: DataFrame, scorer=None, band: float = 0.10, mode: str = "combined") -> DataFrame:
     """(prompt_id, pos, tok, s_stat, s_dyn, delta, rule, score) for every word of every prompt; information to six digits."""
     scorer = scorer or NgramModel(docs, 2)
-    t = scorer.score(prompt_tokens(prompts))
+    t = scorer.score(prompt_tokens(prompts, scorer.whole_prompt)).drop("w", "ctx1", "ctx2")
     t = t.withColumn("s_stat", -F.log2("p1")) if "p1" in t.columns else UnigramModel(unigram_counts(docs)).attach(t).withColumn("s_stat", -F.log2("p1"))
     s, d = F.round("s_stat", 6), F.round("s_dyn", 6)
     t = t.select("prompt_id", "pos", "tok", s.alias("s_stat"), d.alias("s_dyn"))

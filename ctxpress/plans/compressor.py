@@ -135,17 +135,18 @@ def render_table(df: DataFrame, cols: list[str], fmt: str = "csv") -> DataFrame:
 METHODS = {"A": ("text", False, False, False), "B": ("text", True, False, False), "C": ("short", False, False, False), "D": ("short", True, False, False), "E": ("short", True, True, False), "F": ("short", True, True, True)}
 
 
-def assemble(prompts: DataFrame, shots: dict[str, str], context: tuple[str, str], header: str, c_with_shots: bool = False) -> DataFrame:
+def assemble(prompts: DataFrame, shots: dict[str, str], context: tuple, header: str, c_with_shots: bool = False) -> DataFrame:
     """(prompt_id, method, exemplar_kind, prompt, tokens_word, tokens_est, header_tokens) for methods A to F.
 
     A asks with the original prompt and context; B adds examples; C to F use the compressed prompt, D adds examples, E the
-    compressed context too, F the dictionary header. ``shots`` has the example text by kind, ``context`` the original and the
-    compressed attachment.
+    compressed context too, F the dictionary header. ``shots`` has the example text by kind, ``context`` the names of the
+    columns with the original and the compressed attachment, where each prompt has its own, or else two texts for all.
     """
+    own = context[0] in prompts.columns and context[1] in prompts.columns
     arms = []
     for method, (col, with_shots, data, head) in METHODS.items():
         for kind in sorted(shots) if with_shots or (c_with_shots and method == "C") else ["none"]:
-            parts = [F.lit(header) if head else None, F.lit(shots[kind]) if kind != "none" else None, F.lit(context[data]), F.col(col)]
+            parts = [F.lit(header) if head else None, F.lit(shots[kind]) if kind != "none" else None, F.col(context[data]) if own else F.lit(context[data]), F.col(col)]
             prompt = F.concat_ws("\n", *[p for p in parts if p is not None])
             arms.append(F.struct(F.lit(method).alias("method"), F.lit(kind).alias("exemplar_kind"), prompt.alias("prompt"), F.lit(header if head else "").alias("head")))
     t = prompts.select("prompt_id", F.explode(F.array(*arms)).alias("a")).select("prompt_id", "a.*")

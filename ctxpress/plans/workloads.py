@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ctxpress.functions.scalar import dequantize, quantize
 from ctxpress.functions.tokens import token_count, words
-from ctxpress.operators import abbrev, fidelity, quant
+from ctxpress.operators import abbrev, fidelity, prune, quant, selfinfo
 
 
 def passage_scores(docs: DataFrame, items: DataFrame, text_col: str, item_col: str, idf: DataFrame) -> DataFrame:
@@ -27,14 +27,125 @@ def inverse_document_frequency(docs: DataFrame) -> DataFrame:
     return t.crossJoin(F.broadcast(n)).select("tok", F.round(F.log((F.col("d") + 1) / (F.col("df") + 1)), 6).alias("idf"))
 
 
-def answers(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """(item_id, doc_id): documents that hold an item verbatim; items are a small table."""
-    return docs.join(F.broadcast(items.withColumnRenamed("text", "item_text")), F.col("text").contains(F.col("item_text"))).select("item_id", "doc_id")
+def answers(docs: DataFrame, items: DataFrame, most: int = 100_000) -> DataFrame:
+    """(item_id, doc_id): documents that hold an item verbatim.
+
+    Each item is looked for only in documents that have its rarest word, so no document meets every item. Items are a test
+    set, and it is checked that they are few.
+    """
+    if items.count() > most:
+        raise ValueError("too many items to broadcast")
+    own = items.select("item_id", F.col("text").alias("item_text"), F.explode(F.array_distinct(words(F.col("text")))).alias("tok"))
+    counts = docs.select(F.explode(F.array_distinct(words(F.col("text")))).alias("tok")).join(F.broadcast(own.select("tok").distinct()), "tok", "left_semi").groupBy("tok").agg(F.count("*").alias("df"))
+    rarest = own.join(F.broadcast(counts), "tok", "left").groupBy("item_id", "item_text").agg(F.min_by("tok", F.struct(F.coalesce("df", F.lit(0)), "tok")).alias("tok"))
+    keys = [r["tok"] for r in rarest.select("tok").distinct().collect()]  # one for each item at most
+    seen = docs.select("doc_id", "text", F.explode(F.array_intersect(words(F.col("text")), F.array(*[F.lit(k) for k in keys]).cast("array<string>"))).alias("tok"))
+    return seen.join(F.broadcast(rarest), "tok").where(F.col("text").contains(F.col("item_text"))).select("item_id", "doc_id").distinct()
+
+
+#: The reader leaves out words in more than this share of the documents.
+COMMON = 0.1
+
+
+def word_weights(docs: DataFrame, common: float = COMMON) -> DataFrame:
+    """(tok, idf): inverse document frequency in millionths, of words that are not too common."""
+    n = docs.agg(F.count("*").alias("d"))
+    t = docs.select(F.explode(F.array_distinct(words(F.col("text"), True))).alias("tok")).groupBy("tok").agg(F.count("*").alias("df"))
+    return t.crossJoin(F.broadcast(n)).where(F.col("df") <= common * F.col("d")).select("tok", F.round(F.log((F.col("d") + 1) / (F.col("df") + 1)) * 1_000_000).cast("long").alias("idf"))
+
+
+def opening(items: DataFrame, n: int = 8) -> DataFrame:
+    """Items as questions: their first ``n`` words."""
+    return items.select("item_id", F.array_join(F.slice(words(F.col("text")), 1, n), " ").alias("text"))
+
+
+def best_documents(hits: DataFrame, *arms: str) -> DataFrame:
+    """(arms, item_id, found) of (arms, item_id, doc_id, score): the highest score, the smaller doc_id on a tie."""
+    return hits.groupBy(*arms, "item_id").agg(F.min_by("doc_id", F.struct(-F.col("score"), F.col("doc_id"))).alias("found"))
+
+
+def judged(found: DataFrame, arms: DataFrame, gold: DataFrame, *keys: str) -> DataFrame:
+    """(keys, item_id, found, correct) for every arm and every question that has an answer."""
+    asked = F.broadcast(arms).crossJoin(gold.select("item_id").distinct())
+    t = asked.join(found, [*keys, "item_id"], "left")
+    right = gold.withColumnRenamed("doc_id", "found").withColumn("_right", F.lit(True))
+    return t.join(right, ["item_id", "found"], "left").select(*keys, "item_id", "found", F.coalesce("_right", F.lit(False)).alias("correct"))
+
+
+def method_results(docs: DataFrame, items: DataFrame, shots: dict[str, DataFrame], mapping: dict[str, str], share: float = 0.6, scorers: tuple[str, ...] = ("scorer_a", "scorer_b", "scorer_c", "scorer_d")) -> DataFrame:
+    """(scorer, method, exemplar_kind, item_id, found, correct): methods A to F on passage finding, over all documents.
+
+    A question is the opening of an item. The reader names the document that shares most information with it among those that
+    share anything; words of the examples count a quarter, for all questions alike, so examples can distract. A asks as it
+    is, B adds examples, C prunes the question, D does both, E reads abbreviated documents with neither dictionary nor
+    original, F has the dictionary and reads what it restores. ``shots`` are items by kind.
+    """
+    questions, idf, gold = opening(items), word_weights(docs), answers(docs, items)
+    short = abbrev.abbreviate(docs, mapping)
+    texts = {"plain": (docs, "text"), "short": (short, "short"), "restored": (abbrev.restore(short, mapping), "restored")}
+    terms = questions.select(F.lit("none").alias("scorer"), "item_id", F.explode(F.array_distinct(words(F.col("text"), True))).alias("tok"))
+    asked = questions.select(F.col("item_id").alias("prompt_id"), "text")
+    for name in scorers:
+        scored = selfinfo.score_tokens(asked, docs.select("text"), selfinfo.get_scorer(name, docs.select("text")))
+        kept = prune.prune_tokens(scored, prune.Budget.ratio(share)).where("kept")
+        terms = terms.unionAll(kept.select(F.lit(name).alias("scorer"), F.col("prompt_id").alias("item_id"), "tok").distinct())
+    terms = terms.join(idf, "tok").persist()
+    examples = None
+    for kind, ids in shots.items():
+        t = items.join(F.broadcast(ids), "item_id", "left_semi").select(F.explode(words(F.col("text"), True)).alias("tok")).distinct().select(F.lit(kind).alias("exemplar_kind"), "tok")
+        examples = t if examples is None else examples.unionAll(t)
+    examples = examples.join(idf, "tok").persist()
+    wanted = F.broadcast(terms.select("tok").union(examples.select("tok")).distinct())  # words of some hundred questions
+    out = None
+    spark = docs.sparkSession
+    plan = {"plain": [("A", False), ("B", True), ("C", False), ("D", True)], "short": [("E", True)], "restored": [("F", True)]}
+    for source, methods in plan.items():
+        d, col = texts[source]
+        seen = d.select("doc_id", F.explode(F.array_distinct(words(F.col(col), True))).alias("tok")).join(wanted, "tok", "left_semi")
+        q = seen.join(F.broadcast(terms), "tok").groupBy("scorer", "item_id", "doc_id").agg(F.sum("idf").alias("q"))
+        e = seen.join(F.broadcast(examples), "tok").groupBy("exemplar_kind", "doc_id").agg(F.sum("idf").alias("e"))
+        for method, with_shots in methods:
+            own = q.where(F.col("scorer") == "none" if method in "AB" else F.col("scorer") != "none")
+            if with_shots:
+                kinds = F.broadcast(spark.createDataFrame([(k,) for k in shots], "exemplar_kind string"))
+                own = own.crossJoin(kinds).join(e, ["exemplar_kind", "doc_id"], "left")
+                own = own.withColumn("score", 4 * F.col("q") + F.coalesce("e", F.lit(0)))
+            else:
+                own = own.withColumn("exemplar_kind", F.lit("none")).withColumn("score", 4 * F.col("q"))
+            t = best_documents(own.withColumn("method", F.lit(method)), "scorer", "method", "exemplar_kind")
+            out = t if out is None else out.unionAll(t)
+    arms = [(s, m, k) for ms in plan.values() for m, w in ms for s in (("none",) if m in "AB" else scorers) for k in (sorted(shots) if w else ("none",))]
+    return judged(out, spark.createDataFrame(arms, "scorer string, method string, exemplar_kind string"), gold, "scorer", "method", "exemplar_kind")
+
+
+def accuracy_table(results: DataFrame, *arms: str, base: str) -> DataFrame:
+    """(arms, questions, accuracy, delta) in points, against the arm for which ``base`` holds."""
+    t = results.groupBy(*arms).agg(F.count("*").alias("questions"), F.round(100 * F.sum(F.col("correct").cast("int")) / F.count("*"), 4).alias("accuracy"))
+    return t.crossJoin(F.broadcast(t.where(base).agg(F.max("accuracy").alias("_base")))).select(*arms, "questions", "accuracy", F.round(F.col("accuracy") - F.col("_base"), 4).alias("delta"))
+
+
+def ablation_accuracy(docs: DataFrame, items: DataFrame, ranked: dict[int, list[str]], tops: tuple[int, ...]) -> DataFrame:
+    """(scope, g, t, questions, accuracy, delta, region, ratio): the reader on documents abbreviated by every setting.
+
+    Texts are read once for all settings. A setting's score is that of the originals less the words that it loses, so
+    only the few lost words of each text meet the questions.
+    """
+    questions, idf, gold = opening(items), word_weights(docs), answers(docs, items)
+    effects = abbrev.abbreviation_effects(docs, ranked, tops).persist()
+    ratio = effects.groupBy("scope", "g", "t").agg(F.round(F.sum("words_before") / F.sum("words_after"), 6).alias("ratio"))
+    terms = F.broadcast(questions.select("item_id", F.explode(F.array_distinct(words(F.col("text"), True))).alias("tok")).join(idf, "tok"))
+    hits = docs.select("doc_id", F.explode(F.array_distinct(words(F.col("text"), True))).alias("tok")).join(terms, "tok")
+    settings = docs.sparkSession.createDataFrame([("original", 0, 0), *[(s, g, t) for s in ("corpus", "document") for g in ranked for t in tops]], "scope string, g int, t int")
+    lost = effects.select("doc_id", "scope", "g", "t", F.explode("lost").alias("tok"))
+    left = hits.crossJoin(F.broadcast(settings)).join(lost, ["doc_id", "scope", "g", "t", "tok"], "left_anti")
+    scores = left.groupBy("scope", "g", "t", "item_id", "doc_id").agg(F.sum("idf").alias("score"))
+    t = accuracy_table(judged(best_documents(scores, "scope", "g", "t"), settings, gold, "scope", "g", "t"), "scope", "g", "t", base="scope = 'original'")
+    return t.join(F.broadcast(ratio), ["scope", "g", "t"]).select("scope", "g", "t", "questions", "accuracy", "delta", region(F.col("delta")).alias("region"), "ratio")
 
 
 def passage_finding(docs: DataFrame, items: DataFrame, arms: dict[str, tuple[DataFrame, str, DataFrame, str]]) -> DataFrame:
     """(arm, item_id, answerable, found, correct): the reader names the best document in each arm."""
-    idf, gold = inverse_document_frequency(docs), answers(docs, items).distinct()
+    idf, gold = inverse_document_frequency(docs), answers(docs, items)
     gold = gold.groupBy("item_id").agg(F.collect_set("doc_id").alias("gold"))
     out = None
     for arm, (d, text_col, i, item_col) in arms.items():
