@@ -237,29 +237,32 @@ def scan_licences(docs: DataFrame, model: LicenceModel | None = None, sure: floa
     out. Rows of equal doc_id and text are each scanned, however long the text.
     """
     model = model or LicenceModel()
-    spark, n, half = docs.sparkSession, len(model.classes), STRETCH // 2
+    n, half = len(model.classes), STRETCH // 2
     texts = docs.where(has_anchor(F.col("text"), model)).select("doc_id", F.split("text", "\n", -1).alias("lines"), F.monotonically_increasing_id().alias("text_row"))
     part = lambda at, wide, text: F.struct(at.cast("int").alias("at"), F.lit(wide).alias("wide"), text.alias("part"))
     alone = F.transform("lines", lambda v, i: part(i, False, v))
     starts = F.when(F.size("lines") > 1, F.sequence(F.lit(0), F.floor((F.size("lines") - 2) / half).cast("int"))).otherwise(F.array().cast("array<int>"))
     stretch = F.transform(starts, lambda i: part(i * half, True, F.array_join(F.slice("lines", i * half + 1, STRETCH), " ")))
     units = texts.select("doc_id", "text_row", F.explode(F.concat(alone, stretch)).alias("u")).select("doc_id", "text_row", "u.*").where(has_anchor(F.col("part"), model))
+    units = cut_lineage(units.withColumn("unit", F.monotonically_increasing_id()))  # numbered once, whatever is computed again
     words = F.transform(F.regexp_extract_all(F.lower("part"), F.lit(WORD), F.lit(0)), lambda w: F.rtrim(w, F.lit(".-")))
-    units = units.withColumn("words", words)
     pieces = F.transform(F.sequence(F.lit(0), F.floor(F.greatest(F.size("words") - WIDE // 2 - 1, F.lit(0)) / (WIDE // 2)).cast("int")), lambda i: F.slice("words", i * (WIDE // 2) + 1, WIDE))
-    units = units.select("doc_id", "text_row", "at", "wide", F.substring("part", 1, 200).alias("excerpt"), F.explode(F.when(F.col("wide"), F.array("words")).otherwise(pieces)).alias("words"))
-    units = cut_lineage(units.withColumn("row", F.monotonically_increasing_id()))  # numbered once, whatever is computed again
-    padded = F.concat(F.array(F.lit("^")), F.col("words"), F.array(F.lit("$")))
-    pairs = F.transform(F.sequence(F.lit(1), F.size("words") + 1), lambda i: F.concat_ws(" ", F.element_at("padded", i), F.element_at("padded", i + 1)))
-    grams = units.select("row", "words", padded.alias("padded")).select("row", F.explode(F.array_distinct(F.concat("words", pairs))).alias("gram"))
-    hits = grams.join(F.broadcast(model.table(spark)), "gram").groupBy("row").agg(*[F.sum(F.element_at("weight", i + 1)).alias(f"z{i}") for i in range(n)])
-    logits = [(F.coalesce(F.round(f"z{i}", 6), F.lit(0.0)) + F.lit(float(model.bias[i]))) / F.lit(float(model.temperature)) for i in range(n)]
-    z = units.join(hits, "row").withColumn("z", F.array(*logits)).withColumn("top", F.array_max("z"))
+    split = units.select("unit", "wide", words.alias("words")).select("unit", F.posexplode(F.when(F.col("wide"), F.array("words")).otherwise(pieces)).alias("piece", "words"))
+    pairs = F.zip_with(F.concat(F.array(F.lit("^")), F.col("words")), F.concat(F.col("words"), F.array(F.lit("$"))), lambda a, b: F.concat(a, F.lit(" "), b))
+    grams = split.select("unit", "piece", F.explode(F.array_distinct(F.concat("words", pairs))).alias("gram"))
+    z = grams.join(F.broadcast(model.table(docs.sparkSession)), "gram").groupBy("unit", "piece").agg(*[F.sum(F.element_at("weight", i + 1)).alias(f"z{i}") for i in range(n)])
+    logits = [(F.round(f"z{i}", 6) + F.lit(float(model.bias[i]))) / F.lit(float(model.temperature)) for i in range(n)]
+    z = z.withColumn("z", F.array(*logits)).withColumn("top", F.array_max("z"))
     z = z.withColumn("best", F.array_position("z", F.col("top")).cast("int"))
     mass = F.aggregate("z", F.lit(0.0), lambda a, v: a + F.exp(v - F.col("top")))
     other = F.exp(F.element_at("z", n) - F.col("top")) / mass
-    z = z.select("row", "doc_id", "text_row", "at", "wide", "excerpt", "words", "best", (F.lit(1.0) / mass).alias("p"), other.alias("other"))
-    z = cut_lineage(z.where((F.col("best") < n) & (F.lit(1.0) - F.col("other") >= sure)))
+    z = z.select("unit", "piece", "best", (F.lit(1.0) / mass).alias("p"), other.alias("other"))
+    z = cut_lineage(z.where((F.col("best") < n) & (F.lit(1.0) - F.col("other") >= sure)).withColumn("row", F.monotonically_increasing_id()))
+    if z.count() <= 500_000:  # the notices; beyond, both sides are shuffled
+        z = F.broadcast(z)
+    found = units.join(z, "unit").withColumn("words", words)
+    found = found.withColumn("words", F.when(F.col("wide"), F.col("words")).otherwise(F.slice("words", F.col("piece") * (WIDE // 2) + 1, WIDE)))
+    z = cut_lineage(found.select("row", "doc_id", "text_row", "at", "wide", F.substring("part", 1, 200).alias("excerpt"), "words", "best", "p"))
     family = F.element_at(F.array(*[F.lit(c) for c in model.classes]), F.col("best"))
     z = with_similarity(z, model).drop("words")
     z = z.withColumn("family", F.when(F.col("close") >= alike, family).otherwise(UNKNOWN))
