@@ -37,6 +37,11 @@ def as_vectors(features: DataFrame) -> DataFrame:
     return features.select("id", "vec", array_to_vector("vec").alias("features"))
 
 
+def laid_out(features: DataFrame, each: int = 5000) -> DataFrame:
+    """The same rows in the same order in parts of about ``each``, as the initial centres depend on the layout."""
+    return features.repartitionByRange(max(1, features.count() // each), "id").sortWithinPartitions("id")
+
+
 def silhouette_sweep(features: DataFrame, ks: Sequence[int] = range(5, 51), seed: int = 1, max_iter: int = 20, sample_fraction: float | None = None) -> tuple[DataFrame, int]:
     """(k, silhouette) for every k, and the best k, the smallest on a tie. Fits may run on a hash sample of the rows.
 
@@ -46,7 +51,7 @@ def silhouette_sweep(features: DataFrame, ks: Sequence[int] = range(5, 51), seed
     from pyspark.ml.evaluation import ClusteringEvaluator
 
     data = hash_sample(features, "id", sample_fraction) if sample_fraction else features
-    data = as_vectors(data.repartitionByRange(8, "id").sortWithinPartitions("id")).persist()
+    data = as_vectors(laid_out(data)).persist()
     def fit(k: int) -> tuple[int, float]:
         model = KMeans(k=k, seed=seed, maxIter=max_iter).fit(data)
         found = model.transform(data)
@@ -72,7 +77,7 @@ def cluster(features: DataFrame, k: int, seed: int = 1, max_iter: int = 20) -> D
     """(id, vec, cluster) of all rows by k-means."""
     from pyspark.ml.clustering import KMeans
 
-    data = as_vectors(features.repartitionByRange(8, "id").sortWithinPartitions("id"))
+    data = as_vectors(laid_out(features))
     return KMeans(k=k, seed=seed, maxIter=max_iter, predictionCol="cluster").fit(data).transform(data).select("id", "vec", "cluster")
 
 

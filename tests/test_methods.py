@@ -335,3 +335,54 @@ def test_lexical_tokens_of_odd_texts(spark):
     t = spark.createDataFrame([(x,) for x in ODD_TEXTS], "text string")
     got = [r[0] for r in t.select(lexical(F.col("text"))).collect()]
     assert got[0] is None and got[1] == [] and got[7] == ["1", ",", "234", ".", "5", "&", "co", "."]
+
+
+def test_dictionary_of_thousands_loses_no_entry(spark):
+    top = spark.createDataFrame([(f"g{i} h{i}", 10_000 - i) for i in range(3000)], "gram string, freq long")
+    docs = spark.createDataFrame([(1, "AA1 AB1 ZZ4 some words")], "doc_id long, text string")
+    dic = abbrev.build_dictionary(top, docs).collect()
+    assert len(dic) == len({r["placeholder"] for r in dic}) == 3000 and not {"AA1", "AB1", "ZZ4"} & {r["placeholder"] for r in dic}
+
+
+def test_sketched_top_k_is_exact_on_ties(spark):
+    docs = spark.createDataFrame([(" . ".join(f"w{i:04d} x" for i in range(1000)),) for _ in range(60)], "text string").select("text")
+    grams = abbrev.select_top(abbrev.ngram_frequencies(docs, 2), 10).collect()
+    assert abbrev.top_by_sketch(docs, 2, 10).collect() == grams
+
+
+def test_no_array_is_shuffled_for_scores(spark, sf):
+    import re
+
+    docs = load(spark, sf, "documents", "text")
+    for name in ("scorer_a", "scorer_b", "scorer_c", "scorer_d"):
+        t = selfinfo.score_tokens(prompts(spark, sf), docs, selfinfo.get_scorer(name, docs))
+        plan = t._jdf.queryExecution().optimizedPlan().toString()
+        joined = [x for x in plan.split("\n") if "Join" in x or "Window" in x]
+        assert joined and not any(re.search(r"\bw#\d+", x) for x in plan.split("\n") if "Project" in x and "Generate" not in x and "posexplode" not in x and "regexp_extract_all" not in x)
+
+
+def test_answers_match_brute_force(spark, sf):
+    from ctxpress.plans import workloads
+
+    docs, items = load(spark, sf, "documents", "doc_id", "text"), load(spark, sf, "benchmark")
+    extra = spark.createDataFrame([(900, "..."), (901, "no such words anywhere"), (902, None)], "item_id long, text string")
+    items = items.unionAll(extra)
+    got = sorted(map(tuple, workloads.answers(docs, items).collect()))
+    texts = docs.collect()
+    assert got == sorted((i["item_id"], d["doc_id"]) for i in items.where("item_id not in (900, 902)").collect() for d in texts if i["text"] in (d["text"] or "")) and got
+
+
+def test_abbreviation_effects_agree_with_the_codec(spark):
+    docs = spark.createDataFrame([(1, "the cat the cat sat on the cat mat"), (2, "rare word here"), (3, None), (4, "")], "doc_id long, text string")
+    got = {(r["doc_id"], r["scope"], r["t"]): (r["words_before"], r["words_after"], r["lost"]) for r in abbrev.abbreviation_effects(docs, {2: ["rare word", "the cat"]}, (1, 2)).collect()}
+    assert got[1, "corpus", 1] == (9, 9, []) and got[1, "corpus", 2] == (9, 6, ["cat", "the"])
+    assert got[2, "corpus", 1] == (3, 2, ["rare", "word"]) and got[2, "document", 2] == (3, 3, [])
+    assert got[1, "document", 1] == (9, 6, ["cat", "the"]) and got[3, "corpus", 2] == got[4, "document", 1] == (0, 0, [])
+
+
+def test_optimal_bins_of_groups(spark):
+    from ctxpress.operators import quant as q
+
+    t = spark.createDataFrame([("a", 1.0), ("a", 1.1), ("a", 9.0), ("b", 5.0), ("b", None), ("c", None)], "k string, x double")
+    got = {r["k"]: (r["centroids"], round(r["mse"], 6)) for r in q.optimal_bins(t, "k", "x", 2).collect()}
+    assert got == {"a": ([1.05, 9.0], round(2 * 0.0025 / 3, 6)), "b": ([5.0], 0.0)}
