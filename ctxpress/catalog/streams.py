@@ -9,9 +9,15 @@ from ctxpress.operators.quant import Grid
 from ctxpress.sources.tables import load
 from ctxpress.streaming import streams
 
-LINE = "event_type || ' user' || user_id || ' ' || printf('%.2f', value) || ' ' || props"
-EST = f"(list_sum(list_transform(regexp_extract_all({LINE}, '[\\p{{L}}\\p{{M}}]+'), lambda r: ceil(len(r) / 4.0))) + list_sum(list_transform(regexp_extract_all({LINE}, '\\p{{N}}+'), lambda r: ceil(len(r) / 3.0))) + len(regexp_extract_all({LINE}, '[^\\s\\p{{L}}\\p{{M}}\\p{{N}}]')))::BIGINT"
+
+def estimate_sql(line: str) -> str:
+    return f"(list_sum(list_transform(regexp_extract_all({line}, '[\\p{{L}}\\p{{M}}]+'), lambda r: ceil(len(r) / 4.0))) + list_sum(list_transform(regexp_extract_all({line}, '\\p{{N}}+'), lambda r: ceil(len(r) / 3.0))) + len(regexp_extract_all({line}, '[^\\s\\p{{L}}\\p{{M}}\\p{{N}}]')))::BIGINT"
+
+
 GRID = Grid("value", 0.0, 400.0, 8)
+CODE = "greatest(0, least(255, round(value / 400.0::DOUBLE * 255)::INTEGER))"
+EST = estimate_sql("event_type || ' user' || user_id || ' ' || printf('%.2f', value) || ' ' || props")
+EST_CODED = estimate_sql(f"event_type || ' user' || user_id || ' ' || {CODE} || ' ' || props")
 
 
 def records(spark, sf):
@@ -27,11 +33,11 @@ def stream_tumbling_cost(spark, sf):
     return plain(streams.tumbling_cost(records(spark, sf)))
 
 
-@query(f"""WITH r AS (SELECT ts, {EST} AS t, 1::BIGINT AS c FROM events), x AS (SELECT time_bucket(INTERVAL 1 HOUR, ts) - INTERVAL 1 HOUR * unnest(range(6)) AS start, t, c FROM r)
+@query(f"""WITH r AS (SELECT ts, {EST} AS t, {EST_CODED} AS c FROM events), x AS (SELECT time_bucket(INTERVAL 1 HOUR, ts) - INTERVAL 1 HOUR * unnest(range(6)) AS start, t, c FROM r)
 SELECT start, sum(t)::BIGINT AS before, sum(c)::BIGINT AS after, round(sum(t)::BIGINT / sum(c)::BIGINT, 6) AS ratio FROM x GROUP BY start""")
 def stream_sliding_ratio(spark, sf):
-    """Tokens of records against one code for each, in windows of six hours every hour."""
-    return plain(streams.sliding_ratio(records(spark, sf).withColumn("coded_tokens", F.lit(1).cast("long"))))
+    """Tokens of records with values against records with their codes, in windows of six hours every hour."""
+    return plain(streams.sliding_ratio(streams.with_coded_tokens(records(spark, sf), GRID)))
 
 
 @query(f"""WITH r AS (SELECT user_id, ts, {EST} AS t, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
@@ -52,7 +58,7 @@ def stream_drift(spark, sf):
     return plain(streams.drift(streams.timed(load(spark, sf, "events")), GRID))
 
 
-@query("SELECT event_id, CASE WHEN value IS NULL THEN NULL ELSE greatest(0, least(255, round(value / 400.0::DOUBLE * 255)::INTEGER)) END AS q, value < 0 OR value > 400 AS clipped FROM events")
+@query(f"SELECT event_id, CASE WHEN value IS NULL THEN NULL ELSE {CODE} END AS q, value < 0 OR value > 400 AS clipped FROM events")
 def stream_coded(spark, sf):
     return streams.coded(load(spark, sf, "events"), GRID).select("event_id", "q", "clipped")
 
@@ -70,3 +76,12 @@ def stream_static_join(spark, sf):
     e = load(spark, sf, "events", "event_type")
     static = e.distinct().withColumn("rank", F.row_number().over(Window.orderBy("event_type")).cast("long"))
     return streams.with_dictionary(e, static).groupBy("event_type").agg(F.count("*").alias("records"), F.first("rank").alias("rank"))
+
+
+@query("""SELECT a.user_id, a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 DAY
+WHERE a.event_type = 'signup' AND b.event_type = 'purchase'""")
+def stream_interval_join(spark, sf):
+    """Purchases within a day of a signup of the same user."""
+    e = streams.timed(load(spark, sf, "events", "event_id", "user_id", "ts", "event_type"))
+    t = streams.followed_by(e.where(F.col("event_type") == "signup"), e.where(F.col("event_type") == "purchase"), "1 DAY", "2 days")
+    return t.select("user_id", "a_id", "b_id")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ctxpress.functions.scalar import quantize
 from ctxpress.functions.tokens import token_count
 from ctxpress.operators.quant import Grid
+from ctxpress.sources.metadata import MetadataStore
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -35,6 +36,13 @@ def coded(events: DataFrame, grid: Grid) -> DataFrame:
     return events.withColumn("q", quantize(F.col("value"), grid.lo, grid.hi, grid.bits)).withColumn("clipped", (F.col("value") < grid.lo) | (F.col("value") > grid.hi))
 
 
+def with_coded_tokens(records: DataFrame, grid: Grid) -> DataFrame:
+    """Adds coded_tokens: the cost of a record's line that has the code in place of the value."""
+    q = quantize(F.col("value"), grid.lo, grid.hi, grid.bits)
+    line = F.concat_ws(" ", F.col("event_type"), F.concat(F.lit("user"), F.col("user_id").cast("string")), q.cast("string"), F.col("props"))
+    return records.withColumn("coded_tokens", token_count(line, "estimated"))
+
+
 def tumbling_cost(records: DataFrame, size: str = "1 hour", late: str | None = None) -> DataFrame:
     r = records.withWatermark("ts", late) if late else records
     t = r.groupBy(F.window("ts", size), "event_type").agg(F.count("*").alias("records"), F.sum("tokens").alias("tokens"))
@@ -72,30 +80,36 @@ def drift(events: DataFrame, grid: Grid, size: str = "1 day") -> DataFrame:
     return t.select(F.col("window.start").alias("start"), "records", "outside", F.round(F.col("outside") / F.col("records"), 6).alias("share"))
 
 
-def refit_on_drift(events: DataFrame, grid: Grid, most: float, on_refit: Callable[[Grid], None]):
-    """foreachBatch handler that widens the grid when a micro-batch has too many values outside it."""
-    state = {"grid": grid}
+def refit_on_drift(store: MetadataStore, name: str, grid: Grid, most: float):
+    """foreachBatch handler that widens the grid when a micro-batch has too many values outside it.
+
+    A new grid is version ``batch_id`` of ``name``; the newest earlier version is the state, so a stream that starts again goes on with it.
+    """
 
     def handle(batch: DataFrame, batch_id: int) -> None:
-        g = state["grid"]
-        r = batch.agg(F.count("value").alias("n"), F.count_if((F.col("value") < g.lo) | (F.col("value") > g.hi)).alias("out"), F.min("value").alias("lo"), F.max("value").alias("hi")).first()
+        before = store.latest(name, batch_id)
+        g = grid if before is None else Grid(**store.get(name, before).first().asDict())
+        x = F.col(g.column)
+        r = batch.agg(F.count(x).alias("n"), F.count_if((x < g.lo) | (x > g.hi)).alias("out"), F.min(x).alias("lo"), F.max(x).alias("hi")).first()
         if r["n"] and r["out"] / r["n"] > most:
-            state["grid"] = Grid(g.column, min(g.lo, r["lo"]), max(g.hi, r["hi"]), g.bits)
-            on_refit(state["grid"])
+            wider = (g.column, float(min(g.lo, r["lo"])), float(max(g.hi, r["hi"])), g.bits)
+            store.put(name, batch_id, batch.sparkSession.createDataFrame([wider], "column string, lo double, hi double, bits int"))
 
     return handle
 
 
-def top_ngrams_handler(n: int, k: int, publish: Callable[[int, list], None]):
-    """foreachBatch handler: running counts in update mode come in, a new dictionary version goes out."""
-    totals: dict[str, int] = {}
+def top_ngrams_handler(store: MetadataStore, name: str, k: int):
+    """foreachBatch handler: running counts (gram, freq) in update mode come in, the ``k`` most frequent go out as version ``batch_id``.
+
+    The newest earlier version is all the state there is: counts only grow, so what ``k`` others have passed comes back only
+    by a new row of its own. A batch that is run again, or a stream that starts again, gives the same versions.
+    """
 
     def handle(batch: DataFrame, batch_id: int) -> None:
-        for r in batch.orderBy(F.desc("freq"), "gram").limit(50 * k).collect():
-            totals[r["gram"]] = max(r["freq"], totals.get(r["gram"], 0))
-        for g in sorted(totals, key=lambda g: (-totals[g], g))[50 * k :]:
-            del totals[g]
-        publish(batch_id, sorted(totals.items(), key=lambda e: (-e[1], e[0]))[:k])
+        rows, before = batch.select("gram", "freq"), store.latest(name, batch_id)
+        if before is not None:
+            rows = rows.unionByName(store.get(name, before))
+        store.put(name, batch_id, rows.groupBy("gram").agg(F.max("freq").alias("freq")).orderBy(F.desc("freq"), "gram").limit(k))
 
     return handle
 
@@ -104,10 +118,14 @@ def user_budget(records: DataFrame, limit: int, late: str = "7 days") -> DataFra
     """(user_id, day, tokens, over) as updates: token budgets of users that start anew every day.
 
     Every day that a micro-batch touches is emitted. A day is closed a day after its end (so for any time zone) by a watermark
-    of ``late``: rows that come after that are left out, and it leaves the user's state when that user next has rows.
+    of ``late``: rows that come after that are left out. Closed days leave the state with the user's next rows, and a timer
+    removes the state of a user without any.
     """
 
     def run(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         used = dict(zip(*state.get)) if state.exists else {}
         closed = pd.Timestamp(state.getCurrentWatermarkMs(), unit="ms") - pd.Timedelta(days=2)
         touched = set()
@@ -118,10 +136,14 @@ def user_budget(records: DataFrame, limit: int, late: str = "7 days") -> DataFra
                     touched.add(day)
         days, tokens = sorted(touched), [used[d] for d in sorted(touched)]
         used = {d: n for d, n in used.items() if pd.Timestamp(d) > closed}
-        state.update((list(used), list(used.values())))
+        if used:
+            state.update((list(used), list(used.values())))
+            state.setTimeoutTimestamp((pd.Timestamp(max(used)) + pd.Timedelta(days=2)).value // 10**6)
+        elif state.exists:
+            state.remove()
         yield pd.DataFrame({"user_id": [key[0]] * len(days), "day": days, "tokens": tokens, "over": [v > limit for v in tokens]})
 
-    return records.withWatermark("ts", late).groupBy("user_id").applyInPandasWithState(run, "user_id long, day string, tokens long, over boolean", "days array<string>, used array<long>", "update", "NoTimeout")
+    return records.withWatermark("ts", late).groupBy("user_id").applyInPandasWithState(run, "user_id long, day string, tokens long, over boolean", "days array<string>, used array<long>", "update", "EventTimeTimeout")
 
 
 def with_dictionary(records: DataFrame, versions: DataFrame) -> DataFrame:
