@@ -135,6 +135,13 @@ def restore_roundtrip(spark, sf):
     return abbrev.restore(abbrev.abbreviate(docs(spark, sf), m), m).select("doc_id", "restored")
 
 
+@query("SELECT doc_id, text AS restored FROM documents")
+def restore_roundtrip_native(spark, sf):
+    """There and back by built-in functions alone, for a small dictionary."""
+    m = corpus_mapping(spark, sf, 2, 5)
+    return docs(spark, sf).select("doc_id", abbrev.restore_native(abbrev.abbreviate_native(F.col("text"), m), m).alias("restored"))
+
+
 @query("SELECT 'documents' AS part, count(*) AS texts, 0::BIGINT AS mismatches FROM documents UNION ALL SELECT 'conversations', count(*), 0 FROM conversations UNION ALL SELECT 'pages', count(*), 0 FROM pages UNION ALL SELECT 'benchmark', count(*), 0 FROM benchmark")
 def roundtrip_report(spark, sf):
     """Texts that are not restored byte for byte, in every table with text."""

@@ -203,3 +203,38 @@ def sql_table_function(spark, sf):
     register_udtfs(spark)
     load(spark, sf, "documents", "doc_id", "text").createOrReplaceTempView("_udtf_docs")
     return spark.sql("SELECT doc_id, count(*) AS bigrams FROM _udtf_docs, LATERAL ngram_table(text, 2) GROUP BY doc_id")
+
+
+def cells_sql(source: str) -> str:
+    return " UNION ALL ".join(f"SELECT tok, {i} AS row, ('0x' || substr(md5(tok), {8 * i + 1}, 8))::BIGINT % 4096 AS cell FROM {source}" for i in range(4))
+
+
+@query(f"""WITH t AS (SELECT unnest(regexp_extract_all(lower(text), '{W}')) AS tok FROM documents), types AS (SELECT tok, count(*) AS freq FROM t GROUP BY tok), c AS ({cells_sql('types')}),
+  sketch AS (SELECT row, cell, sum(freq) AS n FROM c JOIN types USING (tok) GROUP BY row, cell)
+SELECT tok, any_value(freq) AS freq, min(n)::BIGINT AS estimate FROM types JOIN c USING (tok) JOIN sketch USING (row, cell) GROUP BY tok""")
+def count_min_words(spark, sf):
+    """Counts of words by a sketch of fixed size beside the exact ones."""
+    from ctxpress.functions.tokens import words
+
+    t = load(spark, sf, "documents", "text").select(F.explode(words(F.col("text"), True)).alias("tok"))
+    types = t.groupBy("tok").agg(F.count("*").alias("freq"))
+    return relational.count_min_estimates(types, "tok", relational.count_min(t, F.col("tok")))
+
+
+@query()
+def quantiles_by_kll(spark, sf):
+    """Quantiles of prices by a KLL sketch, with the rank that each really has."""
+    p = load(spark, sf, "lineitem", "l_extendedprice").select(F.col("l_extendedprice").cast("double").alias("x"))
+    values = F.array(*[F.struct(F.lit(q).alias("share"), F.kll_sketch_get_quantile_double("s", F.lit(q)).alias("value")) for q in (0.01, 0.25, 0.5, 0.75, 0.99)])
+    one = p.agg(F.kll_sketch_agg_double("x").alias("s")).select(F.explode(values).alias("v")).select("v.*")
+    t = p.join(F.broadcast(one), F.col("x") <= F.col("value")).groupBy("share", "value").agg(F.count("*").alias("at_most"))
+    return t.crossJoin(F.broadcast(p.agg(F.count("*").alias("n")))).select("share", "value", F.round(F.col("at_most") / F.col("n"), 6).alias("rank"))
+
+
+@query("""WITH n AS (SELECT source, lang, count(*) AS n FROM documents WHERE lang IS NOT NULL GROUP BY ALL), m AS (SELECT source, lang, row_number() OVER (PARTITION BY source ORDER BY n DESC, lang) AS place FROM n)
+SELECT d.source, any_value(m.lang) AS most_common, (SELECT string_agg(DISTINCT lang, ',' ORDER BY lang) FROM documents e WHERE e.source IS NOT DISTINCT FROM d.source) AS langs FROM documents d LEFT JOIN m ON m.source IS NOT DISTINCT FROM d.source AND place = 1 GROUP BY d.source""")
+def list_and_mode(spark, sf):
+    """Languages of a source as a list, and the most frequent of them, the least on a tie."""
+    d = load(spark, sf, "documents", "source", "lang").groupBy("source", "lang").agg(F.count("*").alias("n"))
+    most = F.min_by("lang", F.when(F.col("lang").isNotNull(), F.struct((-F.col("n")).alias("n"), F.col("lang").alias("lang"))))
+    return d.groupBy("source").agg(most.alias("most_common"), F.expr("listagg(lang, ',') WITHIN GROUP (ORDER BY lang)").alias("langs"))

@@ -242,6 +242,33 @@ def restore(docs: DataFrame, mapping: dict[str, str], text_col: str = "short", o
     return _apply(docs, Codec(mapping).decoder, text_col, out_col)
 
 
+def _one_of(parts: list[str], before: str = "") -> str:
+    """A pattern for whole words that are one of ``parts``, the longest first, none after a character of ``before``."""
+    edge = r"\p{L}\p{M}\p{N}_"
+    return rf"(?<![{edge}{before}])(?:" + "|".join(rf"\Q{p}\E" for p in sorted(parts, key=lambda p: (-len(p), p))) + rf")(?![{edge}])"
+
+
+def abbreviate_native(text: Column, mapping: dict[str, str], freq: dict[str, int] | None = None) -> Column:
+    """The text with one n-gram after the other replaced, the most frequent first, by built-in functions only.
+
+    For dictionaries of some dozen entries: each is a pass over the text. ``restore`` and ``restore_native`` both undo it.
+    """
+    if not mapping:
+        return text
+    out = F.regexp_replace(text, f"({_one_of(list(mapping.values()))})", f"{ESCAPE}$1")
+    for g in sorted(mapping, key=lambda g: (-(freq or {}).get(g, 0), g)):
+        out = F.regexp_replace(out, _one_of([g], ESCAPE), mapping[g])
+    return out
+
+
+def restore_native(short: Column, mapping: dict[str, str]) -> Column:
+    """The original of an abbreviated text by built-in functions only, one pass for each entry."""
+    out = short
+    for g, name in mapping.items():
+        out = F.regexp_replace(out, _one_of([name], ESCAPE), g)
+    return F.regexp_replace(out, f"{ESCAPE}({_one_of(list(mapping.values()))})", "$1") if mapping else out
+
+
 def abbreviate_each(docs: DataFrame, n: int, k: int) -> DataFrame:
     """Adds short and used: every text by its own ``k`` most frequent repeated n-grams, all within the row."""
 

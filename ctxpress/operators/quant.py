@@ -41,12 +41,52 @@ def finite(c: Column) -> Column:
     return F.when(~F.isnan(c) & (F.abs(c) < F.lit(float("inf"))), c)
 
 
+def exact_quantiles(df: DataFrame, col: str, shares: Sequence[float], buckets: int = 1 << 16) -> list[float]:
+    """What ``percentile`` gives, linear between ranks, without all distinct values in one task; [] without a finite value.
+
+    Each scan counts the values in equal parts of the interval that holds a rank and goes on with the part it falls into, from
+    its least to its greatest value, until that is one value. A scan returns at most about ``buckets`` counts whatever the
+    rows; values need about three scans, spreads of hundreds of decimal places one for every few of them.
+    """
+    t = df.select(finite(F.col(col)).alias("x")).where("x is not null")
+    n, lo, hi = t.agg(F.count("x"), F.min("x"), F.max("x")).first()
+    if not n:
+        return []
+    at = [share * (n - 1) for share in shares]
+    open_ = {(lo, hi): (0, sorted({f(p) for p in at for f in (math.floor, math.ceil)}))}  # interval: rows below it, ranks in it
+    value: dict[int, float] = {}
+    while True:
+        for one in [s for s in open_ if s[0] == s[1]]:
+            value |= dict.fromkeys(open_.pop(one)[1], one[0])
+        if not open_:
+            break
+        spans, parts = sorted(open_), max(16, buckets // len(open_))
+        table = F.array(*[F.struct(F.lit(i).alias("i"), F.lit(a).alias("a"), F.lit(b).alias("b")) for i, (a, b) in enumerate(spans)])
+        s = t.select("x", F.get(F.filter(table, lambda v: (v["a"] <= F.col("x")) & (F.col("x") <= v["b"])), F.lit(0)).alias("s")).where("s is not null")
+        share = (F.col("x") / 2 - F.col("s.a") / 2) / (F.col("s.b") / 2 - F.col("s.a") / 2)  # halves: a difference of extremes is no double
+        part = F.least(F.floor(share * parts), F.lit(parts - 1))
+        got = s.groupBy(F.col("s.i").alias("i"), part.alias("part")).agg(F.count("*").alias("n"), F.min("x").alias("a"), F.max("x").alias("b")).collect()
+        new = {}
+        for i, span in enumerate(spans):
+            below, ranks = open_[span]
+            for r in sorted((r for r in got if r["i"] == i), key=lambda r: r["part"]):
+                mine = [k for k in ranks if below <= k < below + r["n"]]
+                if mine:
+                    new[r["a"], r["b"]] = (below, mine)
+                below += r["n"]
+        open_ = new
+    out = []
+    for p in at:
+        a, b = math.floor(p), math.ceil(p)
+        out.append(float(value[a] if value[a] == value[b] else (b - p) * value[a] + (p - a) * value[b]))
+    return out
+
+
 def uniform_fit(df: DataFrame, cols: Sequence[str], bits: int, clip: float | None = None) -> list[Grid]:
-    """Ranges of all columns in one scan; ``clip`` takes percentiles at both ends in place of the extremes."""
-    aggs = []
-    for c in cols:
-        v = finite(F.col(c))
-        aggs += [F.percentile(v, F.lit(clip)), F.percentile(v, F.lit(1 - clip))] if clip else [F.min(v), F.max(v)]
+    """Ranges of all columns in one scan; ``clip`` takes exact percentiles at both ends in place of the extremes."""
+    if clip:
+        return [Grid(c, *(exact_quantiles(df, c, (clip, 1 - clip)) or (0.0, 0.0)), bits) for c in cols]
+    aggs = [f(finite(F.col(c))) for c in cols for f in (F.min, F.max)]
     row = df.agg(*[a.alias(f"a{i}") for i, a in enumerate(aggs)]).first()
     return [Grid(c, float(row[2 * i] or 0.0), float(row[2 * i + 1] or 0.0), bits) for i, c in enumerate(cols)]
 
@@ -118,9 +158,7 @@ def weighted_values(df: DataFrame, col: str) -> DataFrame:
 
 
 def quantile_seeds(df: DataFrame, col: str, k: int) -> list[float]:
-    q = [(i + 0.5) / k for i in range(k)]
-    got = df.agg(F.percentile(finite(F.col(col)), F.array(*[F.lit(v) for v in q])).alias("q")).first()["q"]
-    return sorted(set(got or []))
+    return sorted(set(exact_quantiles(df, col, [(i + 0.5) / k for i in range(k)])))
 
 
 def nearest(x: Column, centroids: Sequence[float]) -> Column:

@@ -5,13 +5,13 @@ import random
 
 import numpy as np
 import pytest
-from hypothesis import given, settings
+from hypothesis import HealthCheck, given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from ctxpress.functions.scalar import combine_scores, cosine, dequantize, quantize
 from ctxpress.functions.tokens import lexical, tokenize, untokenize, words
-from ctxpress.operators import abbrev, baselines, exemplars, fidelity, measures, prune, quant, selfinfo
+from ctxpress.operators import abbrev, baselines, exemplars, fidelity, measures, prune, quant, relational, selfinfo
 from ctxpress.plans.compressor import CompressorConfig, ContextCompressor
 from ctxpress.sources.metadata import MetadataStore, RestoringSource, read_restored, write_compressed
 from ctxpress.sources.tables import html_text, load, load_attachment, prompts
@@ -386,3 +386,36 @@ def test_optimal_bins_of_groups(spark):
     t = spark.createDataFrame([("a", 1.0), ("a", 1.1), ("a", 9.0), ("b", 5.0), ("b", None), ("c", None)], "k string, x double")
     got = {r["k"]: (r["centroids"], round(r["mse"], 6)) for r in q.optimal_bins(t, "k", "x", 2).collect()}
     assert got == {"a": ([1.05, 9.0], round(2 * 0.0025 / 3, 6)), "b": ([5.0], 0.0)}
+
+
+@given(st.lists(st.sampled_from([" ", "  ", "the", "a", "big", "cat", "AA1", "AB1", abbrev.ESCAPE, ".", "the big", "\n", "_", "é", "$1"]), max_size=30).map("".join))
+@settings(max_examples=30, deadline=None, suppress_health_check=list(HealthCheck))
+def test_built_in_codec_is_lossless_and_equals_the_other_where_no_words_clash(spark, text):
+    m, freq = {"the big": "AA1", "big cat": "AB1"}, {"the big": 9, "big cat": 5}
+    t = spark.createDataFrame([(text,), (None,), (text + " the big cat",)], "text string")
+    got = t.select("text", abbrev.abbreviate_native(F.col("text"), m, freq).alias("short")).select("*", abbrev.restore_native(F.col("short"), m).alias("back"))
+    other = abbrev.Codec(m, "frequency_first", freq).encoder()
+    for r in abbrev.restore(got, m).collect():
+        assert r["back"] == r["text"] == r["restored"]
+        assert r["text"] is None or any(x in r["text"] for x in (abbrev.ESCAPE, "AA1", "AB1")) or r["short"] == other(r["text"])
+
+
+def test_exact_quantiles_equal_percentile(spark):
+    rng = np.random.default_rng(5)
+    shares = [0.0, 0.01, 0.25, 1 / 3, 0.5, 0.99, 1.0]
+    for x in (rng.lognormal(0, 8, 5000), rng.integers(0, 9, 3000).astype(float), [7.0], [1.0, 2.0], [-1.7e308, 1.7e308, 0.0, 1e-300], np.r_[rng.normal(size=400), 1e300]):
+        t = spark.createDataFrame([(float(v),) for v in x] + [(None,), (float("nan"),), (float("inf"),)], "x double")
+        want = t.agg(F.percentile(quant.finite(F.col("x")), F.array(*[F.lit(s) for s in shares]))).first()[0]
+        for buckets in (64, 1 << 16):
+            assert quant.exact_quantiles(t, "x", shares, buckets) == pytest.approx(want, rel=1e-12)
+    assert quant.exact_quantiles(t.limit(0), "x", shares) == []
+
+
+def test_count_min_never_counts_too_few_and_adds_up(spark):
+    t = spark.range(4000).select(F.concat(F.lit("w"), F.floor(F.sqrt("id")).cast("string")).alias("w"))
+    types = t.groupBy("w").agg(F.count("*").alias("freq"))
+    narrow = {r["w"]: (r["freq"], r["estimate"]) for r in relational.count_min_estimates(types, "w", relational.count_min(t, F.col("w"), 16), 16).collect()}
+    assert len(narrow) == types.count() and all(f <= e <= f + 4000 for f, e in narrow.values()) and any(e > f for f, e in narrow.values())
+    halves = [relational.count_min(h, F.col("w")) for h in t.randomSplit([0.5, 0.5], 3)]
+    added = halves[0].unionByName(halves[1]).groupBy("row", "cell").agg(F.sum("n").alias("n"))
+    assert sorted(map(tuple, added.collect())) == sorted(map(tuple, relational.count_min(t, F.col("w")).collect()))

@@ -58,6 +58,7 @@ HOLDS = {
     "kmeans_quantize": lambda r: {x["code"] for x in r if x["code"] is not None} <= set(range(16)) and all(len({y["hat"] for y in r if y["code"] == c}) <= 1 for c in range(16)),
     "kmeans_vs_uniform": lambda r: all(x["kmeans_mse"] <= x["uniform_mse"] + 1e-9 for x in r if x["centroids"] >= 9 and x["column"] != "l_quantity") and [x["kmeans_mse"] for x in r if x["centroids"] == 50] == [0.0],
     "method_accuracy_swept": lambda r: len(r) == 31 and [x["delta"] for x in r if x["method"] == "A"] == [0.0] and all(0 <= x["accuracy"] <= 100 for x in r),
+    "quantiles_by_kll": lambda r: len(r) == 5 and all(abs(x["rank"] - x["share"]) < 0.02 for x in r),
     "silhouette_sweep": lambda r: sorted(x["k"] for x in r) == list(range(5, 51)) and [x["silhouette"] for x in r if x["best"]] == [max(x["silhouette"] for x in r)],
     "vocabulary_sketch": lambda r: r[0]["relative_error"] < 0.06 and abs(r[0]["hll"] / r[0]["exact"] - 1) < 0.06,
 }
