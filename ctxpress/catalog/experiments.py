@@ -315,7 +315,7 @@ def baseline_extractive(spark, sf):
     from ctxpress.functions.tokens import words
 
     w = s.select("prompt_id", "i", F.posexplode(words(F.col("s"))).alias("pos", "tok")).join(uni, "tok")
-    t = w.select("prompt_id", F.col("i").cast("long").alias("phrase"), (F.col("i") * 1_000_000 + F.col("pos")).alias("pos"), "tok", F.round("s_stat", 6).alias("score"))
+    t = w.select("prompt_id", F.col("i").cast("long").alias("phrase"), (F.col("i").cast("long") * 1_000_000_000 + F.col("pos")).alias("pos"), "tok", F.round("s_stat", 6).alias("score"))
     k = prune.prune_phrases(t, prune.Budget.ratio(0.5))
     return k.groupBy(F.col("prompt_id").alias("doc_id")).agg(F.countDistinct("phrase").alias("sentences"), F.countDistinct(F.when(F.col("kept"), F.col("phrase"))).alias("kept"), F.count_if("kept").alias("words_kept"))
 

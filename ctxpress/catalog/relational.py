@@ -142,7 +142,7 @@ def window_ranks(spark, sf):
   lag(event_type) OVER o AS before, lead(event_type) OVER o AS after, first_value(event_id) OVER o AS first_event, nth_value(event_id, 2) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second_event
 FROM events WINDOW o AS (PARTITION BY user_id ORDER BY ts, event_id)""")
 def window_frames(spark, sf):
-    e = load(spark, sf, "events", "event_id", "user_id", "ts", "event_type", "value").withColumn("s", F.unix_seconds(F.col("ts").cast("timestamp")))
+    e = load(spark, sf, "events", "event_id", "user_id", "ts", "event_type", "value").withColumn("s", F.rint(F.unix_micros(F.col("ts").cast("timestamp")) / 1_000_000).cast("long"))  # nearest second, the even one of two
     o = Window.partitionBy("user_id").orderBy("ts", "event_id")
     return e.select(
         "event_id", F.round(F.sum("value").over(o.rowsBetween(Window.unboundedPreceding, 0)), 4).alias("running"), F.round(F.sum("value").over(Window.partitionBy("user_id").orderBy("s").rangeBetween(-3600, 0)), 4).alias("last_hour"),
