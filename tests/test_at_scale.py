@@ -67,3 +67,19 @@ def test_exact_silhouette_makes_no_row_of_a_pair(spark, tmp_path):
     one = exemplars.silhouette_exact(t.selectExpr("vec_id id", "embedding vec", "label cluster"))
     assert [(r["id"], r["a"], r["s"]) for r in one.where("cluster = 9").collect()] == [(199, None, 0.0)]
     assert "Join" not in one._jdf.queryExecution().executedPlan().toString()
+
+
+def test_settings_of_the_ablation_scan_no_text_again(monkeypatch):
+    from types import SimpleNamespace
+
+    import pandas as pd
+
+    from ctxpress.operators import abbrev
+
+    monkeypatch.setattr(abbrev.Codec, "_scan", None)  # words of a text are found once, not once for each of 40 settings
+    docs = SimpleNamespace(select=lambda *_: SimpleNamespace(mapInPandas=lambda f, _: f))
+    texts = pd.DataFrame({"doc_id": [1, 2, 3], "text": ["a b a b. A b", "\x1ba b a b", None]})
+    out = pd.concat(abbrev.abbreviation_effects(docs, {2: ["a b"]}, (1,))(iter([texts]))).astype({"doc_id": int})
+    assert [(r.doc_id, r.scope, r.words_after, r.lost) for r in out.itertuples()] == [
+        (1, "corpus", 4, []), (1, "document", 4, []), (2, "corpus", 3, []), (2, "document", 3, []), (3, "corpus", 0, []), (3, "document", 0, []),
+    ]
