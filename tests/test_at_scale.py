@@ -83,3 +83,14 @@ def test_settings_of_the_ablation_scan_no_text_again(monkeypatch):
     assert [(r.doc_id, r.scope, r.words_after, r.lost) for r in out.itertuples()] == [
         (1, "corpus", 4, []), (1, "document", 4, []), (2, "corpus", 3, []), (2, "document", 3, []), (3, "corpus", 0, []), (3, "document", 0, []),
     ]
+
+
+def test_few_prompts_count_only_their_contexts(spark):
+    from ctxpress.operators import selfinfo
+
+    docs = spark.createDataFrame([("a b c a b d",), ("c a b",), ("x y z",)], "text string")
+    asked = selfinfo.prompt_tokens(spark.createDataFrame([(1, "a b c")], "prompt_id long, text string"), whole=False)
+    model = selfinfo.NgramModel(docs, 2, asked=asked)
+    assert {r["ctx"] for r in model.tables[0][1].collect()} == {"", "a", "b"}
+    few, every = ({r["pos"]: r["s_dyn"] for r in m.score(asked).collect()} for m in (model, selfinfo.NgramModel(docs, 2)))
+    assert few == every
