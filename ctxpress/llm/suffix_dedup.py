@@ -32,7 +32,7 @@ from ctxpress.llm.common import Local, give_back, partitions_for, text_bytes
 
 WINDOW, GRAM = 50, 20
 SPAN = WINDOW - GRAM + 1
-PIECE, LONGEST = 1 << 19, 1 << 22
+PIECE, LONGEST, MERGED = 1 << 17, 1 << 22, 1 << 16
 LOW = np.uint64((1 << 24) - 1)
 LAST = np.iinfo(np.int64).max
 #: Odd multipliers of the rolling hashes.
@@ -88,8 +88,9 @@ def runs(data: np.ndarray, offsets: np.ndarray, keys: bool):
         part = data[lo:hi]
         q = prefix_hash(part, 0)
         down = powers(0, n + 1)[2]
-        gram = scramble((q[GRAM:] - q[:-GRAM]) * down[: n - GRAM + 1])
-        v = (gram & ~LOW) | np.arange(len(gram), dtype=np.uint64)
+        gram = (q[GRAM:] - q[:-GRAM]) * down[: n - GRAM + 1]
+        v = gram & ~LOW
+        v |= np.arange(len(gram), dtype=np.uint64)
         for step in (1, 2, 4, 8):
             v = np.minimum(v[:-step], v[step:])
         v = np.minimum(v[: n - WINDOW + 1], v[SPAN - 16 :])
@@ -97,9 +98,8 @@ def runs(data: np.ndarray, offsets: np.ndarray, keys: bool):
         valid = np.ones(n - WINDOW + 2, bool)
         valid[-1] = False
         ends = offsets[np.searchsorted(offsets, lo, "right") : np.searchsorted(offsets, hi)] - lo
-        for k in range(1, WINDOW):
-            bad = ends - k
-            valid[bad[(bad >= 0) & (bad < len(valid))]] = False
+        bad = (ends[:, None] - np.arange(1, WINDOW)).ravel()
+        valid[bad[(bad >= 0) & (bad < len(valid))]] = False
         same = np.zeros(len(at) + 1, bool)
         same[1:-1] = (at[1:] == at[:-1]) & valid[:-2] & valid[1:-1]
         first = np.flatnonzero(valid[:-1] & ~same[:-1])
@@ -141,24 +141,53 @@ def cut_by(gram: np.ndarray, buckets: int) -> np.ndarray:
     return np.searchsorted(gram >> np.uint64(40), np.arange(1, buckets, dtype=np.uint64) * np.uint64(1 << 24) // np.uint64(buckets))
 
 
-def planes(x: np.ndarray, width: int) -> bytes:
-    """The leading ``width`` bytes of each number, all first bytes first: sorted numbers compress well so."""
-    return x.astype(">u8").view(np.uint8).reshape(-1, 8)[:, :width].T.tobytes()
+def packed(x: np.ndarray, n: np.ndarray) -> pa.Array:
+    """A binary column whose rows are the next ``n`` values of ``x`` each; no row is handled on its own."""
+    x = np.ascontiguousarray(x)
+    offsets = np.r_[0, np.cumsum(n)].astype(np.int32) * np.int32(x.itemsize)
+    return pa.Array.from_buffers(pa.binary(), len(n), [None, pa.py_buffer(offsets), pa.py_buffer(x.view(np.uint8))])
 
 
-def unplanes(b: bytes, width: int) -> np.ndarray:
-    raw = np.frombuffer(b, np.uint8).reshape(width, -1)
-    out = np.zeros((raw.shape[1], 8), np.uint8)
-    out[:, :width] = raw.T
+def unpacked(column: pa.ChunkedArray, kind) -> tuple[np.ndarray, np.ndarray]:
+    """The values of all rows, one after another, and how many each row has."""
+    data, offsets = bytes_of(column)
+    return np.frombuffer(data.tobytes(), kind), np.diff(offsets) // np.dtype(kind).itemsize
+
+
+def plane_places(n: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """Where the first byte of each number goes, and how far apart its bytes are, if each row has its first bytes first."""
+    return np.arange(int(n.sum())) + np.repeat((np.cumsum(n) - n) * (width - 1), n), np.repeat(n, n)
+
+
+def planes(x: np.ndarray, n: np.ndarray, width: int) -> np.ndarray:
+    """The leading ``width`` bytes of the numbers of rows of ``n``, in each row all first bytes first: sorted numbers compress well so."""
+    raw, out = x.astype(">u8").view(np.uint8).reshape(-1, 8), np.empty(len(x) * width, np.uint8)
+    at, step = plane_places(n, width)
+    for k in range(width):
+        out[at + k * step] = raw[:, k]
+    return out
+
+
+def unplanes(data: np.ndarray, n: np.ndarray, width: int) -> np.ndarray:
+    out = np.zeros((int(n.sum()), 8), np.uint8)
+    at, step = plane_places(n, width)
+    for k in range(width):
+        out[:, k] = data[at + k * step]
     return out.view(">u8").ravel().astype(np.uint64)
 
 
+def bit_places(n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where the bits of rows of ``n`` are if each row begins with a byte of its own, and the bytes of each row."""
+    size = (n + 7) // 8
+    return np.arange(int(n.sum())) + np.repeat((np.cumsum(size) - size) * 8 - (np.cumsum(n) - n), n), size
+
+
 def squeeze(b: bytes) -> bytes:
     return len(b).to_bytes(8, "little") + pa.compress(b, "zstd", asbytes=True)
 
 
-def unsqueeze(b: bytes, kind) -> np.ndarray:
-    return np.frombuffer(pa.decompress(b[8:], int.from_bytes(b[:8], "little"), "zstd", asbytes=True), kind)
+def unsqueeze(b: bytes) -> np.ndarray:
+    return np.frombuffer(pa.decompress(b[8:], int.from_bytes(b[:8], "little"), "zstd", asbytes=True), np.uint8)
 
 
 def report(width: int, buckets: int):
@@ -174,9 +203,13 @@ def report(width: int, buckets: int):
         at = np.flatnonzero(np.r_[True, gram[1:] != gram[:-1]]) if len(gram) else np.zeros(0, np.int64)
         several = np.minimum.reduceat(doc, at) != np.maximum.reduceat(doc, at) if len(at) else np.zeros(0, bool)
         gram = gram[at]
-        edges = np.r_[0, cut_by(gram, buckets), len(gram)]
-        rows = [(b, planes(gram[x:y], width), np.packbits(several[x:y]).tobytes()) for b, (x, y) in enumerate(zip(edges, edges[1:])) if y > x]
-        return pa.table({"bucket": pa.array([x[0] for x in rows], pa.int32()), "chunk": pa.array([key[0].as_py()] * len(rows), pa.int64()), "gram": pa.array([x[1] for x in rows], pa.binary()), "several": pa.array([x[2] for x in rows], pa.binary())})
+        n = np.diff(np.r_[0, cut_by(gram, buckets), len(gram)])
+        bucket = np.flatnonzero(n)
+        n = n[bucket]
+        place, size = bit_places(n)
+        bits = np.zeros(int(size.sum()) * 8, bool)
+        bits[place] = several
+        return pa.table({"bucket": pa.array(bucket, pa.int32()), "chunk": pa.array([key[0].as_py()] * len(n), pa.int64()), "gram": packed(planes(gram, n, width), n * width), "several": packed(np.packbits(bits), size)})
 
     return f
 
@@ -186,19 +219,19 @@ def agree(width: int):
 
     def f(table: pa.Table) -> pa.Table:
         chunk = table.column("chunk").to_numpy()
-        gram = [unplanes(b.as_py(), width) for b in table.column("gram")]
-        n = np.array([len(g) for g in gram])
-        several = np.concatenate([np.unpackbits(np.frombuffer(b.as_py(), np.uint8))[:k] for b, k in zip(table.column("several"), n)])
-        gram, row = np.concatenate(gram), np.repeat(np.arange(len(n)), n)
+        data, n = unpacked(table.column("gram"), np.uint8)
+        n //= width
+        several = np.unpackbits(unpacked(table.column("several"), np.uint8)[0])[bit_places(n)[0]]
+        gram, row = unplanes(data, n, width), np.repeat(np.arange(len(n)), n)
         order = np.argsort(gram, kind="stable")
         s = gram[order]
         at = np.flatnonzero(np.r_[True, s[1:] != s[:-1]])
         count = np.diff(np.r_[at, len(s)])
         shared = np.repeat((count > 1) | (np.maximum.reduceat(several[order], at) > 0), count)
         order = np.sort(order[shared])
-        edges = np.searchsorted(row[order], np.arange(len(n) + 1))
-        keep = [i for i in range(len(n)) if edges[i + 1] > edges[i]]
-        return pa.table({"chunk": pa.array(chunk[keep], pa.int64()), "gram": pa.array([planes(gram[order[edges[i] : edges[i + 1]]], width) for i in keep], pa.binary())})
+        n = np.bincount(row[order], minlength=len(n))
+        keep = n > 0
+        return pa.table({"chunk": pa.array(chunk[keep], pa.int64()), "gram": packed(planes(gram[order], n[keep], width), n[keep] * width)})
 
     return f
 
@@ -207,9 +240,10 @@ def send(width: int, buckets: int):
     """Chunk and its shared minimisers to a row for each bucket: the distinct runs there."""
 
     def f(key: tuple, table: pa.Table, shared: pa.Table) -> pa.Table:
-        rows = []
+        bucket, gram, body, runs_of, more = np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.uint64), np.zeros(0, np.int64), []
         if table.num_rows and shared.num_rows:
-            known = np.sort(np.concatenate([unplanes(b.as_py(), width) for b in shared.column("gram")]))
+            known, n = unpacked(shared.column("gram"), np.uint8)
+            known = np.sort(unplanes(known, n // width, width))
             data, offsets = bytes_of(table.column("_txt"))
             r, ids = all_runs(data, offsets, True), ids_of(table.column("_id"))
             short = r["gram"] >> np.uint64(64 - 8 * width) << np.uint64(64 - 8 * width)
@@ -224,15 +258,16 @@ def send(width: int, buckets: int):
                 least, most = np.minimum.reduceat(doc, new), np.maximum.reduceat(doc, new)
                 r = {k: v[new] for k, v in r.items()}
                 size = r["last"] - r["first"] + WINDOW
-                edges = np.r_[0, cut_by(r["gram"], buckets), len(new)]
-                for b, (x, y) in enumerate(zip(edges, edges[1:])):
-                    if y > x:
-                        n = size[x:y]
-                        where = np.repeat(r["first"][x:y] - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum())
-                        rows.append((b, *(r[k][x:y].tobytes() for k in ("gram", "body")), *map(squeeze, (n.astype(np.uint8).tobytes(), least[x:y].tobytes(), most[x:y].tobytes(), data[where].tobytes()))))
-        names = ("gram", "body", "size", "least", "most", "text")
-        cols = dict(zip(names, zip(*[x[1:] for x in rows]))) if rows else {k: [] for k in names}
-        return pa.table({"bucket": pa.array([x[0] for x in rows], pa.int32()), "chunk": pa.array([key[0].as_py()] * len(rows), pa.int64())} | {k: pa.array(list(v), pa.binary()) for k, v in cols.items()})
+                runs_of = np.diff(np.r_[0, cut_by(r["gram"], buckets), len(new)])
+                bucket = np.flatnonzero(runs_of)
+                runs_of, gram, body = runs_of[bucket], r["gram"], r["body"]
+                ids = [planes(x.view(np.uint64), runs_of, 8) for x in (least, most)]
+                stop = np.cumsum(runs_of)
+                for x, y in zip((stop - runs_of).tolist(), stop.tolist()):
+                    n = size[x:y]
+                    where = np.repeat(r["first"][x:y] - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum())
+                    more.append(squeeze(b"".join((n.astype(np.uint8).tobytes(), ids[0][8 * x : 8 * y].tobytes(), ids[1][8 * x : 8 * y].tobytes(), data[where].tobytes()))))
+        return pa.table({"bucket": pa.array(bucket, pa.int32()), "chunk": pa.array([key[0].as_py()] * len(bucket), pa.int64()), "gram": packed(gram, runs_of), "body": packed(body, runs_of), "more": pa.array(more, pa.binary())})
 
     return f
 
@@ -279,7 +314,7 @@ def merge_transforms(transform: np.ndarray, shard: np.ndarray, depth: int) -> tu
     return place, block
 
 
-def window_least(body: np.ndarray, size: np.ndarray, least: np.ndarray, shard_bytes: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
+def window_least(body: np.ndarray, size: np.ndarray, least: np.ndarray, shard_bytes: int = 1 << 14) -> tuple[np.ndarray, np.ndarray]:
     """For all windows of all runs, run after run: the least doc_id over the runs that contain it; and each run's start."""
     n = size + 1  # each word ends in 0xFF, which UTF-8 does not use
     stop = np.cumsum(n)
@@ -309,34 +344,46 @@ def window_least(body: np.ndarray, size: np.ndarray, least: np.ndarray, shard_by
     return low[is_window], np.cumsum(windows) - windows
 
 
+def whole_minimisers(gram: np.ndarray, size: np.ndarray) -> list[slice]:
+    """Stretches of runs, sorted by minimiser, of about MERGED bytes; runs of one minimiser stay together, others share no window."""
+    if not len(gram):
+        return []
+    head = np.flatnonzero(np.r_[True, gram[1:] != gram[:-1]])
+    part = (np.cumsum(size) - size)[head] // MERGED
+    head = head[np.r_[True, part[1:] != part[:-1]]]
+    return [slice(x, y) for x, y in zip(head.tolist(), [*head[1:].tolist(), len(gram)])]
+
+
 def decide(table: pa.Table) -> pa.Table:
     """Bucket to a row for each chunk: stretches of windows of its runs that a smaller doc_id has, with that doc_id."""
-    u64 = {k: np.concatenate([np.frombuffer(b.as_py(), np.uint64) for b in table.column(k)]) for k in ("gram", "body")}
-    i64 = {k: np.concatenate([unsqueeze(b.as_py(), np.int64) for b in table.column(k)]) for k in ("least", "most")}
-    each = [unsqueeze(b.as_py(), np.uint8) for b in table.column("size")]
-    row, size = np.repeat(np.arange(len(each)), [len(x) for x in each]), np.concatenate(each).astype(np.int64)
-    text = np.concatenate([unsqueeze(b.as_py(), np.uint8) for b in table.column("text")])
+    (gram, each), (body, _) = (unpacked(table.column(k), np.uint64) for k in ("gram", "body"))
+    more = [unsqueeze(b.as_py()) for b in table.column("more")]
+    row, size = np.repeat(np.arange(len(each)), each), np.concatenate([m[:n] for m, n in zip(more, each)]).astype(np.int64)
+    low_id, high_id = (unplanes(np.concatenate([m[n * k : n * (k + 8)] for m, n in zip(more, each)]), each, 8).view(np.int64) for k in (1, 9))
+    text = np.concatenate([m[n * 17 :] for m, n in zip(more, each)])
+    del more
     begin = np.cumsum(size) - size
-    order = np.lexsort((u64["body"], u64["gram"]))
-    g, k = (u64[c][order] for c in ("gram", "body"))
+    order = np.lexsort((body, gram))
+    g, k = gram[order], body[order]
     new = np.r_[True, (g[1:] != g[:-1]) | (k[1:] != k[:-1])]
     at = np.flatnonzero(new)
     kind = np.empty(len(order), np.int64)
     kind[order] = np.cumsum(new) - 1
-    least, one = np.minimum.reduceat(i64["least"][order], at), order[at]
+    least, one = np.minimum.reduceat(low_id[order], at), order[at]
     # A run that stands alone under its minimiser is one repeated interval; the others are merged.
     head = np.r_[True, g[at][1:] != g[at][:-1]]
     rivals = np.repeat(np.diff(np.r_[np.flatnonzero(head), len(at)]) > 1, np.diff(np.r_[np.flatnonzero(head), len(at)]))
     windows = size[one] - WINDOW + 1
     mixed = np.flatnonzero(rivals)
     stretch_kind, stretch_from, stretch_n, stretch_low = [np.flatnonzero(~rivals)], [np.zeros(int((~rivals).sum()), np.int64)], [windows[~rivals]], [least[~rivals]]
-    if len(mixed):
-        n = size[one[mixed]]
-        where = np.repeat(begin[one[mixed]] - (np.cumsum(n) - n), n) + np.arange(n.sum())
-        low, first = window_least(text[where], n, least[mixed])
-        owner = np.repeat(np.arange(len(mixed)), windows[mixed])
+    for part in whole_minimisers(g[at][mixed], size[one[mixed]]):
+        kinds = mixed[part]
+        n = size[one[kinds]]
+        where = np.repeat(begin[one[kinds]] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        low, first = window_least(text[where], n, least[kinds])
+        owner = np.repeat(np.arange(len(kinds)), windows[kinds])
         turn = np.flatnonzero(np.r_[True, (low[1:] != low[:-1]) | (owner[1:] != owner[:-1])])
-        stretch_kind.append(mixed[owner[turn]])
+        stretch_kind.append(kinds[owner[turn]])
         stretch_from.append(turn - first[owner[turn]])
         stretch_n.append(np.diff(np.r_[turn, len(low)]))
         stretch_low.append(low[turn])
@@ -347,24 +394,24 @@ def decide(table: pa.Table) -> pa.Table:
     count = (hi - lo)[kind]
     run = np.repeat(np.arange(len(kind)), count)
     s = np.repeat(lo[kind] - (np.cumsum(count) - count), count) + np.arange(count.sum())
-    keep = sl[s] < i64["most"][run]
+    keep = sl[s] < high_id[run]
     run, s = run[keep], s[keep]
-    edges = np.searchsorted(row[run], np.arange(len(each) + 1))
-    rows = [i for i in range(len(each)) if edges[i + 1] > edges[i]]
-    chunk = table.column("chunk").to_numpy()
-
-    def packed(x, how=bytes):
-        return pa.array([how(np.ascontiguousarray(x[edges[i] : edges[i + 1]]).tobytes()) for i in rows], pa.binary())
-
-    return pa.table({"chunk": pa.array(chunk[rows], pa.int64()), "gram": packed(u64["gram"][run]), "body": packed(u64["body"][run]), "from": packed(sf[s].astype(np.uint8), squeeze), "n": packed(sn[s].astype(np.uint8), squeeze), "low": packed(sl[s], squeeze)})
+    n = np.bincount(row[run], minlength=len(each))
+    some = n > 0
+    n = n[some]
+    return pa.table({
+        "chunk": pa.array(table.column("chunk").to_numpy()[some], pa.int64()), "gram": packed(gram[run], n), "body": packed(body[run], n),
+        "from": packed(sf[s].astype(np.uint8), n), "n": packed(sn[s].astype(np.uint8), n), "low": packed(planes(sl[s].view(np.uint64), n, 8), n * 8),
+    })
 
 
 def removed_bytes(data: np.ndarray, offsets: np.ndarray, ids: np.ndarray, found: pa.Table) -> np.ndarray:
     """For each byte whether it goes."""
     edge = np.zeros(len(data) + 1, np.int32)
     if found.num_rows and len(data):
-        col = {k: np.concatenate([np.frombuffer(b.as_py(), np.uint64) for b in found.column(k)]) for k in ("gram", "body")}
-        col |= {k: np.concatenate([unsqueeze(b.as_py(), t) for b in found.column(k)]) for k, t in (("from", np.uint8), ("n", np.uint8), ("low", np.int64))}
+        col = {k: unpacked(found.column(k), t)[0] for k, t in (("gram", np.uint64), ("body", np.uint64), ("from", np.uint8), ("n", np.uint8))}
+        low, n = unpacked(found.column("low"), np.uint8)
+        col["low"] = unplanes(low, n // 8, 8).view(np.int64)
         order = np.lexsort((col["gram"], col["body"]))
         col = {k: v[order] for k, v in col.items()}
         new = np.flatnonzero(np.r_[True, (col["body"][1:] != col["body"][:-1]) | (col["gram"][1:] != col["gram"][:-1])])
@@ -439,7 +486,7 @@ def remove_repeats(docs: DataFrame, chunk_bytes: int = 8 << 20, carry: bool = Tr
     ).repartition(chunks, "chunk")
     said = keyed.groupBy("chunk").applyInArrow(report(width, buckets), "bucket int, chunk long, gram binary, several binary")
     shared = said.groupBy("bucket").applyInArrow(agree(width), "chunk long, gram binary")
-    sent = keyed.groupBy("chunk").cogroup(shared.groupBy("chunk")).applyInArrow(send(width, buckets), "bucket int, chunk long, gram binary, body binary, size binary, least binary, most binary, text binary")
+    sent = keyed.groupBy("chunk").cogroup(shared.groupBy("chunk")).applyInArrow(send(width, buckets), "bucket int, chunk long, gram binary, body binary, more binary")
     found = sent.groupBy("bucket").applyInArrow(decide, "chunk long, gram binary, body binary, `from` binary, n binary, low binary")
     schema = StructType([f for f in keyed.schema if f.name not in ("chunk", "_txt")])
     for name, kind in (("kept", StringType() if as_text else BinaryType()), ("n_bytes", LongType()), ("n_removed", LongType()), ("n_spans", LongType()), ("kept_sha256", StringType())):

@@ -4,6 +4,7 @@ import hashlib
 import random
 
 import numpy as np
+import pyarrow.compute  # noqa: F401
 import pytest
 
 from ctxpress.llm import embedding_dedup, graph, simhash, suffix_dedup
@@ -144,6 +145,31 @@ def test_merged_transforms_sort_the_collection():
     assert low.tolist() == [want[s[j : j + 50]] for s in segs for j in range(len(s) - 49)]
 
 
+def test_chunks_and_buckets_pack_each_other_one_blob_and_merge_in_parts(monkeypatch):
+    import pyarrow as pa
+
+    rng = random.Random(6)
+    shared = [words(rng, 60) for _ in range(40)]
+    texts = [" ".join((words(rng, 4), s[: rng.randint(100, len(s))], words(rng, 4))) for s in shared * 6]
+    docs = pa.table({"_id": pa.array(range(len(texts)), pa.int64()), "_txt": texts})
+    packs, merges = [], []
+    pack, merge = suffix_dedup.pa.compress, suffix_dedup.window_least
+    monkeypatch.setattr(suffix_dedup.pa, "compress", lambda *a, **k: packs.append(1) or pack(*a, **k))
+    monkeypatch.setattr(suffix_dedup, "window_least", lambda body, *a, **k: merges.append(len(body)) or merge(body, *a, **k))
+    monkeypatch.setattr(suffix_dedup, "MERGED", 4000, raising=False)
+    key = lambda i: (pa.scalar(i),)
+    halves = [docs.slice(0, 120), docs.slice(120)]
+    by = lambda t, name: {i: t.filter(pa.compute.equal(t[name], i)) for i in t[name].unique().to_pylist()}
+    said = pa.concat_tables(suffix_dedup.report(5, 3)(key(i), t) for i, t in enumerate(halves))
+    known = by(pa.concat_tables(suffix_dedup.agree(5)(t) for t in by(said, "bucket").values()), "chunk")
+    sent = pa.concat_tables(suffix_dedup.send(5, 3)(key(i), t, known[i]) for i, t in enumerate(halves))
+    assert len(packs) == sent.num_rows == 6  # one blob for each chunk and bucket, before it was four
+    found = by(pa.concat_tables(suffix_dedup.decide(t) for t in by(sent, "bucket").values()), "chunk")
+    assert len(packs) == 6 and len(merges) > 6 and max(merges) < 6000  # a bucket is merged in parts of whole minimisers
+    got = [r for i, t in enumerate(halves) for r in suffix_dedup.cut(key(i), t, found[i]).to_pylist()]
+    assert {r["_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in got} == brute_cut(list(enumerate(texts)))
+
+
 def test_repeated_rows_null_ids_and_empty_tables(spark):
     t = words(random.Random(5), 40)
     docs = spark.createDataFrame([(3, t), (3, t), (None, t), (1, None)], "doc_id long, text string")
