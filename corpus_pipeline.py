@@ -7,16 +7,18 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from ctxpress.llm import decontaminate, language, mixing, simhash, suffix_dedup
-from ctxpress.llm.common import remove_folder, shared_folder
+from ctxpress.llm.common import remove_folder, shared_folder, small_batches
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents of a recognised language stay; those without a letter, or in no language for the most part, go."""
+    small_batches(spark)
     return language.keep_identified(docs, language.train(*language.labelled_sample(docs)))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies (0.8 of five-word shingles) stays, that with the smallest doc_id."""
+    small_batches(spark)
     return simhash.drop_near_copies(docs)
 
 
@@ -27,6 +29,7 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a passage of the benchmark go."""
+    small_batches(spark)
     return decontaminate.drop_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
-__all__ = ["Local", "NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "give_back", "shared_folder", "partitions_for", "remove_folder", "text_bytes", "text_parts"]
+__all__ = ["Local", "NON_SPACE", "StorageLevel", "cut_lineage", "free_name", "give_back", "shared_folder", "partitions_for", "remove_folder", "small_batches", "text_bytes", "text_parts"]
 
 #: One word: anything but the six ASCII white-space characters.
 NON_SPACE = r"[^\x20\x09-\x0D]+"
@@ -24,13 +24,23 @@ class Local(dict):
 
 
 def give_back() -> None:
-    """Returns what a worker has freed to the system, where the allocator would keep it for itself."""
+    """Returns what a worker has freed to the system, where the allocators would keep it for themselves."""
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL(None).malloc_trim(0)
     except (AttributeError, OSError):  # another allocator
         pass
 
 
+def small_batches(spark: SparkSession, rows: int = 2000) -> None:
+    """Arrow batches of ``rows`` rows unless the session has a number of its own: of whole texts, Spark's 10 000 fill tens of MB on both sides."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if spark.conf.get(name) == "10000":
+        spark.conf.set(name, str(rows))
+
+
 def text_parts(column, most: int):
     """(first row, texts) of slices of an Arrow text column with about ``most`` bytes each."""
     import numpy as np

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from ctxpress.llm.common import Local, text_parts
 from ctxpress.llm.toxicity import blocks
 
-GRAMS, BUCKETS, SWITCH, BLOCK = (2, 3, 4), 1 << 15, 8.0, 3 << 19
+GRAMS, BUCKETS, SWITCH, BLOCK, PART = (2, 3, 4), 1 << 15, 8.0, 3 << 19, 1 << 17
 UNKNOWN = "und"
 # First and last code point of the main blocks of each script.
 SCRIPTS = {
@@ -62,6 +62,14 @@ def code_points(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32), np.array([len(w) for w in words], np.int64)
 
 
+def word_parts(c: np.ndarray, total: int) -> Iterator[tuple[int, int, np.ndarray]]:
+    """(first word, word after the last, code points with the spaces on both sides) of stretches of about PART code points."""
+    at = np.flatnonzero(c == 32)[: total + 1]
+    first = np.flatnonzero(np.r_[True, at[1:-1] // PART != at[:-2] // PART]) if total else []
+    for lo, hi in zip(first, [*first[1:], total]):
+        yield int(lo), int(hi), c[at[lo] : at[hi] + 1]
+
+
 def grams(c: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(place of the length, bucket, word) of all n-grams inside single words, in order."""
     spaces = np.cumsum(c == 32, dtype=np.int32)
@@ -97,11 +105,13 @@ class LanguageModel:
     def emissions(self, c: np.ndarray, total: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """For each word the score in each language, whether any language is a candidate, and its letters."""
         e = np.zeros((total, len(self.names)), np.float32)
-        for k, bucket, word in grams(c):
-            if len(word):
-                at = np.flatnonzero(np.r_[True, word[1:] != word[:-1]])
-                e[word[at]] += np.add.reduceat(self.tables[k][bucket], at, axis=0)
-        script, letters = word_scripts(c, total)
+        script, letters = np.zeros(total, np.uint8), np.zeros(total, np.int64)
+        for lo, hi, part in word_parts(c, total):
+            for k, bucket, word in grams(part):
+                if len(word):
+                    at = np.flatnonzero(np.r_[True, word[1:] != word[:-1]])
+                    e[lo + word[at]] += np.add.reduceat(self.tables[k][bucket], at, axis=0)
+            script[lo:hi], letters[lo:hi] = word_scripts(part, hi - lo)
         can = self.allowed[script]
         known = can.any(1) & (script > 0)
         e = np.where(can | ~known[:, None], e, e.min(1, keepdims=True) - np.float32(1e4))

@@ -87,6 +87,21 @@ def test_language_path_is_the_best_of_all_paths():
         at += n
 
 
+def test_words_are_scored_in_parts_of_one_size(monkeypatch):
+    model = language.train(["привет мир как дела", "hello world how are you"] * 3, ["ru", "en"] * 3)
+    texts = ["hello мир " * 50, None, "", "a", " b\n\tc ", "w" * 999, "are you 12 дела " * 300]
+    c, counts = language.code_points(texts)
+    seen, grams = [], language.grams
+    monkeypatch.setattr(language, "PART", 1 << 30, raising=False)
+    whole = model.emissions(c, int(counts.sum()))
+    monkeypatch.setattr(language, "PART", 100)
+    monkeypatch.setattr(language, "grams", lambda x: seen.append(len(x)) or grams(x))
+    parts = model.emissions(c, int(counts.sum()))
+    assert all(np.array_equal(a, b) for a, b in zip(whole, parts))
+    assert len(seen) > 50 and sorted(seen)[-2] <= 120  # but for the one long word
+    assert [x.shape for x in model.emissions(language.code_points([None, ""])[0], 0)] == [(0, 2), (0,), (0,)]
+
+
 def test_scripts_narrow_languages():
     model = language.train(["привет мир как дела", "hello world how are you"] * 3, ["ru", "en"] * 3)
     names, _, _ = model.predict(["мирок", "worlds", "مرحبا", "123", None])
