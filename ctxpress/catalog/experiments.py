@@ -177,15 +177,20 @@ def numeric_accuracy_by_bits(spark, sf):
 @query()
 def scorer_sensitivity(spark, sf):
     """Mean score, share of tokens within the band, and similarity after pruning, for the four scorers."""
-    p, docs, out = prompts(spark, sf), load(spark, sf, "documents", "text"), None
-    for name in ("scorer_a", "scorer_b", "scorer_c", "scorer_d"):
-        s = selfinfo.score_tokens(p, docs, selfinfo.get_scorer(name, docs))
-        short = prune.reassemble(prune.prune_tokens(s, prune.Budget.ratio(0.7))).select("prompt_id", F.col("text").alias("short"))
-        sim = fidelity.fidelity_report(p.join(short, "prompt_id").select(fidelity.word_cosine(F.col("text"), F.col("short")).alias("cosine")))
-        t = s.agg(F.count("*").alias("tokens"), F.round(F.avg("score"), 4).alias("mean_score"), F.round(F.avg((F.col("rule") == "mean").cast("double")), 4).alias("band_share")).crossJoin(sim)
-        t = t.select(F.lit(name).alias("scorer"), "tokens", "mean_score", "band_share", "mean_cosine", "p5_cosine")
-        out = t if out is None else out.unionAll(t)
-    return out
+    t = selfinfo.scores_by_all(prompts(spark, sf), load(spark, sf, "documents", "text"))
+
+    def arm(name):
+        own = F.transform("tokens", lambda x: F.struct(x["pos"].alias("pos"), x["tok"].alias("tok"), x[name]["score"].alias("score")))
+        total = F.aggregate("tokens", F.lit(0.0), lambda a, x: a + x[name]["score"])
+        return F.struct(F.lit(name).alias("scorer"), total.alias("total"), F.size(F.filter("tokens", lambda x: x[name]["mean"])).alias("means"), prune.prune_in_row(own, 0.7).alias("short"))
+
+    arms = [arm(name) for name in ("scorer_a", "scorer_b", "scorer_c", "scorer_d")]
+    t = t.select(F.size("tokens").alias("n"), F.array_join(F.transform("tokens", lambda x: x["tok"]), " ").alias("text"), F.explode(F.array(*arms)).alias("e"))
+    t = t.select("e.scorer", "n", "e.total", "e.means", fidelity.word_cosine(F.col("text"), F.col("e.short")).alias("cosine"))
+    return t.groupBy("scorer").agg(
+        F.sum("n").alias("tokens"), F.round(F.sum("total") / F.sum("n"), 4).alias("mean_score"), F.round(F.sum("means") / F.sum("n"), 4).alias("band_share"),
+        F.round(F.avg("cosine"), 6).alias("mean_cosine"), F.round(F.percentile("cosine", F.lit(0.05)), 6).alias("p5_cosine"),
+    )
 
 
 @query()

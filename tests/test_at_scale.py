@@ -94,3 +94,18 @@ def test_few_prompts_count_only_their_contexts(spark):
     assert {r["ctx"] for r in model.tables[0][1].collect()} == {"", "a", "b"}
     few, every = ({r["pos"]: r["s_dyn"] for r in m.score(asked).collect()} for m in (model, selfinfo.NgramModel(docs, 2)))
     assert few == every
+
+
+def test_all_scorers_share_one_pass_and_ngrams_nobody_asks_for_stay_at_home(spark, tmp_path):
+    from ctxpress.operators import selfinfo
+
+    asked = spark.createDataFrame([(f"c{i}", "t") for i in range(50)], "ctx string, tok string")
+    rows = spark.createDataFrame([(f"c{i}", t) for i in range(3000) for t in ("t", "u")], "ctx string, tok string")
+    left = selfinfo.only_asked(rows, asked, "ctx", "tok").collect()
+    assert {tuple(r) for r in left} >= {(f"c{i}", "t") for i in range(50)} and len(left) < 60
+    texts = ["the cat sat on the mat the cat", "a dog and a cat and a dog", "one", "the dog sat"]
+    docs = spark.createDataFrame([(i, "s", t) for i, t in enumerate(texts * 3)], "doc_id long, source string, text string")
+    turns = spark.createDataFrame([(i, 0, "user", t) for i, t in enumerate([*texts, "the the cat saw unseen words", "", None])], "conv_id long, turn int, role string, text string")
+    assert len(agree(spark, tmp_path, "scorer_sensitivity", documents=docs, conversations=turns)) == 4
+    plan = QUERIES["scorer_sensitivity"](spark, str(tmp_path))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning(prompt_id") == 1
