@@ -109,3 +109,89 @@ def test_all_scorers_share_one_pass_and_ngrams_nobody_asks_for_stay_at_home(spar
     assert len(agree(spark, tmp_path, "scorer_sensitivity", documents=docs, conversations=turns)) == 4
     plan = QUERIES["scorer_sensitivity"](spark, str(tmp_path))._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning(prompt_id") == 1
+
+
+def odd_texts(n=60):
+    """Texts with words that few have, some of which their text repeats, and passages of them as items, cut anywhere."""
+    import random
+
+    mix = random.Random(7)
+    rare = [f"{mix.choice(['Éa', 'zu', 'Mo', '中文', 'q_', 'ñ'])}{i}x" for i in range(90)]
+    docs, items = [], []
+    for i in range(n):
+        words = []
+        for _ in range(30):
+            own = mix.sample(rare[i % 80 : i % 80 + 10], 2)
+            words += own * mix.choice([1, 1, 3]) + [mix.choice(["the", "The", "of", "a"]) for _ in range(mix.randrange(4))]
+        docs.append((i, "s", "".join(w + mix.choice([" ", " ", " ", " ", " ", "  ", ". ", ",", "\n"]) for w in words)))
+        at = mix.randrange(100)
+        items.append((i, docs[-1][2][at : at + mix.randrange(30, 120)]))
+    docs += [(n, "s", None), (n + 1, "s", ""), (n + 2, "s", " . "), (n + 3, "s", "a a a a a a a a b b b b b " * 5)]
+    return docs, [*items, (n, None), (n + 1, "Zzz nowhere in any of them"), (n + 2, "ike")]
+
+
+def test_the_ablation_finds_what_its_sql_finds_and_reads_texts_in_one_scan(spark, tmp_path):
+    docs, items = odd_texts()
+    docs = spark.createDataFrame(docs, "doc_id long, source string, text string")
+    got = agree(spark, tmp_path, "ablation_regions", documents=docs, benchmark=spark.createDataFrame(items, "item_id long, text string"))
+    assert len(got) == 40 and len({r[4] for r in got}) > 2
+    plan = QUERIES["ablation_regions"](spark, str(tmp_path))._jdf.queryExecution().executedPlan().toString()
+    assert "regexp_extract_all" not in plan and "Generate" not in plan  # neither words nor lost words become rows
+
+
+def test_items_are_found_whose_first_and_last_words_go_on(spark):
+    from ctxpress.plans import workloads
+
+    docs, items = odd_texts()
+    got = workloads.answers(spark.createDataFrame([(d, t) for d, _, t in docs], "doc_id long, text string").repartition(3), spark.createDataFrame(items, "item_id long, text string"))
+    assert sorted(map(tuple, got.collect())) == sorted((i, d) for i, x in items for d, _, t in docs if x and t and x in t)
+
+
+def test_frequent_ngrams_count_only_what_can_be_frequent(spark):
+    from ctxpress.operators import abbrev
+
+    docs = spark.createDataFrame([(t,) for _, _, t in odd_texts(300)[0]], "text string").repartition(5)
+    some = abbrev.frequent_codec_ngrams(docs, (2, 3, 5), 4)
+    got = {tuple(r) for r in some.collect()}
+    for n in (2, 3, 5):
+        every = {(n, r["gram"], r["freq"]) for r in abbrev.codec_frequencies(docs, n).collect()}
+        least = sorted((f for _, _, f in every), reverse=True)[3]
+        here = {r for r in got if r[0] == n}
+        assert {r for r in every if r[2] >= least} <= here <= every and len(here) < len(every) / 5
+    assert {tuple(r) for r in abbrev.frequent_codec_ngrams(docs.limit(0).unionAll(spark.createDataFrame([("a b c. c",)], "text string")), (2, 3), 2).collect()} == {(2, "a b", 1), (2, "b c", 1), (3, "a b c", 1)}
+
+
+def test_a_scan_takes_no_overlapping_places():
+    import random
+
+    import numpy as np
+
+    from ctxpress.functions import wordarrays
+
+    mix = random.Random(1)
+    for n in (2, 3, 5):
+        places = sorted(mix.sample(range(400), 150))
+        want, end = [], 0
+        for p in places:
+            if p >= end:
+                want.append(p)
+                end = p + n
+        assert wordarrays.spaced(np.array(places), n).tolist() == want
+
+
+def test_words_of_many_texts_are_those_of_each():
+    import pyarrow as pa
+    import regex
+
+    from ctxpress.functions import wordarrays
+    from ctxpress.functions.tokens import WORD
+
+    texts = ["ab", "cd", " e", "", None, "f g  h\tİΣ aΣ", "x", "中文 é́e.ñ", "\x1bab cd", "a\x1b", "ab", "𝒜b", "“q” ", "_1"]
+    for lo in (0, 3, 8):
+        w = wordarrays.Words(pa.array(texts).slice(lo), "\x1b")
+        found = [(d, x) for d, t in enumerate(texts[lo:]) for x in regex.finditer(WORD, t or "")]
+        assert w.names.take(pa.array(w.word)).to_pylist() == [x[0] for _, x in found] and w.doc.tolist() == [d for d, _ in found]
+        assert w.names.to_pylist() == sorted({x[0] for _, x in found}) and w.lower().to_pylist() == [x.lower() for x in w.names.to_pylist()]
+        assert w.tight.tolist() == [bool(regex.match(rf" {WORD}", x.string, pos=x.end())) for _, x in found]
+        assert w.marked.tolist() == [x.string[: x.start()].endswith("\x1b") for _, x in found]
+    assert len(wordarrays.Words(pa.array([None, ""]))) == len(wordarrays.Words(pa.array([], pa.string()))) == 0
